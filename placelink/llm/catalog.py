@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from placelink.llm import chat, mixing, reputation
+from placelink.llm import boosting, chat, mixing, repetition, reputation
 
 QUERIES = {
     "op3_mixing": mixing.op3_mixing,
     "op6_url_reputation": reputation.op6_url_reputation,
     "op7_chat": chat.op7_chat,
+    "op9_repetition": repetition.op9_repetition,
+    "op10_quality": boosting.op10_quality,
 }
 ORACLES = {"op3_mixing": mixing.OP3_SQL, "op6_url_reputation": reputation.OP6_SQL, "op7_chat": chat.OP7_SQL}
