@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from placelink.llm import boosting, chat, mixing, repetition, reputation
+from placelink.llm import boosting, chat, mixing, repetition, reputation, toxicity
 
 QUERIES = {
     "op3_mixing": mixing.op3_mixing,
     "op6_url_reputation": reputation.op6_url_reputation,
     "op7_chat": chat.op7_chat,
+    "op8_toxicity": toxicity.op8_toxicity,
     "op9_repetition": repetition.op9_repetition,
     "op10_quality": boosting.op10_quality,
 }
