@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from placelink.llm import boosting, chat, mixing, repetition, reputation, toxicity
+from placelink.llm import boosting, chat, mixing, packing, repetition, reputation, toxicity
 
 QUERIES = {
     "op3_mixing": mixing.op3_mixing,
+    "op5_packing": packing.op5_packing,
     "op6_url_reputation": reputation.op6_url_reputation,
     "op7_chat": chat.op7_chat,
     "op8_toxicity": toxicity.op8_toxicity,
