@@ -6,8 +6,6 @@ which are all ASCII, so byte positions are safe cuts. A null text counts as an e
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -15,6 +13,10 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from placelink.operators.storage import shared_dir, stored
+
+__all__ = ["shared_dir", "stored"]
+
 #: Fixed value: a word is a run of other characters than these.
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -27,22 +29,6 @@ _BASE = 0x9E3779B97F4A7C15 | 1
 _BLOCK = 1 << 20
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors see: spark.checkpoint.dir; a temporary one only where none is set (local tests)."""
-    at = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not at:
-        at = "file://" + tempfile.mkdtemp(prefix="placelink-")
-        spark.sparkContext.setCheckpointDir(at)
-    return at
-
-
-def stored(df: DataFrame, name: str, codec: str = "zstd") -> DataFrame:
-    """Writes df in the shared folder and reads it back: lineage is cut, lost executors cost nothing."""
-    at = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", codec).parquet(at)
-    return df.sparkSession.read.schema(df.schema).parquet(at)
-
-
 def n_words(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
 
