@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from placelink.llm import ann, boosting, chat, mixing, neardup, packing, repetition, reputation, toxicity
+from placelink.llm import ann, boosting, chat, licenses, mixing, neardup, packing, repetition, reputation, toxicity
 
 QUERIES = {
     "op1_near_duplicates": neardup.op1_near_duplicates,
     "op2_nearest": ann.op2_nearest,
     "op3_mixing": mixing.op3_mixing,
+    "op4_licenses": licenses.op4_licenses,
     "op5_packing": packing.op5_packing,
     "op6_url_reputation": reputation.op6_url_reputation,
     "op7_chat": chat.op7_chat,
