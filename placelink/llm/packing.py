@@ -34,6 +34,8 @@ from placelink.llm.common import stored, table
 SIZE, END_ID, MAX_QUEUES = 4096, 2, 1024
 TOKENIZER = "word_bpe_49k.json"
 
+#: Rows (queue, task, base) up to which the starts of the tasks are broadcast: some 20 MB.
+BROADCAST_ROWS = 500_000
 _CACHE_ENTRIES = 400_000
 
 
@@ -196,6 +198,8 @@ def pack(tokenized: DataFrame, weights: dict[str, float] | None = None, size: in
     plan = phases(totals["n"].to_numpy(np.int64), None if weights is None else [weights.get(q, 1.0) for q in totals["queue"]], size)
     earlier = W.partitionBy("queue").orderBy("task").rowsBetween(W.unboundedPreceding, -1)
     bases = parts.select("queue", "task", F.coalesce(F.sum("n").over(earlier), F.lit(0)).alias("base"))
+    if parts.count() <= BROADCAST_ROWS:  # else Spark picks a join that shuffles
+        bases = F.broadcast(bases)
     rows = tokenized.join(bases, ["queue", "task"]).select("doc_id", "queue", (F.col("base") + F.col("before")).alias("first"), "tokens", "ids")
     names = ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
 

@@ -63,11 +63,11 @@ def domain_of(host: Column) -> Column:
 
 
 def _strength(level: DataFrame, out: str) -> DataFrame:
-    """One row: how many outcomes the prior of this level is worth, from the spread of its members around their parents."""
+    """One row: how many outcomes (2 to 999) the prior of this level is worth, from the spread of its members around their parents."""
     v = F.col("prior") * (1 - F.col("prior"))
     spread = F.col("n") * (F.col("bad") / F.col("n") - F.col("prior")) * (F.col("bad") / F.col("n") - F.col("prior"))
     seen = level.where("n > 0").agg(F.coalesce(F.sum(spread - v) / F.nullif(F.sum(v * (F.col("n") - 1)), F.lit(0.0)), F.lit(0.0)).alias("rho"))
-    rho = F.greatest(F.lit(0.001), F.least(F.lit(0.999), F.round("rho", 6)))
+    rho = F.greatest(F.lit(0.001), F.least(F.lit(0.333), F.round("rho", 6)))
     return seen.select((1 / rho - 1).alias(out))
 
 
@@ -114,7 +114,7 @@ def _sql_level(name: str, key: str, source: str) -> str:
     return f"""
 {name}_rho AS (SELECT coalesce(sum(n * (bad / n - prior) * (bad / n - prior) - prior * (1 - prior)) / nullif(sum(prior * (1 - prior) * (n - 1)), 0), 0) AS rho
   FROM {source} WHERE n > 0),
-{name}_m AS (SELECT 1 / greatest(0.001::DOUBLE, least(0.999::DOUBLE, round(rho, 6))) - 1 AS m FROM {name}_rho),
+{name}_m AS (SELECT 1 / greatest(0.001::DOUBLE, least(0.333::DOUBLE, round(rho, 6))) - 1 AS m FROM {name}_rho),
 {name} AS (SELECT {key}, n, m, (bad + m * prior) / (n + m) AS mean FROM {source}, {name}_m)"""
 
 
