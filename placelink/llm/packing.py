@@ -17,8 +17,8 @@ queues are shared by hash; repeated rows are documents of their own; an empty ta
 from __future__ import annotations
 
 import re
-import unicodedata
 import zlib
+from array import array
 from collections.abc import Iterator, Sequence
 from dataclasses import dataclass
 
@@ -36,14 +36,29 @@ TOKENIZER = "word_bpe_49k.json"
 
 #: Rows (queue, task, base) up to which the starts of the tasks are broadcast: some 20 MB.
 BROADCAST_ROWS = 500_000
-_CACHE_ENTRIES = 400_000
+_CACHE_ENTRIES = 250_000
 
 
-class WordTokenizer:
-    """Ids of a tokenizer whose pieces never cross white space, remembered word by word.
+class _Remembered(dict):
+    """Answers by key, made when missing; all are forgotten when there are too many."""
 
-    Words of plain ASCII and Latin letters take a short way: the pre-tokenizer's own pattern, then the library's model
-    on each piece. All other words go through the whole tokenizer. Both give the ids of the whole text.
+    def __init__(self, make):
+        super().__init__()
+        self.make = make
+
+    def __missing__(self, key: str) -> bytes:
+        if len(self) >= _CACHE_ENTRIES:
+            self.clear()
+        self[key] = value = self.make(key)
+        return value
+
+
+class PieceTokenizer:
+    """Ids of a tokenizer whose pieces never cross white space, remembered piece by piece.
+
+    Texts of plain ASCII and Latin letters take a short way: the pre-tokenizer's own pattern, then the library's model on
+    each piece. Of other texts, each word between spaces goes the same way if it can, else through the whole tokenizer.
+    All give the ids of the whole text.
     """
 
     def __init__(self, path: str):
@@ -51,51 +66,38 @@ class WordTokenizer:
 
         self.whole = Tokenizer.from_file(path)
         self.model = self.whole.model
-        self.words: dict[str, bytes] = {"": b""}
-        self.pieces: dict[str, bytes] = {}
+        self.pieces, self.others = _Remembered(self._piece), _Remembered(self._other)
         #: Fixed value: the pre-tokenizer's pattern over lower-cased ASCII and Latin letters.
-        self.split = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ſ]+|[0-9]|[^a-zß-öø-ſ0-9]+").findall
-        self.simple = re.compile(r"[!-~À-ÖØ-öø-ſ]*").fullmatch
+        self.split = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ſ]+|[0-9]|[^ \n\t\ra-zß-öø-ſ0-9]+").findall
+        self.simple = re.compile(r"[!-~ \n\t\rÀ-ÖØ-öø-įı-ſ]*").fullmatch
         # bytes as the characters that byte-level models use for them: printable ones as they are, others from 256 on
         plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
         self.as_char = {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(x for x in range(256) if x not in plain)}
 
-    def _word(self, word: str) -> bytes:
-        if self.simple(word) and "<|" not in word and "İ" not in word and unicodedata.is_normalized("NFC", word):
-            out = b""
-            for piece in self.split(word.lower()):
-                ids = self.pieces.get(piece)
-                if ids is None:
-                    chars = piece if piece.isascii() else "".join(map(self.as_char.__getitem__, piece.encode()))
-                    ids = np.array([t.id for t in self.model.tokenize(chars)], "<u4").astype("<u2").tobytes()
-                    self.pieces[piece] = ids
-                out += ids
-        else:
-            out = np.array(self.whole.encode(word, add_special_tokens=False).ids, "<u4").astype("<u2").tobytes()
-        self.words[word] = out
-        return out
+    def _piece(self, piece: str) -> bytes:
+        chars = piece if piece.isascii() else "".join(map(self.as_char.__getitem__, piece.encode()))
+        return array("H", [t.id for t in self.model.tokenize(chars)]).tobytes()
+
+    def _other(self, word: str) -> bytes:
+        return array("H", self.whole.encode(word, add_special_tokens=False).ids).tobytes()
 
     def ids(self, text: str) -> bytes:
         """The ids of a text as little-endian 16-bit numbers (the vocabulary has fewer than 65,536)."""
-        if len(self.words) > _CACHE_ENTRIES:
-            self.words = {"": b""}
-        if len(self.pieces) > _CACHE_ENTRIES:
-            self.pieces.clear()
-        get, make = self.words.get, self._word
-        words = text.replace("\n", " ").split(" ")
-        found = [get(w) for w in words]
-        if None in found:
-            found = [make(w) if x is None else x for w, x in zip(words, found, strict=True)]
-        return b"".join(found)
+        if self.simple(text) and "<|" not in text:
+            return b"".join(map(self.pieces.__getitem__, self.split(text.lower())))
+        parts = text.replace("\n", " ").split(" ")
+        if len(parts) == 1:
+            return self.others[text] if len(text) <= 64 else self._other(text)
+        return b"".join(map(self.ids, parts))
 
 
-_loaded: dict[str, WordTokenizer] = {}
+_loaded: dict[str, PieceTokenizer] = {}
 
 
-def _tokenizer(path: str) -> WordTokenizer:
-    """One per Python worker and file: workers are reused, so their memory of words is too."""
+def _tokenizer(path: str) -> PieceTokenizer:
+    """One per Python worker and file: workers are reused, so their memory of pieces is too."""
     if path not in _loaded:
-        _loaded[path] = WordTokenizer(path)
+        _loaded[path] = PieceTokenizer(path)
     return _loaded[path]
 
 
