@@ -2,5 +2,7 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from placelink.oracles import ORACLES
+from placelink.plans.experiments import QUERIES
+
+__all__ = ["ORACLES", "QUERIES"]
