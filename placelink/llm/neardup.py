@@ -1,7 +1,7 @@
 """Near-duplicate documents: MinHash bands for candidates, odd sketches to screen them, full sets to confirm.
 
 A document's set holds the hashes (64 bits) of its shingles. Equal sets are one class. Every class gets MinHash samples
-under many permutations, banded into bucket keys, and up to 4096 samples of one-permutation MinHash, folded into an odd
+under many permutations, banded into bucket keys, and up to 8192 samples of one-permutation MinHash, folded into an odd
 sketch: each sample flips one bit, so that the population count of the XOR of two sketches estimates the number of
 differing samples, precisely so for high similarities. Candidates are screened by set sizes and by that estimate, with a
 margin of five standard deviations, then confirmed by counting the intersection of the full sets.
@@ -23,7 +23,6 @@ import math
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
@@ -33,7 +32,7 @@ from placelink.llm import common as c
 from placelink.llm.common import stored, table
 from placelink.operators.components import components
 
-BANDS, ROWS, SKETCH_BITS, BIN_BITS = 30, 4, 2048, 12
+BANDS, ROWS, SKETCH_BITS, BIN_BITS = 30, 4, 4096, 13
 SAMPLES, BINS = BANDS * ROWS, 1 << BIN_BITS
 #: Rows of a bucket that are compared with each other in one task.
 BLOCK = 2048
@@ -106,7 +105,7 @@ def most_bits(n_a, n_b, s_a, s_b, percent: int, m=np):
     expected = BINS * (2 - m.exp(-n_a / BINS) - m.exp(-n_b / BINS))
     used = BINS * (1 - m.exp(-union / BINS)) * (s_a + s_b) / expected  # ranges in use, corrected by what the two show
     spread = m.sqrt(used * (j * (1 - j)) * (1 - used / (union + 1)) + 0.25)
-    unlike = s_a + s_b - 2 * j * used + 10 * spread
+    unlike = s_a + s_b - 2 * j * used + 8 * spread
     odd = SKETCH_BITS / 2 * (1 - m.exp(-2 * unlike / SKETCH_BITS)) + 5 * m.sqrt(unlike * unlike / SKETCH_BITS + 1)
     return np.minimum(odd, unlike) if m is np else F.least(odd, unlike)  # bits that cancel never add to the count
 
@@ -167,7 +166,7 @@ def _screen(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
 def _confirmed(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> DataFrame:
     """Pairs (a, b) whose full sets reach the similarity; sets are built for the documents in question only."""
     pairs = stored(pairs, "neardup-pairs")
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+    ids = pairs.select(F.col("a").alias("doc_id")).distinct().unionByName(pairs.select(F.col("b").alias("doc_id")).distinct()).distinct()
     sets = stored(full_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), size), "neardup-sets", "lz4")
     both = pairs.join(sets.select(F.col("doc_id").alias("b"), F.col("members").alias("set_b")), "b")
     both = both.join(sets.select(F.col("doc_id").alias("a"), F.col("members").alias("set_a")), "a")
@@ -182,32 +181,39 @@ def _blocks(members: DataFrame, percent: int) -> DataFrame:
     shares several buckets belongs to the first of them.
     """
 
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("n", kind="stable")
-        rep, comp, n, part, samples = (pdf[k].to_numpy() for k in ("rep", "comp", "n", "part", "samples"))
-        sketch = np.stack(pdf["sketch"].to_numpy()).view(np.uint64)
-        bands = np.stack(pdf["bands"].to_numpy())
-        key = pdf["key"].iloc[0]
+    def block(key: int, rep: np.ndarray, comp: np.ndarray, n: np.ndarray, part: np.ndarray, samples: np.ndarray, sketch: np.ndarray, bands: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Pairs of one block, its rows ordered by n."""
         two = part.min() != part.max()
         end = np.searchsorted(n, n * 100 // percent, side="right")
-        a, b = [], []
         for i in range(len(rep) - 1):
             j = np.arange(i + 1, max(i + 1, end[i]))
             j = j[comp[j] != comp[i]]
             if two:
                 j = j[part[j] != part[i]]
-            j = j[np.bitwise_count(sketch[j] ^ sketch[i]).sum(axis=1) <= most_bits(n[i], n[j], samples[i], samples[j], percent)]
+            if len(j):
+                j = j[np.bitwise_count(sketch[j] ^ sketch[i]).sum(axis=1) <= most_bits(n[i], n[j], samples[i], samples[j], percent)]
             if len(j):
                 j = j[bands[i][(bands[j] == bands[i]).argmax(axis=1)] == key]
-            a.append(np.minimum(rep[i], rep[j]))
-            b.append(np.maximum(rep[i], rep[j]))
-        return pd.DataFrame({"a": np.concatenate(a) if a else [], "b": np.concatenate(b) if b else []}, dtype=np.int64)
+                yield np.minimum(rep[i], rep[j]), np.maximum(rep[i], rep[j])
+
+    def run(task: pa.Table) -> pa.Table:
+        task = task.sort_by([(k, "ascending") for k in ("key", "low", "high", "n", "rep")]).combine_chunks()
+        key, low, high, *rest = (task.column(k).to_numpy() for k in ("key", "low", "high", "rep", "comp", "n", "part", "samples"))
+        wide = [task.column(k).combine_chunks().flatten().to_numpy().reshape(len(key), -1) for k in ("sketch", "bands")]
+        columns = [*rest, wide[0].view(np.uint64), wide[1]]
+        cuts = np.flatnonzero((key[1:] != key[:-1]) | (low[1:] != low[:-1]) | (high[1:] != high[:-1])) + 1
+        found = [p for i, j in zip([0, *cuts], [*cuts, len(key)], strict=True) for p in block(key[i], *(x[i:j] for x in columns))]
+        none = np.zeros(0, np.int64)
+        return pa.table({k: np.concatenate([none, *(p[x] for p in found)]) for x, k in enumerate("ab")})
 
     sizes = members.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("parts"))
     dealt = members.join(sizes, "key").withColumn("part", F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("parts") - 1))
     dealt = dealt.withColumn("other", other).withColumns({"low": F.least("part", "other"), "high": F.greatest("part", "other")})
-    return dealt.groupBy("key", "low", "high").applyInPandas(run, "a long, b long").distinct()
+    # small blocks share a task: what a task reads stays about one block of the largest size
+    tasks = F.lit(1 + members.count() // BLOCK)
+    dealt = dealt.withColumn("task", F.pmod(F.xxhash64("key", "low", "high"), tasks))
+    return dealt.groupBy("task").applyInArrow(run, "a long, b long").distinct()
 
 
 def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFrame:
