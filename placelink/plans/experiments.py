@@ -25,7 +25,7 @@ from placelink.sources.tables import events, table
 M_VALUES, CUT_M = (1, 20, 40, 60, 80, 100), (30, 50, 80, 100)
 DENSITIES, RADII, TRIGGERS = (10, 20, 30, 40, 50, 60), (20, 30, 40, 50, 70, 100), cutoff.TRIGGERS
 #: The fixture's towns are sparser than the published area, so densities are scaled by this.
-DENSITY_SCALE = 0.01
+DENSITY_SCALE = 0.5
 PLACE_COLUMNS = ["eid", "source", "truth_id", "x_m", "y_m", "name", "address", "keywords", "phone_clean", "website_clean"]
 
 

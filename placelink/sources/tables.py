@@ -49,4 +49,4 @@ def noop(df: DataFrame) -> None:
 
 def events(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events with their JSON attribute k."""
-    return table(spark, sf_dir, "events").withColumn("k", F.from_json("props", "k int")["k"])
+    return table(spark, sf_dir, "events").withColumns({"ts": F.col("ts").cast("timestamp")}).withColumn("k", F.from_json("props", "k int")["k"])
