@@ -3,6 +3,9 @@
 from __future__ import annotations
 
 from placelink.oracles import ORACLES
-from placelink.plans.experiments import QUERIES
+from placelink.plans.experiments import QUERIES as _EXPERIMENTS
+from placelink.streaming.queries import QUERIES as _STREAMS
+
+QUERIES = _EXPERIMENTS | _STREAMS
 
 __all__ = ["ORACLES", "QUERIES"]

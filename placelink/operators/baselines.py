@@ -54,13 +54,13 @@ def with_ranks(scored: DataFrame) -> DataFrame:
     rank = lambda a, b: F.row_number().over(W.partitionBy("side").orderBy(F.col("score").desc(), "other"))
     ends = scored.select("eid_a", "eid_b", "score", F.explode(F.array(F.struct(F.col("eid_a").alias("side"), F.col("eid_b").alias("other")), F.struct(F.col("eid_b").alias("side"), F.col("eid_a").alias("other")))).alias("e"))
     ends = ends.select("eid_a", "eid_b", "score", "e.side", "e.other").withColumn("rank", rank("side", "other"))
-    best = ends.groupBy("eid_a", "eid_b").agg(F.min("rank").alias("best"))
+    best = ends.groupBy("eid_a", "eid_b").agg(F.min("rank").alias("best"))  # ids that repeat are one pair
     return scored.join(best, ["eid_a", "eid_b"])
 
 
 def weighted_topk(pairs: DataFrame, k: int, scale: float = 100.0) -> DataFrame:
     """All pairs with `match`: among the k best of either place."""
-    kept = with_ranks(weighted_scores(pairs, scale)).where(F.col("best") <= k).select("eid_a", "eid_b", F.lit(True).alias("kept"))
+    kept = with_ranks(weighted_scores(pairs, scale)).where(F.col("best") <= k).select("eid_a", "eid_b", F.lit(True).alias("kept")).distinct()
     return pairs.join(kept, ["eid_a", "eid_b"], "left").withColumn("match", F.coalesce("kept", F.lit(False))).drop("kept")
 
 

@@ -183,18 +183,28 @@ def layers_peel(df: DataFrame, attrs, max_layer: int | None = None) -> DataFrame
 
 
 def layers_sql(df: DataFrame, attrs, view: str = "vectors_to_rank") -> DataFrame:
-    """The SQL form: chains of dominance by a recursive query; the longest one gives the layer."""
+    """The SQL form: a vector lies one layer below the deepest of those that dominate it, relaxed until nothing moves.
+
+    Spark's recursive queries only add rows (UNION ALL), which would walk every chain of dominance, so the rounds are
+    statements of their own. One round per layer: for small data.
+    """
     names = _names(attrs)
-    df.select(*names).distinct().withColumn("id", F.row_number().over(W.orderBy(*names))).createOrReplaceTempView(view)
-    good = " and ".join(f"a.{n} >= b.{n}" for n in names)
     spark = df.sparkSession
-    pairs = stored(spark.sql(f"select a.id p, b.id q from {view} a join {view} b on a.id != b.id and {good}"), "dominance")
-    pairs.createOrReplaceTempView(f"{view}_dominance")
-    found = spark.sql(f"""
-      with recursive chain(id, depth) max recursion level 5000 as (
-        select id, 1 from {view} union select q, depth + 1 from chain join {view}_dominance on id = p)
-      select id, max(depth) layer from chain group by id""")
-    return df.join(spark.table(view).join(found, "id").drop("id"), names)
+    rows = stored(df.select(*names).distinct().withColumn("id", F.row_number().over(W.orderBy(*names))), "sql-vectors")
+    rows.createOrReplaceTempView(view)
+    good = " and ".join(f"a.{n} >= b.{n}" for n in names)
+    stored(spark.sql(f"select a.id p, b.id q from {view} a join {view} b on a.id != b.id and {good}"), "dominance").createOrReplaceTempView(f"{view}_dominance")
+    spark.sql(f"select id, 1 layer from {view}").createOrReplaceTempView(f"{view}_layers")
+    total = None
+    while True:
+        now = spark.sql(f"select sum(layer) from {view}_layers").first()[0]
+        if now == total:
+            return df.join(rows.join(spark.table(f"{view}_layers"), "id").drop("id"), names)
+        total = now
+        step = spark.sql(f"""
+          select v.id, coalesce(max(l.layer), 0) + 1 layer from {view} v
+          left join {view}_dominance d on d.q = v.id left join {view}_layers l on l.id = d.p group by v.id""")
+        stored(step, "sql-layers").createOrReplaceTempView(f"{view}_layers")
 
 
 def rank_by_sum(df: DataFrame, attrs, digits: int = 6) -> DataFrame:

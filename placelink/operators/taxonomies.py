@@ -30,9 +30,10 @@ def paths_by_term(taxonomy: DataFrame) -> DataFrame:
 def with_paths(places: DataFrame, taxonomy: DataFrame, column: str = "keywords", out: str = "paths") -> DataFrame:
     """Places with the paths of all their keywords, so that pairs need no lookup; unknown keywords have none."""
     known = paths_by_term(taxonomy)
-    words = places.select("eid", F.explode(column).alias("term")).join(known, "term")
-    own = words.groupBy("eid").agg(F.array_distinct(F.flatten(F.sort_array(F.collect_list("paths")))).alias(out))
-    return places.join(own, "eid", "left")
+    lists = places.select(F.col(column).alias("__list")).distinct()  # far fewer than places
+    words = lists.select("__list", F.explode("__list").alias("term")).join(known, "term")
+    own = words.groupBy("__list").agg(F.array_distinct(F.flatten(F.sort_array(F.collect_list("paths")))).alias(out))
+    return places.join(own, F.col(column) == F.col("__list"), "left").drop("__list")
 
 
 def _term_pairs(paths: DataFrame) -> DataFrame:

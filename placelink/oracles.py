@@ -40,7 +40,7 @@ raw_places AS (
     CASE WHEN s % 4 = 0 THEN NULL WHEN s % 3 = 0 THEN '+45 ' || call WHEN s % 3 = 1 THEN '0045' || call ELSE substr(call, 1, 3) || ' ' || substr(call, 4) END,
     CASE WHEN s % 3 != 0 THEN 'https://m.place' || k || '.example.com/?ref=' || s END
   FROM (SELECT *, CAST(CASE WHEN o % 23 = 0 THEN 5550000 + 7 * (k + 1) ELSE 5550000 + 7 * k END AS VARCHAR) AS call FROM listed)),
-places AS (SELECT *, {_phone("phone", "45")} AS phone_clean, {_SITE.format("website")} AS website_clean FROM raw_places)"""
+places AS (SELECT *, row_number() OVER (ORDER BY eid, x_m, y_m, name, website) AS rid, {_phone("phone", "45")} AS phone_clean, {_SITE.format("website")} AS website_clean FROM raw_places)"""
 
 BOX = """
 box AS (SELECT CAST(min(x_m) AS DOUBLE) x0, CAST(min(y_m) AS DOUBLE) y0, CAST(max(x_m) AS DOUBLE) x1, CAST(max(y_m) AS DOUBLE) y1 FROM places)"""
@@ -67,7 +67,7 @@ def blocks(m: float = 100, margin: float = 0.25, rule: str = "diagonal", name: s
 def pairs(source: str = "blocks", name: str = "pairs") -> str:
     return f"""
 {name} AS (
-  SELECT a.eid eid_a, b.eid eid_b, sqrt(CAST((a.x_m - b.x_m) * (a.x_m - b.x_m) + (a.y_m - b.y_m) * (a.y_m - b.y_m) AS DOUBLE)) dist_m, a.source source_a, b.source source_b
+  SELECT a.eid eid_a, b.eid eid_b, sqrt(CAST((a.x_m - b.x_m) * (a.x_m - b.x_m) + (a.y_m - b.y_m) * (a.y_m - b.y_m) AS DOUBLE)) dist_m, a.source source_a, b.source source_b, a.rid rid_a, b.rid rid_b
   FROM {source} a JOIN {source} b ON a.ix = b.ix AND a.iy = b.iy AND a.eid < b.eid
   WHERE a.ix = greatest(a.low_ix, b.low_ix) AND a.iy = greatest(a.low_iy, b.low_iy))"""
 
@@ -96,7 +96,7 @@ compared AS (
     round(coalesce(w.sim, 0.0), 6)::DOUBLE AS semantic_sim,
     CAST(coalesce(a.phone_clean = b.phone_clean, false) OR coalesce(a.website_clean = b.website_clean, false) AS INTEGER) AS label_auto,
     CAST(a.truth_id = b.truth_id AS INTEGER) AS label
-  FROM pairs p JOIN side a ON p.eid_a = a.eid JOIN side b ON p.eid_b = b.eid LEFT JOIN wup w ON w.ta = a.keywords[1] AND w.tb = b.keywords[1])"""
+  FROM pairs p JOIN side a ON p.rid_a = a.rid JOIN side b ON p.rid_b = b.rid LEFT JOIN wup w ON w.ta = a.keywords[1] AND w.tb = b.keywords[1])"""
 SAMPLE = "compared_sample AS (SELECT * FROM compared ORDER BY md5(eid_a || eid_b), eid_a, eid_b LIMIT 1500)"
 
 
@@ -274,10 +274,10 @@ def _mu_variant(name: str, over: str) -> str:
 _DOC = """
 vectors AS (
   SELECT f_letters, f_unique_words, f_unique_lines, f_length, count(*) AS pairs, CAST(sum(label) AS BIGINT) AS positives FROM (
-    SELECT round(length(regexp_replace(text, '[^A-Za-z]', '', 'g')) / greatest(length(text), 1), 3) AS f_letters,
-      round(len(list_distinct(string_split(text, ' '))) / len(string_split(text, ' ')), 3) AS f_unique_words,
-      round(len(list_distinct(string_split(text, chr(10)))) / len(string_split(text, chr(10))), 3) AS f_unique_lines,
-      round(least(length(text), 2000) / 2000, 3) AS f_length, quality AS label FROM documents JOIN labels USING (doc_id)) GROUP BY ALL)"""
+    SELECT floor((length(regexp_replace(text, '[^A-Za-z]', '', 'g')) / greatest(length(text), 1)) * 1000 + 0.5) / 1000 AS f_letters,
+      floor((len(list_distinct(string_split(text, ' '))) / len(string_split(text, ' '))) * 1000 + 0.5) / 1000 AS f_unique_words,
+      floor((len(list_distinct(string_split(text, chr(10)))) / len(string_split(text, chr(10)))) * 1000 + 0.5) / 1000 AS f_unique_lines,
+      floor((least(length(text), 2000) / 2000) * 1000 + 0.5) / 1000 AS f_length, quality AS label FROM documents JOIN labels USING (doc_id)) GROUP BY ALL)"""
 _DOC_ATTRS = ("f_letters", "f_unique_words", "f_unique_lines", "f_length")
 
 ORACLES = {
@@ -380,5 +380,14 @@ ORACLES = {
     "belief_links": _with(*_compared(), _BELIEF) + f"SELECT eid_a, eid_b, round(f{_LAST}, 6) AS belief, round(g{_LAST}, 6) AS disbelief FROM near{_LAST} WHERE round(f{_LAST}, 6) > round(g{_LAST}, 6)",
     "link_groups": _with(*_MATCHED) + f""", links AS (SELECT eid_a AS a, eid_b AS b FROM ({_classified("best")}) WHERE match),
       both_ways AS (SELECT a, b FROM links UNION ALL SELECT b, a FROM links), reach(x, y) AS (SELECT eid, eid FROM places UNION SELECT x, b FROM reach JOIN both_ways ON y = a)
-      SELECT x AS eid, min(y) AS "group" FROM reach GROUP BY x""",
+      SELECT eid, g AS "group" FROM places JOIN (SELECT x, min(y) AS g FROM reach GROUP BY x) ON x = eid""",
+}
+
+ORACLES |= {
+    "stream_places_dedup": _with(PLACES) + "SELECT DISTINCT eid FROM events JOIN places ON source = 'catalog' AND truth_id = event_id % (SELECT count(*) FROM part)",
+    "window_arrivals_tumbling": "SELECT date_trunc('hour', ts) AS start, (date_trunc('hour', ts) + INTERVAL 1 HOUR) AS \"end\", count(*) AS n FROM events GROUP BY ALL",
+    "window_arrivals_sliding": "SELECT s AS start, (s + INTERVAL 1 HOUR) AS \"end\", count(*) AS n FROM (SELECT time_bucket(INTERVAL 30 MINUTE, ts) - x * INTERVAL 30 MINUTE AS s FROM events, range(2) r(x)) GROUP BY ALL",
+    "window_arrivals_session": """SELECT user_id, min(ts) AS start, (max(ts) + INTERVAL 30 MINUTE) AS "end", count(*) AS n FROM (
+      SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS session FROM (
+        SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, session""",
 }

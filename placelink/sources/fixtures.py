@@ -76,12 +76,13 @@ def doc_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     d = table(spark, sf_dir, "documents").join(table(spark, sf_dir, "labels"), "doc_id")
     words, lines = F.split("text", " "), F.split("text", "\n")
     text = F.col("text")
+    third = lambda c: F.floor(c * 1000 + 0.5) / 1000  # noqa: E731  rounds alike in every engine
     return d.select(
         "doc_id",
-        F.round(F.length(F.regexp_replace(text, "[^A-Za-z]", "")) / F.greatest(F.length(text), F.lit(1)), 3).alias("f_letters"),
-        F.round(F.size(F.array_distinct(words)) / F.size(words), 3).alias("f_unique_words"),
-        F.round(F.size(F.array_distinct(lines)) / F.size(lines), 3).alias("f_unique_lines"),
-        F.round(F.least(F.length(text), F.lit(2000)) / 2000, 3).alias("f_length"),
+        third(F.length(F.regexp_replace(text, "[^A-Za-z]", "")) / F.greatest(F.length(text), F.lit(1))).alias("f_letters"),
+        third(F.size(F.array_distinct(words)) / F.size(words)).alias("f_unique_words"),
+        third(F.size(F.array_distinct(lines)) / F.size(lines)).alias("f_unique_lines"),
+        third(F.least(F.length(text), F.lit(2000)) / 2000).alias("f_length"),
         F.col("quality").alias("label"),
     )
 
