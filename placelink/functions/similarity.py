@@ -12,6 +12,11 @@ def _or_missing(sim: Column, a: Column, b: Column, missing: str) -> Column:
     return F.when(a.isNull() | b.isNull(), F.lit(MISSING[missing]).cast("double")).otherwise(sim)
 
 
+def rounded(c: Column, digits: int = 6) -> Column:
+    """Rounds halves up in binary, so that every engine agrees where decimals tie."""
+    return F.floor(c * 10.0**digits + 0.5) / 10.0**digits
+
+
 def clean_text(c: Column) -> Column:
     """Lower case, one space between words, no other marks."""
     return F.trim(F.regexp_replace(F.lower(c), r"[^\p{L}\p{N}]+", " "))

@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from placelink.functions.similarity import geo_sim
+from placelink.functions.similarity import geo_sim, rounded
 from placelink.operators.metrics import confusion_columns, prf
 
 #: The thresholds of the flexible sweep.
@@ -19,7 +19,7 @@ def additive_score(which: str, scale: float = 100.0) -> Column:
     total = parts[0]
     for p in parts[1:]:
         total = total + p
-    return F.round(total / len(parts), 6)
+    return rounded(total / len(parts))
 
 
 def additive(pairs: DataFrame, which: str, threshold: float = 0.75, scale: float = 100.0) -> DataFrame:
@@ -45,7 +45,7 @@ def weighted_scores(pairs: DataFrame, scale: float = 100.0) -> DataFrame:
     Needs name_a, name_b, keywords_a, keywords_b.
     """
     shared = F.arrays_overlap(F.split(F.lower("name_a"), " "), F.split(F.lower("name_b"), " ")) | F.arrays_overlap("keywords_a", "keywords_b")
-    score = F.round((F.col("name_sim") + F.col("semantic_sim") + geo_sim(F.col("dist_m"), scale)) * (2 / 9) + F.col("address_sim") * (1 / 3), 6)
+    score = rounded((F.col("name_sim") + F.col("semantic_sim") + geo_sim(F.col("dist_m"), scale)) * (2 / 9) + F.col("address_sim") * (1 / 3))
     return pairs.where(shared).withColumn("score", score)
 
 
@@ -96,4 +96,4 @@ def belief(pairs: DataFrame, radius: float = 5.0, reliability: dict[str, float]
     for b in bodies[1:]:
         total = combine(total, b)
     near = F.col("dist_m") <= radius
-    return pairs.withColumns({"belief": F.when(near, F.round(total[0], 6)).otherwise(0.0), "disbelief": F.when(near, F.round(total[1], 6)).otherwise(1.0)}).withColumn("match", F.col("belief") > F.col("disbelief"))
+    return pairs.withColumns({"belief": F.when(near, rounded(total[0])).otherwise(0.0), "disbelief": F.when(near, rounded(total[1])).otherwise(1.0)}).withColumn("match", F.col("belief") > F.col("disbelief"))

@@ -200,7 +200,7 @@ def _gap_row(m: float) -> str:
 
 
 _GEO = "greatest(0.0, 1 - dist_m / 100.0::DOUBLE)"
-_ADDITIVE = {"a": f"round((name_sim + address_text + {_GEO}) / 3, 6)", "b": f"round((name_sim + {_GEO}) / 2, 6)"}
+_ADDITIVE = {"a": f"floor(((name_sim + address_text + {_GEO}) / 3) * 1000000.0::DOUBLE + 0.5::DOUBLE) / 1000000.0::DOUBLE", "b": f"floor(((name_sim + {_GEO}) / 2) * 1000000.0::DOUBLE + 0.5::DOUBLE) / 1000000.0::DOUBLE"}
 
 
 def _additive_sweep(which: str) -> str:
@@ -210,7 +210,7 @@ def _additive_sweep(which: str) -> str:
 
 _TOPK = f"""
 scored AS (
-  SELECT *, round((name_sim + semantic_sim + {_GEO}) * {2 / 9!r}::DOUBLE + address_sim * {1 / 3!r}::DOUBLE, 6) AS score FROM compared
+  SELECT *, floor(((name_sim + semantic_sim + {_GEO}) * {2 / 9!r}::DOUBLE + address_sim * {1 / 3!r}::DOUBLE) * 1000000.0::DOUBLE + 0.5::DOUBLE) / 1000000.0::DOUBLE AS score FROM compared
   WHERE list_has_any(string_split(lower(name_a), ' '), string_split(lower(name_b), ' ')) OR list_has_any(keywords_a, keywords_b)),
 ends AS (SELECT eid_a, eid_b, score, eid_a AS side, eid_b AS other FROM scored UNION ALL SELECT eid_a, eid_b, score, eid_b, eid_a FROM scored),
 placed AS (SELECT *, row_number() OVER (PARTITION BY side ORDER BY score DESC, other) AS rank FROM ends),
@@ -268,7 +268,7 @@ def _column(c: str) -> str:
 
 
 def _mu_variant(name: str, over: str) -> str:
-    return f"SELECT layer, round(coalesce(total / nullif({over}, 0), 0), 4) AS mu, '{name}' AS normalizer FROM totals JOIN summed s USING (layer)"
+    return f"SELECT layer, round(coalesce(total / nullif({over}, 0), 0), 4) + 0.0::DOUBLE AS mu, '{name}' AS normalizer FROM totals JOIN summed s USING (layer)"
 
 
 _DOC = """
@@ -350,9 +350,9 @@ ORACLES = {
     "early_stop_cut": _with(*_levels(), _STOP) + "SELECT s.layer, round(l.f1, 6) AS f1 FROM stop s JOIN levels l ON l.layer = s.layer",
     "early_stop_by_m": " UNION ALL ".join(_stop_row(m) for m in _CUT_M),
     "sweep_by_m": " UNION ALL ".join(f"SELECT * FROM ({_with(*_levels(m), BEST)} SELECT CAST({m} AS INTEGER) AS m, b.*, (SELECT max(tp) FROM levels) AS positives, (SELECT max(cum_pairs) FROM levels) AS pairs FROM best b)" for m in _M_VALUES),
-    "mu_curve": _with(*_levels(), mu()) + "SELECT layer, round(mu, 6) AS mu FROM mus",
+    "mu_curve": _with(*_levels(), mu()) + "SELECT layer, round(mu, 6) + 0.0::DOUBLE AS mu FROM mus",
     "mu_curve_squared": _with(*_levels(), mu("sqeuclidean")) + "SELECT layer, round(mu, 6) + 0.0::DOUBLE AS mu FROM mus",
-    "mu_curve_manhattan": _with(*_levels(), mu("manhattan")) + "SELECT layer, round(mu, 6) AS mu FROM mus",
+    "mu_curve_manhattan": _with(*_levels(), mu("manhattan")) + "SELECT layer, round(mu, 6) + 0.0::DOUBLE AS mu FROM mus",
     "mu_variants": _with(*_levels(), mu("sqeuclidean")) + " UNION ALL ".join(_mu_variant(n, o) for n, o in (("ranked", "s.n"), ("explored", "s.cum_pairs"), ("cross", "s.cum_pairs * (s.n - s.cum_pairs)"), ("remaining", "s.n - s.cum_pairs"))),
     "mu_derivative": _with(*_levels(), mu()) + "SELECT layer, round(dmu, 6) AS dmu FROM dmus",
     "mu_smoothed": _with(*_SEPARATION) + "SELECT layer, round(dmu_smooth, 6) AS dmu_smooth FROM smooths",
@@ -377,7 +377,7 @@ ORACLES = {
     "additive_pivot": _with(*_compared()) + f"SELECT threshold, a.f1 AS f1_a, b.f1 AS f1_b FROM ({_additive_sweep('a')}) a JOIN ({_additive_sweep('b')}) b USING (threshold)",
     "weighted_topk": _with(*_compared(), _TOPK) + "SELECT eid_a, eid_b FROM topped WHERE k <= 3",
     "weighted_topk_sweep": _with(*_compared(), _TOPK) + _TOPK_SWEEP,
-    "belief_links": _with(*_compared(), _BELIEF) + f"SELECT eid_a, eid_b, round(f{_LAST}, 6) AS belief, round(g{_LAST}, 6) AS disbelief FROM near{_LAST} WHERE round(f{_LAST}, 6) > round(g{_LAST}, 6)",
+    "belief_links": _with(*_compared(), _BELIEF) + f"SELECT * FROM (SELECT eid_a, eid_b, floor((f{_LAST}) * 1000000.0::DOUBLE + 0.5::DOUBLE) / 1000000.0::DOUBLE AS belief, floor((g{_LAST}) * 1000000.0::DOUBLE + 0.5::DOUBLE) / 1000000.0::DOUBLE AS disbelief FROM near{_LAST}) WHERE belief > disbelief",
     "link_groups": _with(*_MATCHED) + f""", links AS (SELECT eid_a AS a, eid_b AS b FROM ({_classified("best")}) WHERE match),
       both_ways AS (SELECT a, b FROM links UNION ALL SELECT b, a FROM links), reach(x, y) AS (SELECT eid, eid FROM places UNION SELECT x, b FROM reach JOIN both_ways ON y = a)
       SELECT eid, g AS "group" FROM places JOIN (SELECT x, min(y) AS g FROM reach GROUP BY x) ON x = eid""",

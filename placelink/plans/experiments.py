@@ -391,12 +391,12 @@ def early_stop_cut(s, d):
 
 
 def mu_curve(s, d, metric="euclidean", normalizer="ranked"):
-    return cutoff.separation_curve(ranked(s, d), ATTRS, metric, normalizer).withColumn("mu", F.round("mu", 6))
+    return cutoff.separation_curve(ranked(s, d), ATTRS, metric, normalizer).withColumn("mu", F.round("mu", 6) + F.lit(0.0))
 
 
 def mu_variants(s, d):
     r = ranked(s, d)
-    return _union([cutoff.separation_curve(r, ATTRS, "sqeuclidean", n).select("layer", F.round("mu", 4).alias("mu"), F.lit(n).alias("normalizer")) for n in cutoff.NORMALIZERS])
+    return _union([cutoff.separation_curve(r, ATTRS, "sqeuclidean", n).select("layer", (F.round("mu", 4) + F.lit(0.0)).alias("mu"), F.lit(n).alias("normalizer")) for n in cutoff.NORMALIZERS])
 
 
 def mu_derivative(s, d):
