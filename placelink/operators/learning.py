@@ -41,15 +41,16 @@ def _model(name: str):
 def supervised(pairs: DataFrame, model: str, attrs, protocol: str = "full", folds: int = 4) -> DataFrame:
     """One row: counts, precision, recall, F1 on held-out pairs.
 
-    "full" and "sample": each quarter is tested by a model of the other three; "transfer": learned on the sample, tested
+    The sample has SAMPLE pairs, a third of all at most. "full" and "sample": each quarter is tested by a model of the other three; "transfer": learned on the sample, tested
     on everything else.
     """
     ready = VectorAssembler(inputCols=_names(attrs), outputCol="features").transform(pairs.withColumn("label", F.col("label").cast("double")))
+    few = min(SAMPLE, max(1, ready.count() // 3)) if protocol != "full" else 0
     if protocol == "transfer":
-        sample = checked_sample(ready)
+        sample = checked_sample(ready, few)
         tested = _model(model).fit(sample).transform(ready.join(sample.select("eid_a", "eid_b"), ["eid_a", "eid_b"], "left_anti"))
     else:
-        data = fold(checked_sample(ready) if protocol == "sample" else ready, folds).cache()
+        data = fold(checked_sample(ready, few) if protocol == "sample" else ready, folds).cache()
         tested = None
         for i in range(folds):
             part = _model(model).fit(data.where(F.col("fold") != i)).transform(data.where(F.col("fold") == i)).select("prediction", "label")

@@ -530,7 +530,8 @@ def weighted_topk_sweep(s, d):
 
 
 def belief_links(s, d):
-    return baselines.belief(compared(s, d)).where("match").select("eid_a", "eid_b", "belief", "disbelief")
+    near = compared(s, d).where("dist_m <= 5")  # goes below the comparison
+    return baselines.belief(near).where("match").select("eid_a", "eid_b", "belief", "disbelief")
 
 
 def baseline_summary(s, d):
