@@ -202,6 +202,21 @@ def test_licenses_judge_wording():
     assert {s.judge(wrapped[a:b])[0] for a, b in s.blocks("prose\n\n\n\n\n\n" + wrapped + "\n\n\n\n\n\nprose")} <= {"Apache-2.0", None}
 
 
+PROSE = "The harbour was quiet that morning and the boats had not yet returned from the long night of fishing beyond the old grey lighthouse. Nobody on the pier could say how many had gone out, nor when the wind would turn. "
+
+
+@pytest.mark.parametrize("line, name", [(t, n) for n, ts in licenses.TEMPLATES.items() for t in ts])
+def test_licenses_are_not_diluted_by_prose(line, name):
+    s = licenses.Scanner()
+    for size in (0, 60, 140, 200, 900):
+        before, after = (PROSE * 5)[:size], (PROSE * 5)[len(PROSE) : len(PROSE) + size]
+        text = f"{before} {line} {after}"
+        assert name in {s.judge(text[a:b])[0] for a, b in s.blocks(text)}, size
+    assert s.judge(PROSE * 5 + "He had a license for his dog, and the copyright of a song.")[0] is None
+    between = f"{line}\n{PROSE[:100]}\n{line}"
+    assert name in {s.judge(between[a:b])[0] for a, b in s.blocks(between)}
+
+
 def test_licenses_odd(spark, odd):
     assert licenses.scan(odd).count() == 0 and licenses.scan(odd.limit(0)).count() == 0
     long = "x " * 500_000 + "Licensed under CC BY 4.0." + " y" * 500_000
