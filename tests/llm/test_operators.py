@@ -217,6 +217,29 @@ def test_licenses_are_not_diluted_by_prose(line, name):
     assert name in {s.judge(between[a:b])[0] for a, b in s.blocks(between)}
 
 
+def test_licenses_of_one_block_are_all_reported(spark):
+    lines = {t: n for n, ts in licenses.TEMPLATES.items() for t in ts}
+    everything = "\n".join(lines)
+    dual = "Released under the MIT License.\nLicensed under the Apache License, Version 2.0."
+    reserved = f"{PROSE}Licensed under CC BY 4.0. {PROSE[:90]}All rights reserved. Released under the MIT License."
+    foreign = "Released under the MIT License.\nThe dog has a license of its own.\nReleased under the MIT License."
+    got = collections.defaultdict(list)
+    texts = {1: dual, 2: reserved, 3: everything, 4: foreign}
+    for r in licenses.scan(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).collect():
+        got[r.doc_id].append(r)
+    names = {i: [r.license for r in sorted(rows, key=lambda r: r.block_start)] for i, rows in got.items()}
+    assert names[1] == ["MIT", "Apache-2.0"]
+    assert names[2] == ["CC-BY-4.0", "LicenseRef-All-rights-reserved", "MIT"]
+    assert names[3] == list(lines.values())
+    assert names[4] == ["MIT", None, "MIT"]
+    for i, rows in got.items():
+        spans = sorted((r.block_start, r.block_start + r.block_length) for r in rows)
+        assert all(b <= c for (_, b), (c, _) in zip(spans, spans[1:], strict=False))
+        for r in rows:
+            part = texts[i][r.block_start : r.block_start + r.block_length]
+            assert r.license is None or r.verdict == "exact" and any(t.startswith(part) and lines[t] == r.license for t in lines)
+
+
 def test_licenses_odd(spark, odd):
     assert licenses.scan(odd).count() == 0 and licenses.scan(odd.limit(0)).count() == 0
     long = "x " * 500_000 + "Licensed under CC BY 4.0." + " y" * 500_000
