@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections import deque
+from collections.abc import Iterator
 
 import numpy as np
 from pyspark.ml.classification import DecisionTreeClassifier, LinearSVC, LogisticRegression, NaiveBayes
@@ -17,8 +18,10 @@ from placelink.operators.metrics import confusion, prf
 MODELS = ("logreg", "svm", "tree", "bayes")
 PROTOCOLS = ("full", "sample", "transfer")
 SAMPLE = 1_500
-#: Vectors that clustering without a Spark implementation takes; more are sampled by hash.
+#: Vectors whose matrix of all distances agglomeration holds at once; more are an error. No other method has a limit.
 MOST_CLUSTERED = 3_000
+#: Numbers that k-medoids and DBSCAN hold at once for a stretch of distances.
+STRETCH = 4_000_000
 
 
 def checked_sample(pairs: DataFrame, n: int = SAMPLE) -> DataFrame:
@@ -73,41 +76,55 @@ def best_orientation(vectors: DataFrame, cluster: str = "cluster") -> DataFrame:
 
 
 def cluster(vectors: DataFrame, method: str, attrs, **options) -> DataFrame:
-    """vectors (attributes, pairs, positives) with `cluster` 0 or 1, by k-means, k-medoids, agglomeration or DBSCAN."""
+    """vectors (attributes, pairs, positives) with `cluster` 0 or 1, by k-means, k-medoids, agglomeration or DBSCAN.
+
+    Every vector gets a cluster. All but k-means read the distinct vectors to the driver and take time that grows with their
+    square; agglomeration, which needs all distances at once, raises an error beyond MOST_CLUSTERED vectors.
+    """
     names = _names(attrs)
     if method == "kmeans":
         ready = VectorAssembler(inputCols=names, outputCol="features").transform(vectors)
         model = KMeans(k=2, seed=1, weightCol="pairs", featuresCol="features", predictionCol="cluster").fit(ready)
         return model.transform(ready).drop("features")
-    few = vectors.orderBy(F.xxhash64(*names)).limit(MOST_CLUSTERED).orderBy(*names).toPandas()
-    x, w = few[names].to_numpy(float), few["pairs"].to_numpy(float)
-    few["cluster"] = {"kmedoids": k_medoids, "agglomerative": agglomerative, "dbscan": dbscan}[method](x, w, **options)
-    return vectors.sparkSession.createDataFrame(few)
+    found = vectors.orderBy(*names).toPandas()
+    x, w = found[names].to_numpy(float), found["pairs"].to_numpy(float)
+    found["cluster"] = {"kmedoids": k_medoids, "agglomerative": agglomerative, "dbscan": dbscan}[method](x, w, **options)
+    return vectors.sparkSession.createDataFrame(found)
+
+
+def _distances(x: np.ndarray, y: np.ndarray | None = None) -> np.ndarray:
+    y = x if y is None else y
+    return np.sqrt(np.maximum(((x[:, None] - y[None]) ** 2).sum(axis=2), 0))
 
 
-def _distances(x: np.ndarray) -> np.ndarray:
-    return np.sqrt(np.maximum(((x[:, None] - x[None]) ** 2).sum(axis=2), 0))
+def _stretches(x: np.ndarray) -> Iterator[np.ndarray]:
+    """The matrix of all distances, some rows at a time."""
+    step = max(1, STRETCH // max(1, x.size))
+    for i in range(0, len(x), step):
+        yield _distances(x[i : i + step], x)
 
 
 def k_medoids(x: np.ndarray, w: np.ndarray, rounds: int = 50) -> np.ndarray:
     """Two medoids by alternation, from the most distant pair of a weighted start."""
-    d = _distances(x)
     if len(x) < 2:
         return np.zeros(len(x), int)
-    medoids = [int((d * w).sum(axis=1).argmin())]
-    medoids.append(int((d[medoids[0]] * w).argmax()))
+    costs = lambda at: np.concatenate([(d * w[at]).sum(axis=1) for d in _stretches(x[at])])
+    medoids = [int(costs(np.arange(len(x))).argmin())]
+    medoids.append(int((_distances(x[medoids], x)[0] * w).argmax()))
     for _ in range(rounds):
-        own = d[medoids].argmin(axis=0)
-        new = [int(np.flatnonzero(own == c)[(d[np.ix_(own == c, own == c)] * w[own == c]).sum(axis=1).argmin()]) if (own == c).any() else medoids[c] for c in (0, 1)]
+        own = _distances(x[medoids], x).argmin(axis=0)
+        new = [int(np.flatnonzero(own == c)[costs(np.flatnonzero(own == c)).argmin()]) if (own == c).any() else medoids[c] for c in (0, 1)]
         if new == medoids:
             break
         medoids = new
-    return d[medoids].argmin(axis=0)
+    return _distances(x[medoids], x).argmin(axis=0)
 
 
 def agglomerative(x: np.ndarray, w: np.ndarray, linkage: str = "average") -> np.ndarray:
     """Joins the nearest groups until two are left (average, single or complete linkage, weighted)."""
     n = len(x)
+    if n > MOST_CLUSTERED:
+        raise ValueError(f"agglomeration holds all distances of {MOST_CLUSTERED} vectors at most, not of {n}")
     d, size, root = _distances(x), w.astype(float).copy(), list(range(n))
     np.fill_diagonal(d, np.inf)
     alive = np.ones(n, bool)
@@ -142,8 +159,9 @@ def agglomerative(x: np.ndarray, w: np.ndarray, linkage: str = "average") -> np.
 
 def dbscan(x: np.ndarray, w: np.ndarray, eps: float = 0.1, least: float = 5) -> np.ndarray:
     """Density clusters: the largest is 0; noise and all other clusters are 1."""
-    d = _distances(x)
-    core = ((d <= eps) * w).sum(axis=1) >= least
+    if not len(x):
+        return np.zeros(0, int)
+    core = np.concatenate([((d <= eps) * w).sum(axis=1) for d in _stretches(x)]) >= least
     label = np.full(len(x), -1)
     current = 0
     for i in np.flatnonzero(core):
@@ -154,9 +172,10 @@ def dbscan(x: np.ndarray, w: np.ndarray, eps: float = 0.1, least: float = 5) ->
         while queue:
             k = queue.popleft()
             if core[k]:
-                for j in np.flatnonzero((d[k] <= eps) & (label < 0)):
-                    label[j] = current
-                    queue.append(j)
+                free = np.flatnonzero(label < 0)
+                near = free[_distances(x[k : k + 1], x[free])[0] <= eps]
+                label[near] = current
+                queue.extend(near.tolist())
         current += 1
     if current == 0:
         return np.ones(len(x), int)

@@ -257,6 +257,27 @@ def test_clusters(spark):
         assert len(set(c[:30])) == len(set(c[30:])) == 1 and c[0] != c[-1]
 
 
+@pytest.mark.parametrize("method", ["kmedoids", "dbscan"])
+def test_clusters_of_many_vectors_cover_all_pairs(spark, method, monkeypatch):
+    n = learning.MOST_CLUSTERED + 500
+    v = spark.range(n).select((F.col("id") / n * F.when(F.col("id") % 3 == 0, 0.1).otherwise(1.0)).alias("a"), (F.col("id") % 3 / 2).alias("b"), F.lit(7).alias("pairs"), (F.col("id") % 2).alias("positives"))
+    r = learning.best_orientation(learning.cluster(v, method, ("a", "b"))).first()
+    assert r.tp + r.fp + r.fn + r.tn == 7 * n and r.tp + r.fn == n // 2
+    # stretches of few rows give what the whole matrix gives
+    x, w = np.random.default_rng(5).random((300, 3)), np.random.default_rng(6).integers(1, 9, 300).astype(float)
+    f = {"kmedoids": learning.k_medoids, "dbscan": learning.dbscan}[method]
+    whole = f(x, w)
+    monkeypatch.setattr(learning, "STRETCH", 5_000)
+    assert (f(x, w) == whole).all() and set(whole) == {0, 1}
+
+
+def test_agglomeration_refuses_more_than_it_holds(spark):
+    n = learning.MOST_CLUSTERED + 1
+    v = spark.range(n).select((F.col("id") / n).alias("a"), F.lit(1).alias("pairs"), F.lit(0).alias("positives"))
+    with pytest.raises(ValueError, match="3000"):
+        learning.cluster(v, "agglomerative", ("a",))
+
+
 def test_components_equal_union_find(spark):
     rng = random.Random(3)
     links = [(rng.randrange(300), rng.randrange(300)) for _ in range(220)] + [(i, i + 1) for i in range(1000, 1040)] + [(2000, i) for i in range(2001, 2060)]
