@@ -33,18 +33,30 @@ def drop_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
     return _kept(docs, scored.select("doc_id", (F.col("score") >= boosting.DECISION).alias("kept")))
 
 
+def _keyed(docs: DataFrame, name: str) -> DataFrame:
+    """The documents with a stored number of each row, __row, and a hash of what it says, __tie; ids may be null or repeat."""
+    return stored(docs.select(*COLUMNS, F.monotonically_increasing_id().alias("__row"), F.xxhash64(*COLUMNS).alias("__tie")), name)
+
+
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group stays: five-word shingles, similarity 0.8."""
-    stay = _kept(docs, neardup.near_duplicates(docs))
-    return stay.where("doc_id is not null").dropDuplicates(["doc_id"]).unionByName(stay.where("doc_id is null"))
+    """One row of each group stays, that of the least id (null last): five-word shingles, similarity 0.8.
+
+    Rows are compared by their texts, whatever their ids; a row without words is in no group and stays.
+    """
+    rows = _keyed(docs, "pipeline-rows")
+    groups = neardup.near_duplicates(rows.select(F.col("__row").alias("doc_id"), "text")).select(F.col("doc_id").alias("__row"), "component_id")
+    first = F.min(F.struct(F.col("doc_id").isNull(), F.col("doc_id"), F.col("__tie"), F.col("__row"))).alias("first")
+    stay = groups.join(rows.select("__row", "doc_id", "__tie"), "__row").groupBy("component_id").agg(first).select(F.col("first.__row").alias("__row"))
+    return rows.join(stay, "__row", "left_semi").select(*COLUMNS)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Whole documents, as many copies as the mix takes."""
-    sizes = stored(docs.select("doc_id", "source", n_words(F.col("text")).alias("size")), "pipeline-sizes")
-    mix = mixing.mix(sizes, mixing.source_targets(sizes), mixing.preference_by_size(F.col("size")), cut=False)
-    copies = mix.select(F.col("doc_id").alias("__id"), F.expr("cast(copies + if(part > 0, 1, 0) as int)").alias("__copies")).where("__copies > 0")
-    return docs.join(copies, F.col("doc_id") == F.col("__id")).withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__copies")))).select(*COLUMNS)
+    """Whole documents, as many copies as the mix takes; every row is a document of its own, whatever its id."""
+    rows = _keyed(docs, "pipeline-rows")
+    sizes = stored(rows.select("__row", "__tie", "doc_id", "source", n_words(F.col("text")).alias("size")), "pipeline-sizes")
+    mix = mixing.mix(sizes, mixing.source_targets(sizes), mixing.preference_by_size(F.col("size")), cut=False, ties=("__tie",))
+    copies = mix.select("__row", F.expr("cast(copies + if(part > 0, 1, 0) as int)").alias("__copies")).where("__copies > 0")
+    return rows.join(copies, "__row").withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__copies")))).select(*COLUMNS)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

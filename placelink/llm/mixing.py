@@ -50,11 +50,12 @@ def preference_by_size(size: Column) -> Column:
     return size / (size + F.lit(100.0)) + F.lit(0.5)
 
 
-def mix(sizes: DataFrame, targets: DataFrame, preference: Column | None = None, salt: str = "mix:", cut: bool = True) -> DataFrame:
+def mix(sizes: DataFrame, targets: DataFrame, preference: Column | None = None, salt: str = "mix:", cut: bool = True, ties: tuple[str, ...] = ()) -> DataFrame:
     """sizes (doc_id, source, size, more) with source_size, target, copies (whole ones), part (further words), taken.
 
     cut=True ends a source exactly at its target, inside its last document; cut=False takes that document whole if more
-    than half of it fits (part is then 0 or the size). No document exceeds the copies of its source by more than one.
+    than half of it fits (part is then 0 or the size). No document exceeds the copies of its source by more than one. Rows
+    of equal odds, id and size are taken in the order of the columns `ties`.
     """
     t = targets.select(F.col("source").alias("__source"), "source_size", "target", "words")
     d = sizes.join(t, F.col("source").eqNullSafe(F.col("__source"))).drop("__source")
@@ -66,7 +67,7 @@ def mix(sizes: DataFrame, targets: DataFrame, preference: Column | None = None,
     d = d.withColumn("u", share_of(F.col("doc_id"), salt))
     d = d.withColumn("odds", u / (1 - u) / (like / (1 - like)))
     # odds lie in [0, inf); x / (1 + x) puts them in [0, 1) in the same order
-    d = running_before(d, ["source"], F.col("odds") / (1 + F.col("odds")), [F.col("odds"), F.col("doc_id"), F.col("size")], "size", "before")
+    d = running_before(d, ["source"], F.col("odds") / (1 + F.col("odds")), [F.col("odds"), F.col("doc_id"), F.col("size"), *map(F.col, ties)], "size", "before")
     part = F.greatest(F.lit(0), F.least(F.col("size"), F.col("rest") - F.col("before")))
     if not cut:
         part = F.when(2 * part > F.col("size"), F.col("size")).otherwise(F.lit(0))

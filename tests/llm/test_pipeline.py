@@ -30,6 +30,43 @@ def test_stages(spark):
     assert docs.select(F.sum("length")).first()[0] > 0
 
 
+def text(seed, n=40):
+    return " ".join(f"w{(seed * 7919 + i * i * 31 + i) % 99991}" for i in range(n))
+
+
+def rows_of(df):
+    return sorted(map(tuple, df.collect()), key=repr)
+
+
+def test_mixing_keeps_null_repeated_and_conflicting_ids(spark):
+    clean = [(i, text(i), "en", "ab"[i % 2], 1) for i in range(200)]
+    null_ids = [(None, text(1000 + i), "en", "ab"[i % 2], 1) for i in range(60)]
+    repeated = [(7, text(7), "en", "b", 1)] * 20
+    conflicting = [(8, text(2000 + i), "en", "a", 1) for i in range(20)]
+    docs = spark.createDataFrame(clean + null_ids + repeated + conflicting, "doc_id long, text string, lang string, source string, n_chars long").repartition(3)
+    sizes = docs.select("doc_id", "source", n_words(F.col("text")).alias("size"))
+    target = {r.source: r.target for r in mixing.source_targets(sizes).collect()}
+    got = cp.mix_sources(spark, docs, SF)
+    taken = {r.source: r.n for r in got.groupBy("source").agg(F.sum(n_words(F.col("text"))).alias("n")).collect()}
+    assert all(abs(taken[s] - t) <= 40 for s, t in target.items())
+    assert got.where("doc_id is null").count() > 0
+    assert got.groupBy("doc_id", "text").count().where("doc_id != 7 or doc_id is null").agg(F.max("count")).first()[0] <= mixing.MAX_COPIES
+    assert rows_of(got) == rows_of(cp.mix_sources(spark, docs.repartition(5), SF))
+
+
+def test_near_duplicates_of_null_repeated_and_conflicting_ids(spark):
+    near = text(1).rsplit(" ", 1)[0] + " other"
+    rows = [
+        (1, text(1), "en", "a", 1), (1, text(2), "en", "a", 1), (1, text(3), "en", "a", 1),  # different texts under one id
+        (2, near, "en", "a", 1), (2, text(4), "en", "a", 1),  # only the first is a near-duplicate
+        (3, text(5), "en", "a", 1), (3, text(5), "en", "a", 1),  # a repeated row
+        (None, text(6), "en", "a", 1), (None, text(6), "en", "a", 1), (None, text(2), "en", "a", 1), (None, None, "en", "a", 1),
+    ]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    want = [rows[0], rows[1], rows[2], rows[4], rows[5], rows[7], rows[10]]
+    assert rows_of(cp.drop_near_duplicates(spark, docs, SF)) == sorted(want, key=repr)
+
+
 def test_run_twice_agrees(spark):
     rows = lambda: sorted(map(tuple, cp.run(spark, SF).select("doc_id", "start", "length", "ids_crc32").collect()))
     assert rows() == rows()
