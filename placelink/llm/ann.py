@@ -52,8 +52,12 @@ class Forest:
         bits = np.packbits(whole @ self.planes[t] > 0, axis=1)
         return bits.view(">u8").astype(np.uint64).ravel()
 
-    def ranges(self, q: np.ndarray, enough: int) -> list[list[tuple[int, int]]]:
-        """For every query the range of every tree at the longest common prefix length that gives enough candidates."""
+    def ranges(self, q: np.ndarray, enough: int, distinct: np.ndarray) -> list[list[tuple[int, int]]]:
+        """For every query the range of every tree at the longest common prefix length that gives enough candidates.
+
+        Enough are `enough` entries of all trees together, among them `distinct` different rows (by query; all, if there are fewer).
+        """
+        distinct = np.minimum(distinct, len(self.x))
         whole = np.concatenate([q, np.zeros((len(q), 1))], axis=1)
         own = [self._strings(whole, t) for t in range(len(self.order))]
         low = np.zeros((len(self.order), len(q)), np.int64)
@@ -64,7 +68,13 @@ class Forest:
             for t, strings in enumerate(self.strings):
                 low[t, todo] = np.searchsorted(strings, own[t][todo] & mask, side="left")
                 high[t, todo] = np.searchsorted(strings, own[t][todo] | ~mask, side="right")
-            todo = todo[(high[:, todo] - low[:, todo]).sum(axis=0) < enough]
+            found = high[:, todo] - low[:, todo]
+            # one tree with that many entries settles it, as its entries differ
+            few = (found.sum(axis=0) < enough) | (found.max(axis=0) < distinct[todo])
+            for i in np.flatnonzero(few & (found.sum(axis=0) >= enough)):
+                at = todo[i]
+                few[i] = len(self.candidates(list(zip(low[:, at], high[:, at], strict=True)))) < distinct[at]
+            todo = todo[few]
             if not len(todo):
                 break
         return [list(zip(low[:, i].tolist(), high[:, i].tolist(), strict=True)) for i in range(len(q))]
@@ -105,7 +115,8 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = NEAREST, share: float
             return _FOUND.empty_table()
         forest = Forest(x[~ask][order], longest, trees)
         out_q, out_id, out_score = [], [], []
-        for i, ranges in enumerate(forest.ranges(queries, max(4 * k, int(share * trees * len(row_ids))))):
+        own = np.searchsorted(row_ids, query_ids, side="right") - np.searchsorted(row_ids, query_ids, side="left")
+        for i, ranges in enumerate(forest.ranges(queries, max(4 * k, int(share * trees * len(row_ids))), k + own)):
             c = forest.candidates(ranges)
             c = c[row_ids[c] != query_ids[i]]
             score = forest.x[c] @ queries[i]

@@ -202,6 +202,23 @@ def test_licenses_judge_wording():
     assert {s.judge(wrapped[a:b])[0] for a, b in s.blocks("prose\n\n\n\n\n\n" + wrapped + "\n\n\n\n\n\nprose")} <= {"Apache-2.0", None}
 
 
+def test_nearest_lists_are_full_in_small_tables():
+    for seed in range(300):
+        n = (15, 20, 22)[seed % 3]
+        x = np.random.default_rng(seed).standard_normal((n, 64))
+        forest = ann.Forest(x, float(np.sqrt((x * x).sum(axis=1).max())))
+        least = max(4 * ann.NEAREST, int(ann.SHARE * ann.TREES * n))
+        for r in forest.ranges(x, least, np.full(n, ann.NEAREST + 1)):
+            assert len(forest.candidates(r)) >= min(ann.NEAREST + 1, n)
+
+
+def test_nearest_of_twenty_rows_are_all_others(spark):
+    for seed in (3, 5):
+        x = np.random.default_rng(seed).standard_normal((20, 64))
+        v = spark.createDataFrame([(i, e.tolist()) for i, e in enumerate(x)], "vec_id long, embedding array<double>")
+        assert ann.nearest(v, F.lit(True)).count() == 20 * 19
+
+
 PROSE = "The harbour was quiet that morning and the boats had not yet returned from the long night of fishing beyond the old grey lighthouse. Nobody on the pier could say how many had gone out, nor when the wind would turn. "
 
 
