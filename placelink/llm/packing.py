@@ -11,7 +11,7 @@ Because the plan is closed, a task needs only the totals per queue (a bounded nu
 in their queues; token ids are written once and never shuffled.
 
 Defined cases: a null text is empty and has the end id only; null sources are one queue; beyond MAX_QUEUES sources,
-queues are shared by hash; repeated rows are documents of their own; an empty table gives no pieces.
+queues are shared by hash (explicit weights are then an error); repeated rows are documents of their own; an empty table gives no pieces.
 """
 
 from __future__ import annotations
@@ -196,6 +196,8 @@ def pack(tokenized: DataFrame, weights: dict[str, float] | None = None, size: in
     """Pieces: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset. `tokenized` must be a stored table."""
     parts = tokenized.groupBy("queue", "task").agg(F.sum("tokens").alias("n"))
     totals = parts.groupBy("queue").agg(F.sum("n").alias("n")).orderBy("queue").toPandas()  # MAX_QUEUES rows at most
+    if weights is not None and any(q.startswith("h") for q in totals["queue"]):
+        raise ValueError(f"weights are by source, but beyond {MAX_QUEUES} sources queues are shared by hash")
     number = {q: i for i, q in enumerate(totals["queue"])}
     plan = phases(totals["n"].to_numpy(np.int64), None if weights is None else [weights.get(q, 1.0) for q in totals["queue"]], size)
     earlier = W.partitionBy("queue").orderBy("task").rowsBetween(W.unboundedPreceding, -1)

@@ -445,3 +445,9 @@ def test_non_negative_risk_recovers_labels():
     u = np.concatenate([p[:100], n[:300]])
     w, b = toxicity.fit(p[100:200], u, 0.25)
     assert ((p[200:] @ w + b) > 0).mean() > 0.95 and ((n[300:] @ w + b) < 0).mean() > 0.95
+
+
+def test_packing_refuses_weights_of_shared_queues(spark):
+    tokenized = spark.createDataFrame([(1, "h5", 0, 0, 3)], "doc_id long, queue string, task int, before long, tokens long")
+    with pytest.raises(ValueError, match="shared by hash"):
+        packing.pack(tokenized, {"sa": 2.0})
