@@ -5,7 +5,10 @@ Statistics come from whole texts, a block of texts at once. The trees are fitted
 
 Defined cases: null and empty texts have zero statistics and a score like any other; rows whose label or id is null
 teach nothing; with no labelled rows, or of one class only, the score is the smoothed share of label 1; repeated rows
-each get their row; memory is bounded by about 1 MB of text at once, or one text if that is longer.
+each get their row, and all texts of a labelled id are learned from; the larger label counts where an id has several;
+splits that tie go to the first statistic and the lowest threshold; an empty table gives an empty result; only doc_id
+and text are read, so other columns may have any name; memory is bounded by about 1 MB of text at once, or one text if
+that is longer.
 """
 
 from __future__ import annotations
@@ -45,7 +48,7 @@ def statistics(data: np.ndarray, at: np.ndarray) -> np.ndarray:
     w = Words(data, at)
     n, size = np.maximum(w.n_words, 1), np.maximum(at[1:] - at[:-1], 1)
     chars = np.maximum(w.sum(w.chars), 1)
-    _, keys = c.windows(w.hashes, w.of, 1)
+    _, keys = w.windows(1)
     _, first = np.unique(keys, return_index=True)
     distinct = np.bincount(w.of[first], minlength=w.texts)
     lines, line_chars = w.lines()
@@ -143,15 +146,9 @@ def learn(docs: DataFrame, labels: DataFrame, bound: int = FIT_ROWS) -> Trees:
     return fit(x, rows["y"].to_numpy(np.float64))
 
 
-def score(docs: DataFrame, model: Trees) -> DataFrame:
-    """doc_id and score of every document."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for i, j, data, at in c.chunks(batch.column("text")):
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(i, j - i).cast(pa.int64()), pa.array(model.score(statistics(data, at)))], names=["doc_id", "score"])
-
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, score double")
+def score(docs: DataFrame, model: Trees, columns: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+    """The given columns of every document and its score (0 to 1)."""
+    return c.scored(docs, lambda data, at: model.score(statistics(data, at)), columns)
 
 
 #: Fixed values of the contract: held-out fold and decision.

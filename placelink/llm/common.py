@@ -6,12 +6,14 @@ which are all ASCII, so byte positions are safe cuts. A null text counts as an e
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from placelink.operators.storage import shared_dir, stored
 
@@ -24,9 +26,13 @@ _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[ord("A") : ord("Z") + 1] += 32
-_BYTE = np.random.default_rng(20240229).integers(1, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-_BASE = 0x9E3779B97F4A7C15 | 1
 _BLOCK = 1 << 20
+#: Spans of more bytes are hashed one by one.
+_LONG = 1 << 16
+#: Fixed value: the Mersenne prime of the span hashes, and the base of their polynomials.
+_PRIME = np.uint64(2**61 - 1)
+_BASE = 0x12F2A7C5D1B3E947 % (2**61 - 1)
+_HALF, _LOW = np.uint64(32), np.uint64(2**32 - 1)
 
 
 def n_words(text: Column) -> Column:
@@ -47,6 +53,20 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def scored(docs: DataFrame, score: Callable[[np.ndarray, np.ndarray], np.ndarray], columns: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+    """The given columns of every row of docs and the score of its text (a function of a block of texts)."""
+    rows = docs.select(*columns, *(["text"] if "text" not in columns else []))
+    schema = T.StructType([*(rows.schema[k] for k in columns), T.StructField("score", T.DoubleType())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i, j, data, at in chunks(batch.column("text")):
+                own = [batch.column(k).slice(i, j - i) for k in columns]
+                yield pa.RecordBatch.from_arrays([*own, pa.array(score(data, at))], names=[*columns, "score"])
+
+    return rows.mapInArrow(run, schema)
+
+
 # --- bytes of a batch -------------------------------------------------------------------------------------------
 
 
@@ -72,18 +92,33 @@ def chunks(column: pa.Array, most: int = _BLOCK) -> Iterator[tuple[int, int, np.
         i = j
 
 
+def _reduced(x: np.ndarray) -> np.ndarray:
+    """Values below 2^64 modulo the prime."""
+    x = (x & _PRIME) + (x >> np.uint64(61))
+    return np.where(x >= _PRIME, x - _PRIME, x)
+
+
+def times(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Products modulo the prime of values below it, in halves of 31 and 30 bits."""
+    thirty, low, most = np.uint64(30), np.uint64(2**30 - 1), np.uint64(2**31 - 1)
+    a1, a0, b1, b0 = a >> np.uint64(31), a & most, b >> np.uint64(31), b & most
+    middle = a1 * b0 + a0 * b1
+    # 2^61 counts as 1: the upper product comes twice, the middle one is split at 30 bits
+    return _reduced(_reduced(a1 * b1 * np.uint64(2) + (middle >> thirty) + ((middle & low) << np.uint64(31))) + a0 * b0)
+
+
 _powers: list[np.ndarray] = []
 
 
-def _pow(n: int) -> tuple[np.ndarray, np.ndarray]:
-    if not _powers or len(_powers[0]) < n + 1:
-        size = max(n + 1, _BLOCK + 4096)
-        for base in (_BASE, pow(_BASE, -1, 2**64)):
-            steps = np.full(size, base, np.uint64)
-            steps[0] = 1
-            _powers.append(np.cumprod(steps))
-        del _powers[:-2]
-    return _powers[0], _powers[1]
+def _pow() -> np.ndarray:
+    """The powers of the base up to the bytes that a block of spans can have."""
+    if not _powers:
+        power = np.ones(1, np.uint64)
+        while len(power) <= _BLOCK + _LONG:
+            top = np.array([pow(_BASE, len(power), 2**61 - 1)], np.uint64)
+            power = np.concatenate([power, times(power, np.broadcast_to(top, len(power)))])
+        _powers.append(power[: _BLOCK + _LONG + 1])
+    return _powers[0]
 
 
 def mix(h: np.ndarray) -> np.ndarray:
@@ -96,17 +131,30 @@ def mix(h: np.ndarray) -> np.ndarray:
 
 
 def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """A 64-bit hash of the bytes of each span; spans are ordered and do not overlap."""
+    """A 64-bit hash of the bytes of each span; spans are ordered and do not overlap.
+
+    Short spans are polynomials modulo a prime, from running sums over a block of them, brought to one power of the base;
+    long ones are hashed one by one.
+    """
     out = np.zeros(len(starts), np.uint64)
-    k = 0
-    while k < len(starts):  # blocks, so that a very long text needs no more memory than others
+    long = ends - starts > _LONG
+    for k in np.flatnonzero(long):
+        out[k] = xxhash.xxh3_64_intdigest(data[starts[k] : ends[k]].tobytes())
+    spot = np.flatnonzero(~long)
+    starts, ends = starts[spot], ends[spot]
+    power, k = _pow(), 0
+    while k < len(starts):
         last = max(k + 1, int(np.searchsorted(ends, starts[k] + _BLOCK, side="right")))
         a, b = int(starts[k]), int(ends[last - 1])
-        up, down = _pow(b - a)
-        sums = np.zeros(b - a + 1, np.uint64)
-        np.cumsum(_BYTE[data[a:b]] * up[: b - a], out=sums[1:])
+        digit = data[a:b].astype(np.uint64) + np.uint64(1)
         s, e = starts[k:last] - a, ends[k:last] - a
-        out[k:last] = mix((sums[e] - sums[s]) * down[s] + (e - s).astype(np.uint64))
+        whole = np.zeros(last - k, np.uint64)
+        for shift, part in ((32, power[: b - a] >> _HALF), (0, power[: b - a] & _LOW)):  # at most 2^21 sums of 2^41
+            sums = np.zeros(b - a + 1, np.uint64)
+            np.cumsum(digit * part, out=sums[1:])
+            piece = _reduced(sums[e] - sums[s])
+            whole = _reduced(whole + (times(piece, np.full(len(piece), 2**32, np.uint64)) if shift else piece))
+        out[spot[k:last]] = mix(times(whole, power[len(power) - 1 - s]) + ((e - s).astype(np.uint64) << np.uint64(43)))
         k = last
     return out
 
@@ -140,16 +188,27 @@ def per_text(flags: np.ndarray, at: np.ndarray) -> np.ndarray:
     return sums[at[1:]] - sums[at[:-1]]
 
 
-def windows(hashes: np.ndarray, of: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """First word and hash of every window of n words within a text; equal only inside one text."""
-    m = len(hashes) - n + 1
+def longer(rolled: np.ndarray, hashes: np.ndarray, n: int) -> np.ndarray:
+    """Hashes of all runs of n words from those of all runs of n - 1 words."""
+    m = max(0, len(hashes) - n + 1)
+    return mix(rolled[:m] * np.uint64(0x9E3779B97F4A7C15) + hashes[n - 1 : n - 1 + m])
+
+
+def runs(hashes: np.ndarray, n: int) -> np.ndarray:
+    """Hashes of all runs of n words."""
+    rolled = hashes
+    for k in range(2, n + 1):
+        rolled = longer(rolled, hashes, k)
+    return rolled
+
+
+def windows(rolled: np.ndarray, of: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """First word and hash of every run of n words that lies within a text; equal only inside one text."""
+    m = len(rolled)
     if m <= 0:
         return np.zeros(0, np.int64), np.zeros(0, np.uint64)
-    h = np.zeros(m, np.uint64)
-    for i in range(n):
-        h = h * np.uint64(_BASE) + hashes[i : i + m]
     first = np.flatnonzero(of[:m] == of[n - 1 :])
-    return first, mix(h[first] + mix(of[first].astype(np.uint64) + np.uint64(n)))
+    return first, mix(rolled[first] + mix(of[first].astype(np.uint64) + np.uint64(n)))
 
 
 def repeated(keys: np.ndarray) -> np.ndarray:

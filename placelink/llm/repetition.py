@@ -2,10 +2,12 @@
 
 A text fails when too many of its characters lie in its most frequent n-gram (n 2 to 4), in n-grams that it had before
 (n 5 to 10) or in lines that it had before: what could go without loss. N-grams are windows of words; their hashes roll over the word hashes of a
-block of texts at once, keyed by text, so that one sort finds what repeats.
+block of texts at once (each length from the one before), keyed by text, so that one sort finds what repeats.
 
 Defined cases: a null text is empty, has no words and is not kept (it fails the base rule of ten words); repeated rows
-and null ids pass through as they are; memory is bounded by about 1 MB of text at once, or one text if that is longer.
+and null ids pass through as they are; of measures that tie as the worst the first of LIMITS is named; a measure at its
+limit passes; an empty table gives an empty result; only doc_id and text are read, so other columns may have any name;
+memory is bounded by about 1 MB of text at once, or one text if that is longer.
 """
 
 from __future__ import annotations
@@ -43,6 +45,16 @@ class Words:
         self.chars = self.leads[self.ends] - self.leads[self.starts]
         self.bounds = np.searchsorted(self.of, np.arange(self.texts + 1))
         self.n_words = np.diff(self.bounds)
+        self.rolled, self.length = self.hashes, 1
+
+    def windows(self, n: int) -> tuple[np.ndarray, np.ndarray]:
+        """First word and key of every window of n words; cheapest when asked for in ascending order."""
+        if n < self.length:
+            self.rolled, self.length = self.hashes, 1
+        while self.length < n:
+            self.length += 1
+            self.rolled = c.longer(self.rolled, self.hashes, self.length)
+        return c.windows(self.rolled, self.of, n)
 
     def sum(self, values: np.ndarray) -> np.ndarray:
         sums = np.zeros(len(values) + 1, np.int64)
@@ -51,7 +63,7 @@ class Words:
 
     def covered(self, n: int, first_too: bool = True) -> np.ndarray:
         """Whether each word lies in a window of n words that its text has twice or more, the first one included or not."""
-        first, keys = c.windows(self.hashes, self.of, n)
+        first, keys = self.windows(n)
         twice = c.repeated(keys)
         first, keys = first[twice], keys[twice]
         if not first_too:
@@ -64,7 +76,7 @@ class Words:
 
     def most_frequent(self, n: int) -> np.ndarray:
         """Characters of each text in its most frequent window of n words, if it has that twice or more."""
-        first, keys = c.windows(self.hashes, self.of, n)
+        first, keys = self.windows(n)
         out = np.zeros(self.texts, np.int64)
         twice = c.repeated(keys)
         first, keys = first[twice], keys[twice]

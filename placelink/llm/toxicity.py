@@ -1,18 +1,22 @@
 """Toxicity by non-negative positive-unlabelled learning.
 
-The classifier sees confirmed toxic examples and unlabelled text only. Its risk estimate corrects the unlabelled part by
-the share of toxic text (the class prior): prior * loss of positives as positive + max(0, loss of unlabelled as negative
-- prior * loss of positives as negative); when the bracket turns negative, its gradient step is undone instead.
+The classifier sees confirmed toxic examples and unlabelled text only. Its risk estimate corrects the unlabelled part by the share of toxic text (the class prior): prior * loss of positives as positive
++ max(0, loss of unlabelled as negative - prior * loss of positives as negative); when the bracket turns negative, its
+gradient step is undone instead. The prior is a number that the method takes as known: the production query takes the
+share of toxic rows among the labelled ones, the only use it makes of labels that say "not toxic". Where no such share is
+known, `class_prior` estimates one from positives and unlabelled text alone (it errs to the high side on few examples).
 
 Features are stems: whole words and word beginnings of several lengths, hashed. The stems that tell positives from
 unlabelled text best are kept; a text's values are the logarithm of a stem's count and its share of the words.
 
-Bounds of the fit, all parameters: POSITIVES and UNLABELLED rows (those of the smallest hash), CANDIDATES stems counted,
-STEMS kept. Every document is scored on its whole text.
+Bounds of the fit, all parameters: POSITIVES and UNLABELLED rows (those of the smallest hash), STEMS kept: the width of
+the model (README: what other widths give). Stems are counted over all rows of the fit, and every document is scored on
+its whole text.
 
 Defined cases: null and empty texts have no stems and get the score of that; null labels or ids teach nothing; without
-positives or unlabelled text the score is the class prior; repeated rows each get their row; memory is bounded by about
-1 MB of text at once, or one text if that is longer.
+positives or unlabelled text the score is the class prior; repeated rows each get their row; stems that tie go by their
+hash; an empty table gives an empty result; only doc_id and text are read, so other columns may have any name; memory is
+bounded by about 1 MB of text at once, or one text if that is longer.
 """
 
 from __future__ import annotations
@@ -28,8 +32,9 @@ from pyspark.sql import functions as F
 from placelink.llm import common as c
 from placelink.llm.boosting import held_out
 from placelink.llm.common import bounded_ids, table
+from placelink.operators.storage import forget
 
-POSITIVES, UNLABELLED, CANDIDATES, STEMS = 3_000, 6_000, 20_000, 800
+POSITIVES, UNLABELLED, STEMS = 3_000, 6_000, 800
 #: Lengths in bytes of the word beginnings; 0 is the whole word.
 LENGTHS = (0, 5, 6, 7, 8, 9)
 
@@ -65,23 +70,18 @@ def _counts(hashes: np.ndarray, texts: np.ndarray, known: np.ndarray) -> tuple[n
     return cell // len(known), cell % len(known), count
 
 
-def _document_frequency(docs: DataFrame, known: np.ndarray | None) -> DataFrame:
-    """Documents by stem (all stems, or the known ones), summed within each batch before it is shuffled."""
+def _document_frequency(docs: DataFrame, name: str) -> DataFrame:
+    """Documents by stem, summed within each batch before it is shuffled."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for _, _, data, at in c.chunks(batch.column("text")):
                 hashes, texts, _ = stems(data, at)
-                if known is None:
-                    _, once = np.unique(c.mix(hashes + c.mix(texts.astype(np.uint64))), return_index=True)
-                    pairs = hashes[once]
-                else:
-                    _, spot, _ = _counts(hashes, texts, known)
-                    pairs = known[spot]
-                stem, n = np.unique(pairs, return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(stem.astype(np.int64)), pa.array(n.astype(np.int64))], names=["stem", "n"])
+                _, once = np.unique(c.mix(hashes + c.mix(texts.astype(np.uint64))), return_index=True)
+                stem, n = np.unique(hashes[once], return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(stem.view(np.int64)), pa.array(n.astype(np.int64))], names=["stem", "n"])
 
-    return docs.select("text").mapInArrow(run, "stem long, n long").groupBy("stem").agg(F.sum("n").alias("n"))
+    return docs.select("text").mapInArrow(run, "stem long, n long").groupBy("stem").agg(F.sum("n").alias(name))
 
 
 @dataclass
@@ -113,9 +113,11 @@ def fit(positive: np.ndarray, unlabelled: np.ndarray, prior: float, rounds: int
         return np.zeros(width), float(np.log(prior / (1 - prior)))
     w, m, v = np.zeros(width + 1), np.zeros(width + 1), np.zeros(width + 1)
     w[-1] = np.log(prior / (1 - prior))
-    up = lambda x, g: np.append(x.T @ g, g.sum()) / len(x)
+    positive, unlabelled = positive.astype(np.float32, copy=False), unlabelled.astype(np.float32, copy=False)
+    up = lambda x, g: np.append(x.T @ g.astype(np.float32), g.sum()) / len(x)
     for step in range(1, rounds + 1):
-        fp, fu = positive @ w[:-1] + w[-1], unlabelled @ w[:-1] + w[-1]
+        w32 = w[:-1].astype(np.float32)
+        fp, fu = positive @ w32 + w[-1], unlabelled @ w32 + w[-1]
         sp, su = 1 / (1 + np.exp(-np.clip(fp, -30, 30))), 1 / (1 + np.exp(-np.clip(fu, -30, 30)))
         rest = np.logaddexp(0, fu).mean() - prior * np.logaddexp(0, fp).mean()
         negative = up(unlabelled, su) - prior * up(positive, sp)
@@ -126,26 +128,42 @@ def fit(positive: np.ndarray, unlabelled: np.ndarray, prior: float, rounds: int
     return w[:-1], float(w[-1])
 
 
-def learn(docs: DataFrame, labels: DataFrame, may_learn, positives: int = POSITIVES, unlabelled: int = UNLABELLED, keep: int = STEMS) -> Model:
+def class_prior(positive: np.ndarray, unlabelled: np.ndarray, least: float = 0.3) -> float:
+    """The share of positives in the unlabelled rows, from the two samples alone.
+
+    Each half is scored by a classifier of the other. At a threshold that a share p of the positives passes, p * prior of
+    the unlabelled rows pass at least, so the prior is their share over p at most; the smallest ratio over the thresholds
+    that `least` of the positives or more pass is the estimate (with one row of doubt).
+    """
+    scores = [np.zeros(len(positive)), np.zeros(len(unlabelled))]
+    for half in (0, 1):
+        fit_on = [x[np.arange(len(x)) % 2 != half] for x in (positive, unlabelled)]
+        if not len(fit_on[0]) or not len(fit_on[1]):
+            return 0.5
+        w, b = fit(*fit_on, 0.5, rounds=40)
+        for s, x in zip(scores, (positive, unlabelled), strict=True):
+            s[np.arange(len(x)) % 2 == half] = x[np.arange(len(x)) % 2 == half] @ w + b
+    steps = np.sort(scores[0])[: max(1, int(len(positive) * (1 - least)))]
+    passed = np.array([[(scores[0] >= t).mean(), ((scores[1] >= t).sum() + 1) / (len(unlabelled) + 1)] for t in steps[:: max(1, len(steps) // 200)]])
+    return float(np.clip((passed[:, 1] / passed[:, 0]).min(), 0.001, 0.9))
+
+
+def learn(docs: DataFrame, labels: DataFrame, may_learn, positives: int = POSITIVES, unlabelled: int = UNLABELLED, keep: int = STEMS, prior: float | None = None) -> Model:
     """labels: doc_id, y. may_learn: a condition on doc_id; rows outside it are neither examples nor unlabelled text."""
-    labels = labels.where(F.col("doc_id").isNotNull() & F.col("y").isNotNull()).where(may_learn).groupBy("doc_id").agg(F.max("y").alias("y"))
-    n, toxic = labels.agg(F.count("*"), F.coalesce(F.sum("y"), F.lit(0))).first()
-    prior = float(np.clip((toxic + 0.5) / (n + 1), 0.001, 0.9))
+    toxic = labels.where(F.col("doc_id").isNotNull() & (F.col("y") == 1)).where(may_learn).select("doc_id").distinct()
     texts = docs.select("doc_id", "text").where(F.col("doc_id").isNotNull())
-    confirmed = texts.join(F.broadcast(bounded_ids(labels.where("y = 1").select("doc_id"), "doc_id", positives)), "doc_id", "left_semi")
+    confirmed = texts.join(F.broadcast(bounded_ids(toxic, "doc_id", positives)), "doc_id", "left_semi")
     others = texts.join(F.broadcast(bounded_ids(texts.select("doc_id").where(may_learn), "doc_id", unlabelled)), "doc_id", "left_semi")
     confirmed, others = c.stored(confirmed, "toxic-positive"), c.stored(others, "toxic-unlabelled")
-    np_, nu = confirmed.count(), others.count()
-    seen = _document_frequency(confirmed, None).where("n >= 2").orderBy(F.col("n").desc(), "stem").limit(CANDIDATES).toPandas()
-    known = np.sort(seen["stem"].to_numpy(np.int64).view(np.uint64))
-    tp, tu = dict(zip(seen["stem"], seen["n"], strict=True)), dict(_document_frequency(others, known).toPandas().itertuples(index=False)) if len(known) else {}
-    a = np.array([tp[s] for s in known.view(np.int64)], float).reshape(-1) / max(np_, 1)
-    b = np.array([tu.get(s, 0) for s in known.view(np.int64)], float).reshape(-1) / max(nu, 1)
-    b = np.maximum(b - prior * a, 0)  # what the unlabelled have beyond their toxic share
-    worth = (a - b) * np.sqrt(np.maximum(a - b, 0) / (a + b + 1e-9)) if len(a) else a
-    known = np.sort(known[np.argsort(-worth, kind="stable")[:keep]])
+    np_, nu = max(confirmed.count(), 1), max(others.count(), 1)
+    seen = _document_frequency(confirmed, "tp").where("tp >= 2").join(_document_frequency(others, "tu"), "stem", "left")
+    a, b = F.col("tp") / np_, F.coalesce(F.col("tu"), F.lit(0)) / nu
+    worth = (a - b) * F.sqrt(F.greatest(a - b, F.lit(0.0)) / (a + b + 1e-9))
+    best = seen.select("stem", worth.alias("worth")).orderBy(F.col("worth").desc(), "stem").limit(keep).toPandas()
+    known = np.sort(best["stem"].to_numpy(np.int64).view(np.uint64))
     x = [_matrix(d, known) for d in (confirmed, others)]
-    weight, bias = fit(x[0], x[1], prior)
+    forget(confirmed, others)
+    weight, bias = fit(x[0], x[1], class_prior(*x) if prior is None else prior)
     return Model(known, weight, bias)
 
 
@@ -170,15 +188,9 @@ def _matrix(docs: DataFrame, known: np.ndarray) -> np.ndarray:
     return x
 
 
-def score(docs: DataFrame, model: Model) -> DataFrame:
-    """doc_id and score (0 to 1) of every document."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for i, j, data, at in c.chunks(batch.column("text")):
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(i, j - i).cast(pa.int64()), pa.array(model.score(data, at))], names=["doc_id", "score"])
-
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, score double")
+def score(docs: DataFrame, model: Model, columns: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+    """The given columns of every document and its score (0 to 1)."""
+    return c.scored(docs, model.score, columns)
 
 
 #: Fixed values of the contract: held-out fold and decision.
@@ -186,7 +198,10 @@ FOLDS, HELD_OUT, DECISION = 3, 1, 0.7
 
 
 def toxicity_model(docs: DataFrame, labels: DataFrame) -> Model:
-    return learn(docs, labels.select("doc_id", F.col("toxic").cast("int").alias("y")), ~held_out(F.col("doc_id"), FOLDS, HELD_OUT))
+    may_learn = ~held_out(F.col("doc_id"), FOLDS, HELD_OUT)
+    known = labels.select("doc_id", F.col("toxic").cast("int").alias("y"))
+    n, toxic = known.where(may_learn & F.col("doc_id").isNotNull() & F.col("y").isNotNull()).agg(F.count("*"), F.coalesce(F.sum("y"), F.lit(0))).first()
+    return learn(docs, known, may_learn, prior=float(np.clip((toxic + 0.5) / (n + 1), 0.001, 0.9)))
 
 
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
