@@ -3,18 +3,21 @@
 A document's set holds the hashes (64 bits) of its shingles. Equal sets are one class. Every class gets MinHash samples
 under many permutations, banded into bucket keys, and up to 8192 samples of one-permutation MinHash, folded into an odd
 sketch: each sample flips one bit, so that the population count of the XOR of two sketches estimates the number of
-differing samples, precisely so for high similarities. Candidates are screened by set sizes and by that estimate, with a
-margin of five standard deviations, then confirmed by counting the intersection of the full sets.
+differing samples, precisely so for high similarities. (The samples of the bands are too few for that: 120 of them tell a
+similarity to within 0.04 only.) Candidates are screened by set sizes and by that estimate, with a margin of eight
+deviations of the sampling and five of the bits that cancel, then confirmed by counting the intersection of the full sets.
 
 Buckets are never expanded into all pairs. First every member is compared with a leader of its bucket; confirmed links
 are merged into components. This repeats with other leaders. Then only members of different components that still share
 a bucket are left, and those are compared in blocks of bounded size, by their sketches, before anything is emitted.
+Classes, buckets and leaders with very many members are dealt over several tasks in every join.
 
 With 30 bands of 4 rows a pair of similarity 0.8 shares no bucket with a probability of about 1.4e-7.
 
 Defined cases: null texts and texts without words have an empty set, link with nothing and stay; a null id is linked
 with nothing and stays; rows that share an id are one document with several sets; repeated rows are alike; an empty
-table gives an empty result; columns other than id and text are not read.
+table gives an empty result; of documents that tie as a leader the least id leads; columns other than id and text are
+not read, so they may have any name; a very long text is hashed a block at a time, and its set is what one task must hold.
 """
 
 from __future__ import annotations
@@ -31,6 +34,8 @@ from pyspark.sql import functions as F
 from placelink.llm import common as c
 from placelink.llm.common import stored, table
 from placelink.operators.components import components
+from placelink.operators.skew import join_counted
+from placelink.operators.storage import forget
 
 BANDS, ROWS, SKETCH_BITS, BIN_BITS = 30, 4, 4096, 13
 SAMPLES, BINS = BANDS * ROWS, 1 << BIN_BITS
@@ -47,11 +52,7 @@ def shingle_sets(data: np.ndarray, at: np.ndarray, size: int) -> list[np.ndarray
     data = c.lower_ascii(data)
     starts, ends, of = c.word_spans(data, at)
     hashes = c.span_hashes(data, starts, ends)
-    m = max(0, len(hashes) - size + 1)
-    rolled = np.zeros(m, np.uint64)
-    for i in range(size):
-        rolled = rolled * np.uint64(c._BASE) + hashes[i : i + m]
-    rolled = c.mix(rolled)
+    rolled = c.runs(hashes, size)
     cut = np.searchsorted(of, np.arange(len(at)))
     out = []
     for i, j in zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True):
@@ -98,7 +99,7 @@ def odd_sketch(members: np.ndarray) -> tuple[np.ndarray, int]:
 def most_bits(n_a, n_b, s_a, s_b, percent: int, m=np):
     """The largest population count that sets of n_a and n_b members, s_a and s_b samples show at that similarity.
 
-    Expected samples that differ, plus five deviations of sampling and of bits that cancel. m: numpy or Spark functions.
+    Expected samples that differ, plus eight deviations of sampling and five of bits that cancel. m: numpy or Spark functions.
     """
     j = percent / 100
     union = (n_a + n_b) / (1 + j)
@@ -157,25 +158,35 @@ def full_sets(docs: DataFrame, size: int) -> DataFrame:
 
 def _screen(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
     """Pairs (a, b) that sizes and sketches allow."""
+    pairs = stored(pairs, "neardup-candidates")
+    total = pairs.count()
     side = lambda x: classes.select(F.col("rep").alias(x), F.col("n").alias(f"n_{x}"), F.col("samples").alias(f"s_{x}"), F.col("sketch").alias(f"sketch_{x}"))
     bits = F.aggregate(F.zip_with("sketch_a", "sketch_b", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
     sizes = 100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b")
-    return pairs.join(side("a"), "a").join(side("b"), "b").where(sizes & (bits <= most_bits(F.col("n_a"), F.col("n_b"), F.col("s_a"), F.col("s_b"), percent, F))).select("a", "b").distinct()
+    both = pairs
+    for x in "ab":  # a leader has very many pairs
+        both = join_counted(both, side(x).join(pairs.groupBy(x).agg(F.count("*").alias("n")), x), [x], total)
+    return both.where(sizes & (bits <= most_bits(F.col("n_a"), F.col("n_b"), F.col("s_a"), F.col("s_b"), percent, F))).select("a", "b")
 
 
 def _confirmed(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> DataFrame:
     """Pairs (a, b) whose full sets reach the similarity; sets are built for the documents in question only."""
     pairs = stored(pairs, "neardup-pairs")
+    total = pairs.count()
     ids = pairs.select(F.col("a").alias("doc_id")).distinct().unionByName(pairs.select(F.col("b").alias("doc_id")).distinct()).distinct()
     sets = stored(full_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), size), "neardup-sets", "lz4")
-    both = pairs.join(sets.select(F.col("doc_id").alias("b"), F.col("members").alias("set_b")), "b")
-    both = both.join(sets.select(F.col("doc_id").alias("a"), F.col("members").alias("set_a")), "a")
+    both = pairs
+    for x in "ba":
+        counts = pairs.groupBy(x).agg(F.count("*").alias("n"))
+        both = join_counted(both, sets.select(F.col("doc_id").alias(x), F.col("members").alias(f"set_{x}")).join(counts, x), [x], total)
     common = F.size(F.array_intersect("set_a", "set_b"))
-    return stored(both.where(100 * common >= percent * (F.size("set_a") + F.size("set_b") - common)).select("a", "b"), "neardup-links")
+    out = stored(both.where(100 * common >= percent * (F.size("set_a") + F.size("set_b") - common)).select("a", "b").distinct(), "neardup-links")
+    forget(pairs, sets)
+    return out
 
 
-def _blocks(members: DataFrame, percent: int) -> DataFrame:
-    """members (key, rep, comp, n, samples, sketch, bands): pairs of different components that sizes and sketches allow.
+def _blocks(members: DataFrame, total: int, percent: int) -> DataFrame:
+    """members (key, parts, rep, comp, n, samples, sketch, bands), total rows: pairs of different components that sizes and sketches allow.
 
     A bucket of more than BLOCK members is dealt into parts; every two parts meet in a task of their own. A pair that
     shares several buckets belongs to the first of them.
@@ -206,12 +217,11 @@ def _blocks(members: DataFrame, percent: int) -> DataFrame:
         none = np.zeros(0, np.int64)
         return pa.table({k: np.concatenate([none, *(p[x] for p in found)]) for x, k in enumerate("ab")})
 
-    sizes = members.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("parts"))
-    dealt = members.join(sizes, "key").withColumn("part", F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int"))
+    dealt = members.withColumn("part", F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("parts") - 1))
     dealt = dealt.withColumn("other", other).withColumns({"low": F.least("part", "other"), "high": F.greatest("part", "other")})
     # small blocks share a task: what a task reads stays about one block of the largest size
-    tasks = F.lit(1 + members.count() // BLOCK)
+    tasks = F.lit(1 + total // BLOCK)
     dealt = dealt.withColumn("task", F.pmod(F.xxhash64("key", "low", "high"), tasks))
     return dealt.groupBy("task").applyInArrow(run, "a long, b long").distinct()
 
@@ -220,32 +230,35 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFr
     """doc_id, n_shingles, component_id (least id reachable over links), kept (the document that stays)."""
     found = stored(signatures(docs, size), "neardup-signatures")
     live = found.where("n > 0 and doc_id is not null")
-    classes = live.groupBy("set_a", "set_b").agg(F.min("doc_id").alias("rep"))
-    members = stored(live.select("doc_id", "set_a", "set_b").join(classes, ["set_a", "set_b"]).select("doc_id", "rep").distinct(), "neardup-members")
-    reps = stored(live.join(classes.withColumnRenamed("rep", "doc_id"), ["set_a", "set_b", "doc_id"], "left_semi").dropDuplicates(["set_a", "set_b"]).select(F.col("doc_id").alias("rep"), "n", "samples", "bands", "sketch"), "neardup-classes")
+    classes = stored(live.groupBy("set_a", "set_b").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")), "neardup-sets-by-id")
+    total = live.count()
+    equal = join_counted(live.select("doc_id", "set_a", "set_b"), classes, ["set_a", "set_b"], total)
+    links = equal.where("doc_id != rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))  # equal sets
+    firsts = live.join(classes.select("set_a", "set_b", F.col("rep").alias("doc_id")), ["set_a", "set_b", "doc_id"], "left_semi")
+    reps = stored(firsts.dropDuplicates(["set_a", "set_b"]).select(F.col("doc_id").alias("rep"), "n", "samples", "bands", "sketch"), "neardup-classes")
     buckets = reps.select("rep", F.explode("bands").alias("key"))
-    shared = buckets.groupBy("key").agg(F.count("*").alias("members")).where("members > 1").select("key")
-    buckets = stored(buckets.join(shared, "key", "left_semi"), "neardup-buckets")
+    shared = buckets.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
+    buckets = stored(join_counted(buckets, shared, ["key"], BANDS * reps.count(), "left_semi"), "neardup-buckets")
+    total = buckets.count()
 
-    links = members.where("doc_id != rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))  # equal sets
     found_links = None
     for turn in range(LEADER_ROUNDS + 1):
         if found_links is None:
             rest = buckets.withColumn("comp", F.col("rep"))
         else:
             comps = components(found_links)
-            rest = buckets.join(comps, buckets["rep"] == comps["id"], "left").select("rep", "key", F.coalesce("component", "rep").alias("comp"))
-            mixed = rest.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x != y").select("key")
-            rest = rest.join(mixed, "key", "left_semi")
-            rest = stored(rest, "neardup-rest")
+            rest = stored(buckets.join(comps, buckets["rep"] == comps["id"], "left").select("rep", "key", F.coalesce("component", "rep").alias("comp")), "neardup-rest")
+        first = F.struct(F.xxhash64("rep", F.lit(turn)) if turn else F.lit(0), F.col("rep"), F.col("comp"))
+        per = rest.groupBy("key").agg(F.count("*").alias("n"), F.min("comp").alias("x"), F.max("comp").alias("y"), F.min(first).alias("leader"))
+        per = stored(per.where("x != y").select("key", "n", F.col("leader.rep").alias("leader"), F.col("leader.comp").alias("of")), "neardup-leaders")
         if turn < LEADER_ROUNDS:
-            first = F.struct(F.xxhash64("rep", F.lit(turn)), F.col("rep"), F.col("comp")) if turn else F.struct(F.lit(0), F.col("rep"), F.col("comp"))
-            leader = rest.groupBy("key").agg(F.min(first).alias("leader")).select("key", F.col("leader.rep").alias("leader"), F.col("leader.comp").alias("of"))
-            pairs = rest.join(leader, "key").where("comp != of").select(F.least("rep", "leader").alias("a"), F.greatest("rep", "leader").alias("b")).distinct()
+            pairs = join_counted(rest, per, ["key"], total).where("comp != of").select(F.least("rep", "leader").alias("a"), F.greatest("rep", "leader").alias("b")).distinct()
             pairs = _screen(pairs, reps, percent)
         else:
+            left = per.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+            rest = join_counted(rest, per.select("key", "n", F.ceil(F.col("n") / BLOCK).cast("int").alias("parts")), ["key"], total)
             sketches = reps.select("rep", "n", "samples", "sketch", "bands")
-            pairs = _blocks(rest.join(sketches, "rep").select("key", "rep", "comp", "n", "samples", "sketch", "bands"), percent)
+            pairs = _blocks(rest.join(sketches, "rep").select("key", "parts", "rep", "comp", "n", "samples", "sketch", "bands"), left, percent)
         new = _confirmed(pairs, docs, size, percent)
         found_links = new if found_links is None else found_links.unionByName(new)
     comps = components(found_links.unionByName(links))
