@@ -2,19 +2,24 @@
 
 Every tree hashes a vector to a string of 64 bits, one per random hyperplane, and keeps the strings in a sorted array. A
 query descends to the longest prefix it shares with any string of a tree; from there all trees ascend together, one bit
-at a time, and the ranges of strings that share the shorter prefix are its candidates, until there are enough. The
-candidates are then ranked by their exact inner products in double precision.
+at a time, and the ranges of strings that share the shorter prefix are its candidates. Of these, the ones whose strings
+of all trees differ least from the query's are ranked by their exact inner products in double precision.
+
+The ascent ends when the k-th best so far would have been met with a probability of at least 1 - `miss`: a vector at an
+angle w shares one bit with probability 1 - w / pi, so all trees miss it at depth d with (1 - (1 - w / pi)^d)^trees. Near
+neighbours end it early, whatever the size of the table; vectors without any near ones need wide ranges (README).
 
 Vectors of different lengths are put on one sphere first (one more component makes up for what a vector lacks of the
 longest one), so that the largest inner product is the nearest direction.
 
 Rows and queries are dealt into blocks; every block of rows has a forest of its own and meets every block of queries, so
-that each row is indexed and no task grows with the input. Forests are alike at every size: every tree gives
-at least `share` of the rows of its block on average, a measured setting (recall against brute force: README).
+that each row is indexed and no task grows with the input. A row is sent to a task once for every BLOCK_QUERIES queries,
+a query once for every BLOCK_ROWS rows.
 
 Defined cases: vectors that are null, zero, of another dimension than most, or that hold null or non-finite components
 take no part, neither as rows nor as queries; fewer rows than wanted are all returned; ties go to the smaller id;
-repeated ids are rows of their own (a query leaves out all rows of its own id); an empty table gives an empty result.
+repeated ids are rows of their own (a query leaves out all rows of its own id, and a repeated query has one list); an
+empty table gives an empty result; columns other than vec_id and embedding may have any name, but for what is_query reads.
 """
 
 from __future__ import annotations
@@ -27,63 +32,84 @@ from pyspark.sql import functions as F
 
 from placelink.llm.common import table
 
-TREES, BITS, NEAREST = 12, 64, 20
-#: Rows of a block with one forest, queries of a block, and the share of a block's rows that every tree gives at least.
-BLOCK_ROWS, BLOCK_QUERIES, SHARE = 16_384, 4_096, 0.12
+TREES, BITS, NEAREST = 48, 64, 20
+#: Rows of a block with one forest, and queries of a block.
+BLOCK_ROWS, BLOCK_QUERIES = 16_384, 65_536
+#: The largest probability of missing the k-th neighbour; the share of a block's rows, and how often k at least, that are ranked exactly.
+MISS, RANKED, LEAST_RANKED = 0.08, 0.1, 10
 
 
 class Forest:
     """Sorted arrays of hash strings over one block of vectors."""
 
     def __init__(self, x: np.ndarray, longest: float, trees: int = TREES, seed: int = 11):
-        self.x = x
+        self.x, self.longest, self.trees = x, longest, trees
         lacks = np.sqrt(np.maximum(longest**2 - (x * x).sum(axis=1), 0))
-        planes = np.random.default_rng(seed).standard_normal((trees, x.shape[1] + 1, BITS))
-        self.planes = planes
-        whole = np.concatenate([x, lacks[:, None]], axis=1)
-        self.order, self.strings = [], []
-        for t in range(trees):
-            s = self._strings(whole, t)
-            order = np.argsort(s, kind="stable")
-            self.order.append(order)
-            self.strings.append(s[order])
-
-    def _strings(self, whole: np.ndarray, t: int) -> np.ndarray:
-        bits = np.packbits(whole @ self.planes[t] > 0, axis=1)
-        return bits.view(">u8").astype(np.uint64).ravel()
-
-    def ranges(self, q: np.ndarray, enough: int, distinct: np.ndarray) -> list[list[tuple[int, int]]]:
-        """For every query the range of every tree at the longest common prefix length that gives enough candidates.
-
-        Enough are `enough` entries of all trees together, among them `distinct` different rows (by query; all, if there are fewer).
-        """
-        distinct = np.minimum(distinct, len(self.x))
-        whole = np.concatenate([q, np.zeros((len(q), 1))], axis=1)
-        own = [self._strings(whole, t) for t in range(len(self.order))]
-        low = np.zeros((len(self.order), len(q)), np.int64)
-        high = np.zeros_like(low)
-        todo = np.arange(len(q))
-        for shared in range(BITS, -1, -1):  # the ascent, all trees in step
-            mask = np.uint64(0) if shared == 0 else np.uint64((2**64 - 1) << (BITS - shared) & (2**64 - 1))
-            for t, strings in enumerate(self.strings):
-                low[t, todo] = np.searchsorted(strings, own[t][todo] & mask, side="left")
-                high[t, todo] = np.searchsorted(strings, own[t][todo] | ~mask, side="right")
-            found = high[:, todo] - low[:, todo]
-            # one tree with that many entries settles it, as its entries differ
-            few = (found.sum(axis=0) < enough) | (found.max(axis=0) < distinct[todo])
-            for i in np.flatnonzero(few & (found.sum(axis=0) >= enough)):
-                at = todo[i]
-                few[i] = len(self.candidates(list(zip(low[:, at], high[:, at], strict=True)))) < distinct[at]
-            todo = todo[few]
+        rng = np.random.default_rng(seed)
+        self.planes = np.stack([self._directions(rng, x.shape[1] + 1) for _ in range(trees)])
+        self.own = self._strings(np.concatenate([x, lacks[:, None]], axis=1))
+        self.order = [np.argsort(self.own[:, t], kind="stable") for t in range(trees)]
+        self.sorted = [self.own[order, t] for t, order in enumerate(self.order)]
+
+    @staticmethod
+    def _directions(rng: np.random.Generator, width: int) -> np.ndarray:
+        """Hyperplanes that are at right angles to each other, as far as there is room."""
+        parts = [np.linalg.qr(rng.standard_normal((width, width)))[0] for _ in range(-(-BITS // width))]
+        return np.concatenate(parts, axis=1)[:, :BITS]
+
+    def _strings(self, whole: np.ndarray) -> np.ndarray:
+        """One string per vector and tree."""
+        return np.stack([np.packbits(whole @ p > 0, axis=1).view(">u8").astype(np.uint64).ravel() for p in self.planes], axis=1)
+
+    def strings_of(self, q: np.ndarray) -> np.ndarray:
+        return self._strings(np.concatenate([q, np.zeros((len(q), 1))], axis=1))
+
+    def candidates(self, string: np.ndarray, depth: int) -> np.ndarray:
+        """Rows that share so many first bits with a query in any tree."""
+        below = np.uint64(2**64 - 1) if depth == 0 else np.uint64(2 ** (BITS - depth) - 1)
+        mark = np.zeros(len(self.x), bool)
+        for t, strings in enumerate(self.sorted):
+            low, high = string[t] & ~below, string[t] | below
+            mark[self.order[t][np.searchsorted(strings, low, side="left") : np.searchsorted(strings, high, side="right")]] = True
+        return np.flatnonzero(mark)
+
+    def depths(self, strings: np.ndarray, enough: int) -> np.ndarray:
+        """For every query the depth at which the ranges of all trees first hold `enough` entries: where its ascent begins."""
+        out, todo = np.zeros(len(strings), np.int64), np.arange(len(strings))
+        for depth in range(BITS, 0, -1):
+            below = np.uint64(2 ** (BITS - depth) - 1)
+            found = np.zeros(len(todo), np.int64)
+            for t, own in enumerate(self.sorted):
+                found += np.searchsorted(own, strings[todo, t] | below, side="right") - np.searchsorted(own, strings[todo, t] & ~below, side="left")
+            out[todo[found >= enough]] = depth
+            todo = todo[found < enough]
             if not len(todo):
                 break
-        return [list(zip(low[:, i].tolist(), high[:, i].tolist(), strict=True)) for i in range(len(q))]
+        return out
 
-    def candidates(self, ranges: list[tuple[int, int]]) -> np.ndarray:
-        mark = np.zeros(len(self.x), bool)
-        for t, (i, j) in enumerate(ranges):
-            mark[self.order[t][i:j]] = True
-        return np.flatnonzero(mark)
+    def search(self, q: np.ndarray, string: np.ndarray, depth: int, k: int, skip: np.ndarray | None = None, miss: float = MISS, ranked: float = RANKED) -> tuple[np.ndarray, np.ndarray, int]:
+        """Rows and scores that hold the query's k best (more where they tie), and how many rows were candidates.
+
+        skip: rows that count for nothing (the query itself).
+        """
+        length = float(np.sqrt(q @ q))
+        while True:
+            c = found = self.candidates(string, depth)
+            if skip is not None:
+                c = c[~skip[c]]
+            most = max(LEAST_RANKED * k, int(ranked * len(self.x)))
+            if len(c) > most:  # ties with the last one come along
+                unlike = np.bitwise_count(self.own[c] ^ string).sum(axis=1, dtype=np.int64)
+                c = c[unlike <= np.partition(unlike, most - 1)[most - 1]]
+            score = self.x[c] @ q
+            if depth == 0:
+                break
+            if len(c) >= k:
+                angle = np.arccos(np.clip(np.partition(score, -k)[-k] / (length * self.longest), -1, 1))
+                if (1 - (1 - angle / np.pi) ** depth) ** self.trees <= miss:
+                    break
+            depth -= 1
+        return c, score, len(found)
 
 
 def _usable(vector: Column) -> Column:
@@ -91,18 +117,18 @@ def _usable(vector: Column) -> Column:
     return vector.isNotNull() & ~F.exists(vector, bad) & F.exists(vector, lambda v: v != 0)
 
 
-def nearest(vectors: DataFrame, is_query: Column, k: int = NEAREST, share: float = SHARE, trees: int = TREES, block_rows: int = BLOCK_ROWS, block_queries: int = BLOCK_QUERIES) -> DataFrame:
+def nearest(vectors: DataFrame, is_query: Column, k: int = NEAREST, miss: float = MISS, trees: int = TREES, block_rows: int = BLOCK_ROWS, block_queries: int = BLOCK_QUERIES, ranked: float = RANKED) -> DataFrame:
     """vectors (vec_id, embedding) to query_id, rank (from 1), vec_id, score."""
-    v = vectors.select("vec_id", F.col("embedding").cast("array<double>").alias("v")).where(_usable(F.col("v")) & F.col("vec_id").isNotNull())
-    v = v.withColumn("dim", F.size("v"))
-    dims = v.groupBy("dim").agg(F.count("*").alias("n"), F.sum(is_query.cast("int")).alias("q"), F.max(F.aggregate("v", F.lit(0.0), lambda s, x: s + x * x)).alias("m"))
+    v = vectors.select("vec_id", F.col("embedding").cast("array<double>").alias("v"), F.coalesce(is_query, F.lit(False)).alias("asks"))
+    v = v.where(_usable(F.col("v")) & F.col("vec_id").isNotNull()).withColumn("dim", F.size("v"))
+    dims = v.groupBy("dim").agg(F.count("*").alias("n"), F.count_if("asks").alias("q"), F.max(F.aggregate("v", F.lit(0.0), lambda s, x: s + x * x)).alias("m"))
     top = dims.orderBy(F.col("n").desc(), "dim").first()
     if top is None:
         return vectors.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     v = v.where(F.col("dim") == top["dim"])
     longest, row_blocks, query_blocks = float(np.sqrt(top["m"])), -(-top["n"] // block_rows), max(1, -(-top["q"] // block_queries))
     rows = v.select("vec_id", "v", F.pmod(F.xxhash64("vec_id", F.lit(1)), F.lit(row_blocks)).cast("int").alias("r"), F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1))).alias("q"), F.lit(False).alias("asks"))
-    asks = v.where(is_query).select("vec_id", "v", F.explode(F.sequence(F.lit(0), F.lit(row_blocks - 1))).alias("r"), F.pmod(F.xxhash64("vec_id", F.lit(2)), F.lit(query_blocks)).cast("int").alias("q"), F.lit(True).alias("asks"))
+    asks = v.where("asks").select("vec_id", "v", F.explode(F.sequence(F.lit(0), F.lit(row_blocks - 1))).alias("r"), F.pmod(F.xxhash64("vec_id", F.lit(2)), F.lit(query_blocks)).cast("int").alias("q"), F.lit(True).alias("asks"))
 
     def run(block: pa.Table) -> pa.Table:
         block = block.combine_chunks()
@@ -114,12 +140,15 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = NEAREST, share: float
         if not len(row_ids) or not len(query_ids):
             return _FOUND.empty_table()
         forest = Forest(x[~ask][order], longest, trees)
+        strings = forest.strings_of(queries)
+        depth = forest.depths(strings, 4 * k)
         out_q, out_id, out_score = [], [], []
-        own = np.searchsorted(row_ids, query_ids, side="right") - np.searchsorted(row_ids, query_ids, side="left")
-        for i, ranges in enumerate(forest.ranges(queries, max(4 * k, int(share * trees * len(row_ids))), k + own)):
-            c = forest.candidates(ranges)
-            c = c[row_ids[c] != query_ids[i]]
-            score = forest.x[c] @ queries[i]
+        low, high = np.searchsorted(row_ids, query_ids, side="left"), np.searchsorted(row_ids, query_ids, side="right")
+        skip = np.zeros(len(row_ids), bool)
+        for i in range(len(query_ids)):
+            skip[low[i] : high[i]] = True
+            c, score, _ = forest.search(queries[i], strings[i], int(depth[i]), k, skip, miss, ranked)
+            skip[low[i] : high[i]] = False
             if len(c) > k:  # all that may tie with the last one stay
                 c = c[score >= np.partition(score, -k)[-k] - 1e-9 * longest * longest]
             score = (forest.x[c] * queries[i]).sum(axis=1)  # adds up every row alike, so that equal vectors tie
