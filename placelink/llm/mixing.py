@@ -5,8 +5,9 @@ sample without replacement: a document's rank is its random odds divided by the
 (remaining share of the source times the document's preference), and the lowest ranks win until the words are met.
 
 Defined cases: null sources are one source, ordered last; null and empty texts have size 0 and are never taken; repeated
-rows are rows of their own; an empty table gives an empty result; clashing column names do not matter, as only id,
-source and size are read.
+rows are rows of their own, and of rows that tie in odds, id and size any may come first, as they are alike; a very long
+text is one size like any other; an empty table gives an empty result; clashing column names do not matter, as only id,
+source and size are read. The sources' own totals, one row each, pass through one task.
 """
 
 from __future__ import annotations
@@ -20,6 +21,8 @@ from placelink.operators.running import running_before
 
 #: Fixed values of the production mix: weights repeat over the ordered sources, no source is taken more than 3 times.
 WEIGHTS, MAX_COPIES = (1, 2, 3), 3
+#: Ranges of the logarithm of the odds, over 128 units of it.
+BINS = 128 * 1024
 
 
 def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MAX_COPIES) -> DataFrame:
@@ -66,8 +69,10 @@ def mix(sizes: DataFrame, targets: DataFrame, preference: Column | None = None,
     u = F.col("u")
     d = d.withColumn("u", share_of(F.col("doc_id"), salt))
     d = d.withColumn("odds", u / (1 - u) / (like / (1 - like)))
-    # odds lie in [0, inf); x / (1 + x) puts them in [0, 1) in the same order
-    d = running_before(d, ["source"], F.col("odds") / (1 + F.col("odds")), [F.col("odds"), F.col("doc_id"), F.col("size"), *map(F.col, ties)], "size", "before")
+    # logarithms of random odds have a density of 1/4 at most, so no range of 1/1024 holds more than 0.025 % of a source,
+    # whatever its target and its documents' preferences
+    rank = (F.log(F.greatest("odds", F.lit(1e-25))) + 64) / 128
+    d = running_before(d, ["source"], rank, [F.col("odds"), F.col("doc_id"), F.col("size"), *map(F.col, ties)], "size", "before", BINS)
     part = F.greatest(F.lit(0), F.least(F.col("size"), F.col("rest") - F.col("before")))
     if not cut:
         part = F.when(2 * part > F.col("size"), F.col("size")).otherwise(F.lit(0))
