@@ -1,21 +1,28 @@
 """Packing into token sequences by deficit round-robin over source queues.
 
-Texts are tokenized once. Each source is a queue; a window (one sequence of `size` tokens) owes every queue its target
-share of the window. In closed form: after j rounds a queue with T tokens out of W rounds has been owed j*T/W tokens and
-has been given floor(j*T/W); the difference is its deficit, which it carries into the next round, across windows and
-partitions alike. Rounds are laid end to end and cut at multiples of `size`, so that all sequences but the last are
-full. With target weights other than the queues' own sizes, queues run out one after the other: each such phase is a
-round-robin of its own over the queues that remain.
-
-Because the plan is closed, a task needs only the totals per queue (a bounded number of queues) and where its rows start
-in their queues; token ids are written once and never shuffled.
-
-Defined cases: a null text is empty and has the end id only; null sources are one queue; beyond MAX_QUEUES sources,
-queues are shared by hash (explicit weights are then an error); repeated rows are documents of their own; an empty table gives no pieces.
+Texts are tokenized once. Each source is a queue; a round (one sequence of `size` tokens, on average) adds to the deficit
+of every queue its target share of a window. A queue whose share is QUANTUM tokens or more is served its whole deficit
+in every round; one with less keeps its deficit until it has QUANTUM tokens, so that many small sources are not cut to
+shreds, and queues begin with different deficits, so that their turns spread over the rounds. In closed form: after j of
+W rounds a queue of T tokens that began with d has been given floor((floor(j * T / W) + d) / q) * q tokens, T at most, all
+of them after the last round (q: 1 or QUANTUM). What it has been owed beyond that is its deficit, which it carries across
+windows and partitions alike. Rounds are laid end to end and cut at multiples of `size`, so that all sequences but the
+last are full. With target weights other than the queues' own sizes, queues run out one after the other: each such phase
+is a round-robin of its own over the queues that remain.
+
+Because the plan is closed, a task needs only the totals per queue and where its rows start in their queues; token ids
+are written once and never shuffled. The arithmetic is exact up to 10^16 tokens.
+
+Defined cases: a null text is empty and has the end id only; null sources are one queue; more than MAX_QUEUES sources are
+an error, as one number for each reaches every task (group them first); repeated rows are documents of their own, also
+where their ids are null; documents of one source are packed in the order of their partitions; a very long text is
+tokenized whole and may fill many sequences; an empty table gives no pieces; only doc_id, text and source are read, so
+other columns may have any name.
 """
 
 from __future__ import annotations
 
+import json
 import re
 import zlib
 from array import array
@@ -31,7 +38,9 @@ from pyspark.sql import functions as F
 
 from placelink.llm.common import stored, table
 
-SIZE, END_ID, MAX_QUEUES = 4096, 2, 1024
+SIZE, END_ID, QUANTUM = 4096, 2, 64
+#: Sources that can be queues of their own: their totals go to the driver and to every task (1 MB).
+MAX_QUEUES = 65_536
 TOKENIZER = "word_bpe_49k.json"
 
 #: Rows (queue, task, base) up to which the starts of the tasks are broadcast: some 20 MB.
@@ -53,22 +62,44 @@ class _Remembered(dict):
         return value
 
 
+#: The pre-tokenizer that PieceTokenizer knows a short way for, as tokenizer files spell it, and the same
+#: pattern over lower-cased ASCII and Latin letters.
+_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+_SHORT_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ſ]+|[0-9]|[^ \n\t\ra-zß-öø-ſ0-9]+"
+
+
+def _known(spec: dict) -> bool:
+    """Whether a tokenizer file splits and normalises as the short way does."""
+    split = {"type": "Split", "pattern": {"Regex": _PATTERN}, "behavior": "Removed", "invert": True}
+    level = {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": False}
+    normal = [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": r"\s+"}, "content": " "}, {"type": "Lowercase"}]
+    model = spec.get("model") or {}
+    return (
+        (spec.get("normalizer") or {}).get("normalizers") == normal and (spec.get("pre_tokenizer") or {}).get("pretokenizers") == [split, level]
+        and spec.get("post_processor") is None and model.get("type") == "BPE" and not model.get("dropout")
+        and all(t["content"].startswith("<|") and not t["normalized"] for t in spec.get("added_tokens", []))
+    )
+
+
 class PieceTokenizer:
-    """Ids of a tokenizer whose pieces never cross white space, remembered piece by piece.
+    """Ids of a tokenizer, the short way where its file is of the kind whose pieces never cross white space.
 
-    Texts of plain ASCII and Latin letters take a short way: the pre-tokenizer's own pattern, then the library's model on
-    each piece. Of other texts, each word between spaces goes the same way if it can, else through the whole tokenizer.
-    All give the ids of the whole text.
+    There, texts of plain ASCII and Latin letters take the pre-tokenizer's own pattern, then the library's model on each
+    piece, remembered piece by piece. Of other texts, each word between spaces goes the same way if it can, else through
+    the whole tokenizer. All give the ids of the whole text. Any other tokenizer is always used whole.
     """
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.whole = Tokenizer.from_file(path)
+        if self.whole.get_vocab_size() > 1 << 16:
+            raise ValueError("ids are kept in 16 bits; the vocabulary has more than 65,536")
+        with open(path, encoding="utf-8") as f:
+            self.short = _known(json.load(f))
         self.model = self.whole.model
         self.pieces, self.others = _Remembered(self._piece), _Remembered(self._other)
-        #: Fixed value: the pre-tokenizer's pattern over lower-cased ASCII and Latin letters.
-        self.split = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ſ]+|[0-9]|[^ \n\t\ra-zß-öø-ſ0-9]+").findall
+        self.split = re.compile(_SHORT_PATTERN).findall
         self.simple = re.compile(r"[!-~ \n\t\rÀ-ÖØ-öø-įı-ſ]*").fullmatch
         # bytes as the characters that byte-level models use for them: printable ones as they are, others from 256 on
         plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
@@ -82,7 +113,9 @@ class PieceTokenizer:
         return array("H", self.whole.encode(word, add_special_tokens=False).ids).tobytes()
 
     def ids(self, text: str) -> bytes:
-        """The ids of a text as little-endian 16-bit numbers (the vocabulary has fewer than 65,536)."""
+        """The ids of a text as little-endian 16-bit numbers."""
+        if not self.short:
+            return self._other(text)
         if self.simple(text) and "<|" not in text:
             return b"".join(map(self.pieces.__getitem__, self.split(text.lower())))
         parts = text.replace("\n", " ").split(" ")
@@ -103,10 +136,7 @@ def _tokenizer(path: str) -> PieceTokenizer:
 
 def tokenize(docs: DataFrame, path: str, end_id: int = END_ID) -> DataFrame:
     """doc_id, queue, task, before (tokens of the same queue earlier in this task), tokens, ids (16-bit)."""
-    queues = docs.select("source").distinct().limit(MAX_QUEUES + 1).count()
     queue = F.coalesce(F.concat(F.lit("s"), F.col("source").cast("string")), F.lit("null"))
-    if queues > MAX_QUEUES:
-        queue = F.concat(F.lit("h"), F.pmod(F.xxhash64(queue), F.lit(MAX_QUEUES)).cast("string"))
     end = np.uint16(end_id).tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -137,6 +167,14 @@ def _tokenized(batch: pa.RecordBatch, n: int, ids: list, before: list, tokens: l
     )
 
 
+def share(j: np.ndarray, take: np.ndarray, rounds: int) -> np.ndarray:
+    """floor(j * take / rounds), without numbers beyond 64 bits while rounds are fewer than 10^12."""
+    whole, part = take // rounds, take % rounds
+    high, low = j >> 20, j & (1 << 20) - 1
+    x, y = high * part // rounds, high * part % rounds
+    return j * whole + (x << 20) + ((y << 20) + low * part) // rounds
+
+
 @dataclass
 class Phase:
     """A round-robin over some queues: what each has given before, what it gives now, and where the phase starts."""
@@ -146,9 +184,26 @@ class Phase:
     start: int
     rounds: int
 
-    def given(self, j: np.ndarray) -> np.ndarray:
-        """Tokens that each queue has given after j rounds (rows: rounds, columns: queues)."""
-        return np.asarray(j)[:, None] * self.take[None, :] // max(1, self.rounds)
+    def __post_init__(self) -> None:
+        n = np.arange(len(self.take))
+        small = self.take < QUANTUM * max(1, self.rounds)
+        self.quantum = np.where(small, QUANTUM, 1)
+        self.first = np.where(small, (n * 0.6180339887498949 % 1 * QUANTUM).astype(np.int64), 0)  # spreads the turns
+
+    def given(self, j: int) -> np.ndarray:
+        """Tokens that each queue has given after j rounds."""
+        if j >= self.rounds:
+            return self.take
+        owed = share(np.full(len(self.take), j, np.int64), self.take, self.rounds) + self.first
+        return np.minimum(self.take, owed // self.quantum * self.quantum)
+
+    def rounds_of(self, q: int, lo: int, hi: int) -> list[int]:
+        """The rounds in which queue q gives its tokens lo to hi - 1, in order. Python's integers: any size."""
+        take, quantum, first, rounds = int(self.take[q]), int(self.quantum[q]), int(self.first[q]), self.rounds
+        if quantum == 1:  # the largest j with floor(j * take / rounds) <= token
+            return list(range(((lo + 1) * rounds - 1) // take, (hi * rounds - 1) // take + 1))
+        turns = range(lo // quantum, (hi - 1) // quantum + 1)
+        return sorted({min(rounds, max(1, -(-((c + 1) * quantum - first) * rounds // take))) - 1 for c in turns})
 
 
 def phases(totals: Sequence[int], weights: Sequence[float] | None = None, size: int = SIZE) -> list[Phase]:
@@ -175,29 +230,23 @@ def pieces_of(plan: list[Phase], q: int, first: int, tokens: int, size: int = SI
         a, b = max(first, int(p.done[q])), min(first + tokens, int(p.done[q] + p.take[q]))
         if a >= b:
             continue
-        take, rounds = int(p.take[q]), p.rounds
-        lo, hi = a - int(p.done[q]), b - int(p.done[q])
-        # round of token x: the largest j with floor(j * take / rounds) <= x
-        j0, j1 = ((lo + 1) * rounds - 1) // take, (hi * rounds - 1) // take
-        j = np.arange(j0, j1 + 1)
-        own = j * take // rounds
-        given, after = p.given(j), p.given(j + 1)
-        line = p.start + given.sum(axis=1) + (after - given)[:, :q].sum(axis=1)
-        for k, o, at in zip(j.tolist(), own.tolist(), line.tolist(), strict=True):
-            x, y = max(lo, o), min(hi, (k + 1) * take // rounds)
-            at += x - o
-            while x < y:  # a round may lie across the end of a sequence
+        done = int(p.done[q])
+        for k in p.rounds_of(q, a - done, b - done):
+            given, after = p.given(k), p.given(k + 1)
+            x, y = max(a - done, int(given[q])), min(b - done, int(after[q]))
+            at = p.start + int(given.sum()) + int((after[:q] - given[:q]).sum()) + x - int(given[q])
+            while x < y:  # a turn may lie across the end of a sequence
                 n = min(y - x, size - at % size)
-                yield x + int(p.done[q]) - first, n, at
+                yield x + done - first, n, at
                 x, at = x + n, at + n
 
 
 def pack(tokenized: DataFrame, weights: dict[str, float] | None = None, size: int = SIZE) -> DataFrame:
     """Pieces: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset. `tokenized` must be a stored table."""
     parts = tokenized.groupBy("queue", "task").agg(F.sum("tokens").alias("n"))
-    totals = parts.groupBy("queue").agg(F.sum("n").alias("n")).orderBy("queue").toPandas()  # MAX_QUEUES rows at most
-    if weights is not None and any(q.startswith("h") for q in totals["queue"]):
-        raise ValueError(f"weights are by source, but beyond {MAX_QUEUES} sources queues are shared by hash")
+    totals = parts.groupBy("queue").agg(F.sum("n").alias("n")).orderBy("queue").limit(MAX_QUEUES + 1).toPandas()
+    if len(totals) > MAX_QUEUES:
+        raise ValueError(f"more than {MAX_QUEUES} sources; group them into fewer queues first")
     number = {q: i for i, q in enumerate(totals["queue"])}
     plan = phases(totals["n"].to_numpy(np.int64), None if weights is None else [weights.get(q, 1.0) for q in totals["queue"]], size)
     earlier = W.partitionBy("queue").orderBy("task").rowsBetween(W.unboundedPreceding, -1)
