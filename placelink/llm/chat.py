@@ -11,8 +11,9 @@ back is exact. The loss mask is a list of spans (first code point, code points)
 
 Defined cases: null text and role are empty; a null kind is `message`; a null sequence number or position comes first;
 null conversation ids are one conversation; rows that repeat or tie are messages of their own, in the order of role and
-text; a delta without a message starts one; a conversation of which nothing remains gives no row. A conversation's
-output is one value, so a conversation as such is the unit that one task must hold.
+text; a delta without a message starts one; a conversation of which nothing remains gives no row; an empty log gives an
+empty result; other columns than those named are not read and may have any name. A conversation's output is one value, so
+a conversation as such, however long, is the unit that one task must hold.
 """
 
 from __future__ import annotations
@@ -106,7 +107,8 @@ EXTRA = [(-7, 0, "user", r"\### Assistant: </turn> ok"), (-7, 1, "assistant", r"
 
 def op7_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
-    rows = rows.unionByName(spark.createDataFrame(EXTRA, rows.schema))
+    extra = spark.range(1).select(F.inline(F.array(*[F.struct(*[F.lit(v).alias(k) for k, v in zip(rows.columns, row, strict=True)]) for row in EXTRA])))
+    rows = rows.unionByName(extra.select(*[F.col(f.name).cast(f.dataType) for f in rows.schema]))
     events = rows.select("conv_id", F.col("turn").alias("seq"), F.col("turn").alias("position"), F.lit("message").alias("kind"), "role", "text")
     return read_back(render(fold_events(events)))
 

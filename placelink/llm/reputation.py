@@ -4,27 +4,43 @@ Labelled page outcomes (bad or not) are counted by host, registered domain and p
 beta-binomial whose prior is the level above, as strong as the spread between its members tells (method of moments);
 a page without a rule is blocked when the lower posterior bound of its host's bad rate exceeds a limit.
 
+Rules are looked up by host: every host's suffixes are joined with the rules' hosts, and each host carries the rules that
+may fit its pages, so that any number of rules costs one join over hosts, not an expression over pages.
+
+Registered domains stand below a public suffix: the last label, or the last two where they look like `co.uk` (a country
+code below a label of SECOND_LEVELS), or one given in `suffixes`. User names and ports do not count; an address in numbers
+is its own domain, below the suffix `(address)`.
+
 Defined cases: a null url, or one without `://`, has an empty host and path, fits no rule and has the reputation of all
 pages; a host without labels inherits its domain's reputation; ids that are null or repeat are rows of their own; an
-outcome that is null is no outcome; without any outcome every host has the neutral prior and is allowed.
-Only DataFrame functions are used; a hot host is summed before it is shuffled, and joined back as one row.
+outcome that is null is no outcome, and a page with several outcomes counts as many; without any outcome every host has
+the neutral prior and is allowed; rules of equal length that both fit cannot differ; a rule given twice is one, and counts
+as block if its verdicts differ; very long urls are judged whole; an empty table gives an empty result; only page_id, url
+and the outcomes' page_id and bad are read, so other columns may have any name.
+Only DataFrame functions are used; a hot host is summed before it is shuffled, and its pages are joined in shares.
 """
 
 from __future__ import annotations
 
+import json
 import string
+from collections.abc import Sequence
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from placelink.llm.common import table
+from placelink.llm.common import stored, table
+from placelink.operators.skew import join_counted
 
 #: Fixed values of the production filter.
 RULES = (("allow", "com/"), ("block", "example.com/en/"), ("allow", "www.example.com/en/"), ("block", "net/es/"), ("block", "net/fr/"))
-#: Public suffixes of two labels that registrations stand below (a parameter; extend as needed).
-TWO_LABEL_SUFFIXES = ("co.uk", "org.uk", "ac.uk", "com.au", "co.jp", "com.br", "co.nz", "co.in")
+#: Labels that registrations stand below when a country code follows them.
+SECOND_LEVELS = ("ac", "co", "com", "edu", "go", "gob", "gouv", "gov", "ltd", "me", "mil", "ne", "net", "nhs", "nom", "or", "org", "plc", "sch")
+_TWO_LABELS = rf"^(?:.*[.])?((?:{'|'.join(SECOND_LEVELS)})[.][a-z][a-z])$"
+_ADDRESS = r"^(?:[0-9]{1,3}[.]){3}[0-9]{1,3}$|^\[.*\]$"
 _URL = r"(?s)^.*?://([^/?#]*)([^?#]*)"
-MAX_RULES = 4096
+#: What is not part of a host's name: the user before it and the port after it.
+_NO_NAME = r"^.*@|:[0-9]*$"
 
 
 def url_host(url: Column) -> Column:
@@ -36,30 +52,45 @@ def url_path(url: Column) -> Column:
     return F.regexp_extract(F.coalesce(url, F.lit("")), _URL, 2)
 
 
-def _fits(host: Column, path: Column, rule: str) -> Column:
-    at, slash, below = rule.partition("/")
-    return ((host == at) | host.endswith("." + at)) & path.startswith(slash + below)
+def rules_by_host(hosts: DataFrame, rules: Sequence[tuple[str, str]] = RULES) -> DataFrame:
+    """hosts (host, each once) with `rules`: array of (size, rule, below, verdict) of all rules whose host is a suffix of it."""
+    rows = [{"size": len(name), "rule": name, "at": name.partition("/")[0], "below": "/" + name.partition("/")[2], "verdict": verdict} for name, verdict in {n: v for v, n in sorted(rules)}.items()]
+    schema = "array<struct<size int, rule string, at string, below string, verdict string>>"
+    known = hosts.sparkSession.range(1).select(F.inline(F.from_json(F.lit(json.dumps(rows)), schema)))
+    labels = F.split("host", "[.]")
+    ends = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), "."))
+    found = hosts.select("host", F.explode(ends).alias("at")).join(F.broadcast(known), "at")  # the rules are the caller's own list
+    found = found.groupBy("host").agg(F.collect_list(F.struct("size", "rule", "below", "verdict")).alias("rules"))
+    return hosts.join(found, "host", "left")
+
+
+def rule_of(rules: Column, path: Column) -> Column:
+    """The longest of a host's rules that fits a path (struct, null if none)."""
+    return F.array_max(F.filter(rules, lambda r: path.startswith(r["below"])))
+
+
+def _name(host: Column) -> Column:
+    return F.regexp_replace(host, _NO_NAME, "")
 
 
-def rule_of(host: Column, path: Column, rules: tuple[tuple[str, str], ...] = RULES) -> tuple[Column, Column]:
-    """The longest rule that fits (null if none) and its verdict. Rules are a short list, at most MAX_RULES."""
-    if len(rules) > MAX_RULES:
-        raise ValueError(f"{len(rules)} rules; at most {MAX_RULES} can be compiled into one expression")
-    rule = verdict = F.lit(None).cast("string")
-    for what, name in sorted(rules, key=lambda r: len(r[1])):
-        fits = _fits(host, path, name)
-        rule, verdict = F.when(fits, F.lit(name)).otherwise(rule), F.when(fits, F.lit(what)).otherwise(verdict)
-    return rule, verdict
+def _two_labels(host: Column, suffixes: Sequence[str]) -> Column:
+    """The public suffix of two labels, or more if given, that a host ends in; empty if it has one of one label."""
+    two = F.regexp_extract(_name(host), _TWO_LABELS, 1)
+    for s in sorted(suffixes, key=len):
+        two = F.when((_name(host) == s) | _name(host).endswith("." + s), F.lit(s)).otherwise(two)
+    return two
 
 
-def suffix_of(host: Column) -> Column:
-    two = F.substring_index(host, ".", -2)
-    return F.when(two.isin(*TWO_LABEL_SUFFIXES), two).otherwise(F.substring_index(host, ".", -1))
+def suffix_of(host: Column, suffixes: Sequence[str] = ()) -> Column:
+    two = _two_labels(host, suffixes)
+    return F.when(_name(host).rlike(_ADDRESS), F.lit("(address)")).when(two != "", two).otherwise(F.substring_index(_name(host), ".", -1))
 
 
-def domain_of(host: Column) -> Column:
-    two = F.substring_index(host, ".", -2)
-    return F.when(two.isin(*TWO_LABEL_SUFFIXES), F.substring_index(host, ".", -3)).otherwise(two)
+def domain_of(host: Column, suffixes: Sequence[str] = ()) -> Column:
+    """The suffix and one label more; the whole host if it has no more."""
+    name = _name(host)
+    labels = F.size(F.split(suffix_of(host, suffixes), "[.]")) + 1
+    return F.when(name.rlike(_ADDRESS), name).otherwise(F.array_join(F.slice(F.split(name, "[.]"), F.greatest(F.size(F.split(name, "[.]")) - labels, F.lit(0)) + 1, labels), "."))
 
 
 def _strength(level: DataFrame, out: str) -> DataFrame:
@@ -76,30 +107,35 @@ def _with_mean(level: DataFrame) -> DataFrame:
     return level.withColumn("mean", (F.col("bad") + F.col("m") * F.col("prior")) / (F.col("n") + F.col("m")))
 
 
-def host_reputation(hosts: DataFrame, quantile: float = 1.645) -> DataFrame:
+def host_reputation(hosts: DataFrame, quantile: float = 1.645, suffixes: Sequence[str] = ()) -> DataFrame:
     """hosts (host, n, bad: labelled outcomes) to host, mean, lower: posterior mean and lower bound of the bad rate."""
-    hosts = hosts.select("host", "n", "bad", domain_of(F.col("host")).alias("domain"), suffix_of(F.col("host")).alias("suffix"))
+    hosts = hosts.select("host", "n", "bad", domain_of(F.col("host"), suffixes).alias("domain"), suffix_of(F.col("host"), suffixes).alias("suffix"))
     total = hosts.agg(((F.coalesce(F.sum("bad"), F.lit(0)) + 1) / (F.coalesce(F.sum("n"), F.lit(0)) + 2)).alias("prior"))
-    suffixes = hosts.groupBy("suffix").agg(F.sum("n").alias("n"), F.sum("bad").alias("bad")).join(F.broadcast(total))
-    suffixes = _with_mean(suffixes).select("suffix", F.col("mean").alias("prior"))
-    domains = hosts.groupBy("suffix", "domain").agg(F.sum("n").alias("n"), F.sum("bad").alias("bad")).join(suffixes, "suffix")
+    known = hosts.groupBy("suffix").agg(F.sum("n").alias("n"), F.sum("bad").alias("bad")).join(F.broadcast(total))
+    known = _with_mean(known).select("suffix", F.col("mean").alias("prior"))
+    domains = hosts.groupBy("suffix", "domain").agg(F.sum("n").alias("n"), F.sum("bad").alias("bad")).join(known, "suffix")
     domains = _with_mean(domains).select("domain", F.col("mean").alias("prior"))
     hosts = _with_mean(hosts.join(domains, "domain"))
     deviation = F.sqrt(F.col("mean") * (1 - F.col("mean")) / (F.col("n") + F.col("m") + 1))
     return hosts.select("host", "mean", (F.col("mean") - quantile * deviation).alias("lower"))
 
 
-def judge(pages: DataFrame, outcomes: DataFrame, rules: tuple[tuple[str, str], ...] = RULES, limit: float = 0.5) -> DataFrame:
+def judge(pages: DataFrame, outcomes: DataFrame, rules: Sequence[tuple[str, str]] = RULES, limit: float = 0.5, suffixes: Sequence[str] = ()) -> DataFrame:
     """pages (page_id, url), outcomes (page_id, bad 0/1) to page_id, host, path, rule, verdict, bad_rate_bound."""
     at = pages.select("page_id", url_host(F.col("url")).alias("host"), url_path(F.col("url")).alias("path"))
     labelled = outcomes.where(F.col("bad").isNotNull() & F.col("page_id").isNotNull()).select("page_id", F.col("bad").cast("int").alias("bad"))
-    found = at.select("page_id", "host").join(labelled, "page_id").groupBy("host").agg(F.count("*").alias("n"), F.sum("bad").alias("bad"))
-    hosts = at.select("host", F.lit(0).cast("long").alias("n"), F.lit(0).cast("long").alias("bad")).distinct().unionByName(found)
-    hosts = hosts.groupBy("host").agg(F.sum("n").alias("n"), F.sum("bad").alias("bad"))
-    rule, verdict = rule_of(F.col("host"), F.col("path"), rules)
-    return at.join(host_reputation(hosts), "host").select(
-        "page_id", "host", "path", rule.alias("rule"),
-        F.coalesce(verdict, F.when(F.col("lower") > limit, F.lit("block")).otherwise(F.lit("allow"))).alias("verdict"),
+    no = F.lit(0).cast("long")
+    found = at.select("page_id", "host").join(labelled, "page_id").select("host", F.lit(1).cast("long").alias("n"), F.col("bad").cast("long").alias("bad"), no.alias("pages"))
+    every = at.select("host", no.alias("n"), no.alias("bad"), F.lit(1).cast("long").alias("pages")).unionByName(found)
+    hosts = stored(every.groupBy("host").agg(F.sum("n").alias("n"), F.sum("bad").alias("bad"), F.sum("pages").alias("pages")), "reputation-hosts")
+    total = hosts.agg(F.coalesce(F.sum("pages"), no)).first()[0]
+    known = host_reputation(hosts.select("host", "n", "bad"), suffixes=suffixes).join(rules_by_host(hosts.select("host"), rules), "host")
+    known = stored(known.join(hosts.select("host", "pages"), "host"), "reputation")
+    fits = rule_of(F.col("rules"), F.col("path"))
+    out = join_counted(at, known, ["host"], total, n="pages").withColumn("fits", fits)
+    return out.select(
+        "page_id", "host", "path", F.col("fits.rule").alias("rule"),
+        F.coalesce(F.col("fits.verdict"), F.when(F.col("lower") > limit, F.lit("block")).otherwise(F.lit("allow"))).alias("verdict"),
         F.round("lower", 4).alias("bad_rate_bound"),
     )
 
@@ -128,8 +164,14 @@ fits AS (
   ON (a.host = r.rule_host OR ends_with(a.host, '.' || r.rule_host)) AND starts_with(a.path, r.rule_path) GROUP BY ALL),
 counted AS (
   SELECT host, count(quality) AS n, coalesce(sum(1 - quality), 0)::DOUBLE AS bad FROM parsed LEFT JOIN labels ON doc_id = page_id GROUP BY ALL),
+named AS (
+  SELECT *, regexp_replace(regexp_replace(host, '^.*@', ''), ':[0-9]*$', '') AS plain FROM counted),
+labelled AS (
+  SELECT *, string_split(plain, '.') AS labels, regexp_matches(plain, '{_ADDRESS}') AS is_address,
+    list_contains([{", ".join(f"'{x}'" for x in SECOND_LEVELS)}], string_split(plain, '.')[-2]) AND regexp_full_match(string_split(plain, '.')[-1], '[a-z][a-z]') AS two FROM named),
 hosts0 AS (
-  SELECT *, regexp_extract(host, '[^.]*$') AS suffix, regexp_extract(host, '([^.]*[.])?[^.]*$') AS domain FROM counted),
+  SELECT host, n, bad, CASE WHEN is_address THEN '(address)' WHEN two THEN array_to_string(labels[-2:], '.') ELSE labels[-1] END AS suffix,
+    CASE WHEN is_address THEN plain WHEN two THEN array_to_string(labels[-3:], '.') ELSE array_to_string(labels[-2:], '.') END AS domain FROM labelled),
 total AS (SELECT (coalesce(sum(bad), 0) + 1) / (coalesce(sum(n), 0) + 2) AS prior FROM hosts0),
 suffixes0 AS (SELECT suffix, sum(n) AS n, sum(bad) AS bad, any_value(prior) AS prior FROM hosts0, total GROUP BY suffix),
 {_sql_level("suffixes", "suffix", "suffixes0")},
