@@ -14,7 +14,7 @@ def test_stages(spark):
     for name, stage in cp.STAGES:
         before, docs = docs, cp.stored(stage(spark, docs, SF), f"test-{name}")
         if name != "packing":
-            assert docs.columns == before.columns
+            assert docs.columns == before.columns == list(cp.COLUMNS)
         if name in ("toxicity", "quality", "near_duplicates"):
             assert 0.6 * before.count() < docs.count() <= before.count()
             assert docs.exceptAll(before).count() == 0
@@ -70,3 +70,43 @@ def test_near_duplicates_of_null_repeated_and_conflicting_ids(spark):
 def test_run_twice_agrees(spark):
     rows = lambda: sorted(map(tuple, cp.run(spark, SF).select("doc_id", "start", "length", "ids_crc32").collect()))
     assert rows() == rows()
+
+
+ODD = [
+    (1, None, None, None, None), (None, text(50), "en", "a", 12), (None, text(51), "en", "a", 12), (2, "", "en", None, 0), (3, " \n\t ", "en", "a", 4), (4, "one", "en", "a", 3),
+    (5, text(52) + " word" * 60_000, "en", "b", 300_000), (6, "x" * 1_500_000, "en", "b", 1_500_000), (7, text(53), "en", "b", 23), (7, text(53), "en", "b", 23), (7, text(54), "en", "b", 23),
+]
+SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
+
+
+def test_filters_judge_every_row_by_its_own_text(spark):
+    """A clean text that shares its id with a rejected one stays; the scores of a row are those of its text alone."""
+    docs = spark.read.parquet(f"{SF}/documents.parquet").select(*cp.COLUMNS)
+    odd = spark.createDataFrame(ODD, SCHEMA)
+    labels = spark.read.parquet(f"{SF}/labels.parquet")
+    toxic = cp.toxicity.score(docs, cp.toxicity.toxicity_model(docs, labels)).where("score >= 0.7").first().doc_id
+    bad = docs.where(F.col("doc_id") == toxic).first()
+    same_id = spark.createDataFrame([(None, bad.text, "en", "a", 1), (int(toxic), text(60), "en", "a", 1)], SCHEMA)
+    every = docs.unionByName(odd).unionByName(same_id)
+    for stage, module, model, keep in ((cp.drop_toxic, cp.toxicity, "toxicity_model", lambda s: s < 0.7), (cp.drop_low_quality, cp.boosting, "quality_model", lambda s: s >= 0.3)):
+        fitted = getattr(module, model)(every, labels)
+        rows = every.collect()
+        alone = spark.createDataFrame([(i, r.text) for i, r in enumerate(rows)], "doc_id long, text string")
+        score = {r.doc_id: r.score for r in module.score(alone, fitted).collect()}
+        want = sorted(map(repr, (tuple(r) for i, r in enumerate(rows) if keep(score[i]))))
+        assert sorted(map(repr, map(tuple, stage(spark, every, SF).collect()))) == want
+    kept = cp.drop_toxic(spark, every, SF)
+    assert kept.where(F.col("text") == text(60)).count() == 1 and kept.where(F.col("text") == bad.text).count() == 0
+
+
+def test_stages_on_odd_and_empty_input(spark):
+    odd = spark.createDataFrame(ODD, SCHEMA).withColumns({k: F.lit("clash") for k in ("score", "__row", "size", "queue", "n")})
+    for name, stage in cp.STAGES:
+        got, none = stage(spark, odd, SF), stage(spark, odd.limit(0), SF)
+        assert none.count() == 0 and none.columns == got.columns
+        if name == "near_duplicates":
+            assert got.count() == len(ODD) - 1  # the repeated row
+        if name == "packing":
+            assert got.where("start = 0").count() == len(ODD) and got.agg(F.sum("length")).first()[0] > 60_000
+        if name in ("toxicity", "quality"):
+            assert got.exceptAll(odd.select(*cp.COLUMNS)).count() == 0
