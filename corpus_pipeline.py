@@ -2,6 +2,12 @@
 
 Every stage works on all rows its predecessor kept, takes (spark, docs, sf_dir) and returns a DataFrame; run() writes
 each result as Parquet in the shared folder and rereads it as the next stage's input.
+
+Defined cases, of every stage: a row is a document of its own, whatever its id, so that null ids and ids that repeat, with
+the same text or others, lose nothing and take nothing with them; a null text is judged, compared, measured and packed as
+an empty one and comes out null; empty and very long texts are treated like others; a null source is a source; rows that
+tie in all columns are alike, so that any of them may stay; an empty table gives an empty result; columns beyond those of
+documents are dropped at the first stage, whatever their names.
 """
 
 from __future__ import annotations
@@ -11,26 +17,23 @@ from pyspark.sql import functions as F
 
 from placelink.llm import boosting, mixing, neardup, packing, toxicity
 from placelink.llm.common import n_words, stored, table
+from placelink.operators.storage import forget
 
-COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
+COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 #: No SQL: the first stages are learned. tests/llm holds the stages against brute force.
 ORACLE_SQL = None
 
 
-def _kept(docs: DataFrame, verdicts: DataFrame) -> DataFrame:
-    """The documents that a verdict (doc_id, kept) lets pass; an id that no verdict names passes."""
-    out = verdicts.where(~F.col("kept")).select(F.col("doc_id").alias("__id")).distinct()
-    return docs.join(out, F.col("doc_id") == F.col("__id"), "left_anti").select(*COLUMNS)
-
-
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    scored = toxicity.score(docs, toxicity.toxicity_model(docs, table(spark, sf_dir, "labels")))
-    return _kept(docs, scored.select("doc_id", (F.col("score") < toxicity.DECISION).alias("kept")))
+    """Each row is judged by its own text."""
+    scored = toxicity.score(docs, toxicity.toxicity_model(docs, table(spark, sf_dir, "labels")), COLUMNS)
+    return scored.where(F.col("score") < toxicity.DECISION).select(*COLUMNS)
 
 
 def drop_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    scored = boosting.score(docs, boosting.quality_model(docs, table(spark, sf_dir, "labels")))
-    return _kept(docs, scored.select("doc_id", (F.col("score") >= boosting.DECISION).alias("kept")))
+    """Each row is judged by its own text."""
+    scored = boosting.score(docs, boosting.quality_model(docs, table(spark, sf_dir, "labels")), COLUMNS)
+    return scored.where(F.col("score") >= boosting.DECISION).select(*COLUMNS)
 
 
 def _keyed(docs: DataFrame, name: str) -> DataFrame:
@@ -75,5 +78,6 @@ STAGES = [
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
-        docs = stored(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        before, docs = docs, stored(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        forget(before)  # nothing reads a stage's input any more
     return STAGES[-1][1](spark, docs, sf_dir)
