@@ -1,8 +1,9 @@
 """Connected components by alternating stars: every round links nodes to smaller ones until all point to the least.
 
 The number of rounds grows with the logarithm of a component's size. A hub is reduced to its minimum before it is
-shuffled; its rows are then joined in shares instead of meeting in one task. Each round is written to the shared
-folder, and the round before is deleted.
+shuffled; the minima are stored before they are joined back, so that both sides of the join are plain exchanges, and
+Spark's adaptive execution deals a hub's rows over several tasks. Each round is written to the shared folder, and the
+round before is deleted.
 """
 
 from __future__ import annotations
@@ -10,7 +11,6 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from placelink.operators.skew import join_counted
 from placelink.operators.storage import forget, stored
 
 
@@ -26,12 +26,11 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         now = e.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if now == mark:
             return e.select(F.col("a").alias("id"), F.col("b").alias("component")).unionByName(e.select(F.col("b").alias("id"), F.col("b").alias("component"))).distinct()
-        mark, total = now, 2 * now[0]
+        mark = now
         both = e.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(e.select(F.col("b").alias("u"), F.col("a").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")).select("u", F.least("u", "m").alias("m"), "n")
-        large = join_counted(both.where("v > u"), least, ["u"], total).select(F.col("v").alias("a"), F.col("m").alias("b")).distinct()
-        large = stored(large, "components-large")  # read twice
-        low = large.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n"))
-        small = join_counted(large, low, ["a"], total).where("b != m").select(F.col("b").alias("a"), F.col("m").alias("b"))
+        least = stored(both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m")), "components-least")
+        large = stored(both.where("v > u").join(least, "u").select(F.col("v").alias("a"), F.col("m").alias("b")).distinct(), "components-large")
+        low = stored(large.groupBy("a").agg(F.min("b").alias("m")), "components-low")
+        small = large.join(low, "a").where("b != m").select(F.col("b").alias("a"), F.col("m").alias("b"))
         done, e = e, stored(small.unionByName(low.select("a", F.col("m").alias("b"))).distinct(), "components")
-        forget(done, large)
+        forget(done, least, large, low)
