@@ -10,7 +10,8 @@ deviations of the sampling and five of the bits that cancel, then confirmed by c
 Buckets are never expanded into all pairs. First every member is compared with a leader of its bucket; confirmed links
 are merged into components. This repeats with other leaders. Then only members of different components that still share
 a bucket are left, and those are compared in blocks of bounded size, by their sketches, before anything is emitted.
-Classes, buckets and leaders with very many members are dealt over several tasks in every join.
+Tables of one row per class, bucket or document are stored before they are joined, so that both sides of every join are
+plain exchanges, and Spark's adaptive execution deals a class, bucket or leader with very many rows over several tasks.
 
 With 30 bands of 4 rows a pair of similarity 0.8 shares no bucket with a probability of about 1.4e-7.
 
@@ -34,7 +35,6 @@ from pyspark.sql import functions as F
 from placelink.llm import common as c
 from placelink.llm.common import stored, table
 from placelink.operators.components import components
-from placelink.operators.skew import join_counted
 from placelink.operators.storage import forget
 
 BANDS, ROWS, SKETCH_BITS, BIN_BITS = 30, 4, 4096, 13
@@ -158,27 +158,20 @@ def full_sets(docs: DataFrame, size: int) -> DataFrame:
 
 def _screen(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
     """Pairs (a, b) that sizes and sketches allow."""
-    pairs = stored(pairs, "neardup-candidates")
-    total = pairs.count()
     side = lambda x: classes.select(F.col("rep").alias(x), F.col("n").alias(f"n_{x}"), F.col("samples").alias(f"s_{x}"), F.col("sketch").alias(f"sketch_{x}"))
     bits = F.aggregate(F.zip_with("sketch_a", "sketch_b", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
     sizes = 100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b")
-    both = pairs
-    for x in "ab":  # a leader has very many pairs
-        both = join_counted(both, side(x).join(pairs.groupBy(x).agg(F.count("*").alias("n")), x), [x], total)
+    both = pairs.join(side("a"), "a").join(side("b"), "b")
     return both.where(sizes & (bits <= most_bits(F.col("n_a"), F.col("n_b"), F.col("s_a"), F.col("s_b"), percent, F))).select("a", "b")
 
 
 def _confirmed(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> DataFrame:
     """Pairs (a, b) whose full sets reach the similarity; sets are built for the documents in question only."""
     pairs = stored(pairs, "neardup-pairs")
-    total = pairs.count()
     ids = pairs.select(F.col("a").alias("doc_id")).distinct().unionByName(pairs.select(F.col("b").alias("doc_id")).distinct()).distinct()
     sets = stored(full_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), size), "neardup-sets", "lz4")
-    both = pairs
-    for x in "ba":
-        counts = pairs.groupBy(x).agg(F.count("*").alias("n"))
-        both = join_counted(both, sets.select(F.col("doc_id").alias(x), F.col("members").alias(f"set_{x}")).join(counts, x), [x], total)
+    both = pairs.join(sets.select(F.col("doc_id").alias("b"), F.col("members").alias("set_b")), "b")
+    both = both.join(sets.select(F.col("doc_id").alias("a"), F.col("members").alias("set_a")), "a")
     common = F.size(F.array_intersect("set_a", "set_b"))
     out = stored(both.where(100 * common >= percent * (F.size("set_a") + F.size("set_b") - common)).select("a", "b").distinct(), "neardup-links")
     forget(pairs, sets)
@@ -230,16 +223,14 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFr
     """doc_id, n_shingles, component_id (least id reachable over links), kept (the document that stays)."""
     found = stored(signatures(docs, size), "neardup-signatures")
     live = found.where("n > 0 and doc_id is not null")
-    classes = stored(live.groupBy("set_a", "set_b").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")), "neardup-sets-by-id")
-    total = live.count()
-    equal = join_counted(live.select("doc_id", "set_a", "set_b"), classes, ["set_a", "set_b"], total)
+    classes = stored(live.groupBy("set_a", "set_b").agg(F.min("doc_id").alias("rep")), "neardup-sets-by-id")
+    equal = live.select("doc_id", "set_a", "set_b").join(classes, ["set_a", "set_b"])
     links = equal.where("doc_id != rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))  # equal sets
-    firsts = live.join(classes.select("set_a", "set_b", F.col("rep").alias("doc_id")), ["set_a", "set_b", "doc_id"], "left_semi")
+    firsts = live.join(classes.withColumnRenamed("rep", "doc_id"), ["set_a", "set_b", "doc_id"], "left_semi")
     reps = stored(firsts.dropDuplicates(["set_a", "set_b"]).select(F.col("doc_id").alias("rep"), "n", "samples", "bands", "sketch"), "neardup-classes")
     buckets = reps.select("rep", F.explode("bands").alias("key"))
-    shared = buckets.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
-    buckets = stored(join_counted(buckets, shared, ["key"], BANDS * reps.count(), "left_semi"), "neardup-buckets")
-    total = buckets.count()
+    shared = stored(buckets.groupBy("key").agg(F.count("*").alias("members")).where("members > 1").select("key"), "neardup-shared")
+    buckets = stored(buckets.join(shared, "key", "left_semi"), "neardup-buckets")
 
     found_links = None
     for turn in range(LEADER_ROUNDS + 1):
@@ -252,11 +243,11 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFr
         per = rest.groupBy("key").agg(F.count("*").alias("n"), F.min("comp").alias("x"), F.max("comp").alias("y"), F.min(first).alias("leader"))
         per = stored(per.where("x != y").select("key", "n", F.col("leader.rep").alias("leader"), F.col("leader.comp").alias("of")), "neardup-leaders")
         if turn < LEADER_ROUNDS:
-            pairs = join_counted(rest, per, ["key"], total).where("comp != of").select(F.least("rep", "leader").alias("a"), F.greatest("rep", "leader").alias("b")).distinct()
+            pairs = rest.join(per, "key").where("comp != of").select(F.least("rep", "leader").alias("a"), F.greatest("rep", "leader").alias("b")).distinct()
             pairs = _screen(pairs, reps, percent)
         else:
             left = per.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-            rest = join_counted(rest, per.select("key", "n", F.ceil(F.col("n") / BLOCK).cast("int").alias("parts")), ["key"], total)
+            rest = rest.join(per.select("key", F.ceil(F.col("n") / BLOCK).cast("int").alias("parts")), "key")
             sketches = reps.select("rep", "n", "samples", "sketch", "bands")
             pairs = _blocks(rest.join(sketches, "rep").select("key", "parts", "rep", "comp", "n", "samples", "sketch", "bands"), left, percent)
         new = _confirmed(pairs, docs, size, percent)
