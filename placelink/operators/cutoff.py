@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, Row
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from placelink.operators.layers import _names, layers
+from placelink.operators.layers import _names, first_levels, layers
 
 
 def _by_layer():
@@ -78,20 +78,23 @@ def stop_layer(levels: DataFrame, patience: int = 1) -> DataFrame:
     return seen.select("drop_at", F.coalesce(F.col("drop_at") - patience, F.col("layers")).alias("layer"), "layers")
 
 
-def early_stop_cut(vectors: DataFrame, attrs, chunk: int = 64, patience: int = 1, verify: bool = False) -> Row:
-    """Ranks the first layers only, twice as many each time, until F1 falls. Returns layer, explored, f1 (and f1_loss).
+def early_stop_levels(vectors: DataFrame, attrs, patience: int = 1) -> DataFrame:
+    """The level curve up to where the early stop ends; recall and F1 count the positives of all vectors."""
+    first = first_levels(vectors, attrs, patience)
+    c = first.withColumns({"cum_pairs": F.sum("pairs").over(_up_to()), "tp": F.sum("positives").over(_up_to())})
+    return c.withColumn("f1", 2 * F.col("tp") / (F.col("cum_pairs") + F.col("all_positives")))
 
-    One row per round reaches the driver. Recall needs all positives, which are counted over all vectors.
+
+def early_stop_cut(vectors: DataFrame, attrs, patience: int = 1, verify: bool = False) -> Row:
+    """Takes layer after layer away until F1 falls. Returns layer, explored, f1 (and f1_loss).
+
+    One job; its curve, a row per explored layer, is read here.
     """
-    total = vectors.agg(F.sum("positives")).first()[0] or 0
-    while True:
-        part = layers(vectors, attrs, max_layer=chunk)
-        levels = level_curve(part).withColumn("f1", 2 * F.col("tp") / (F.col("cum_pairs") + F.lit(total)))
-        stop = stop_layer(levels, patience).first()
-        if stop["drop_at"] is not None or (stop["layers"] or 0) < chunk:
-            break
-        chunk *= 2
-    row = {"layer": stop["layer"], "explored": stop["drop_at"] or stop["layers"], "f1": levels.where(F.col("layer") == stop["layer"]).select("f1").first()[0] if stop["layers"] else 0.0}
+    levels = early_stop_levels(vectors, attrs, patience).select("layer", "f1").orderBy("layer").collect()
+    f1 = [r["f1"] for r in levels]
+    stopped = len(f1) > patience and all(f1[-i] < f1[-i - 1] for i in range(1, patience + 1))
+    k = len(f1) - patience if stopped else len(f1)
+    row = {"layer": k or None, "explored": len(f1), "f1": f1[k - 1] if k else 0.0}
     if verify:
         row["f1_loss"] = sweep_cut(level_curve(layers(vectors, attrs))).first()["f1"] - row["f1"]
     return Row(**row)
@@ -131,6 +134,17 @@ def cross_terms(ranked: DataFrame, attrs, metric: str = "euclidean") -> DataFram
     return rows.repartition(max(1, min(200, n // 512)), *names).mapInArrow(run, "layer int, delta double").groupBy("layer").agg(F.sum("delta").alias("delta"))
 
 
+def sampled(ranked: DataFrame, attrs, share: float) -> DataFrame:
+    """A share of every layer's vectors (one at least, those of the smallest hash), their pairs raised to the layer's total.
+
+    Estimates the distances between classes where the vectors are too many to be held against each other.
+    """
+    of = W.partitionBy("layer")
+    rows = ranked.where("layer is not null").withColumns({"__at": F.row_number().over(of.orderBy(F.xxhash64(*_names(attrs)), *_names(attrs))), "__n": F.count("*").over(of), "__pairs": F.sum("pairs").over(of)})
+    kept = rows.where(F.col("__at") <= F.ceil(F.col("__n") * share))
+    return kept.withColumn("pairs", F.col("pairs") * F.col("__pairs") / F.sum("pairs").over(of)).drop("__at", "__n", "__pairs")
+
+
 def separation_sums(ranked: DataFrame, attrs, metric: str = "euclidean") -> DataFrame:
     """layer, pairs, total: the sum of distances between layers 1 to k and the rest."""
     per = _counts(ranked, None).select("layer", "pairs")

@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from placelink.operators.storage import stored
 
-#: Distinct vectors that one ranking task takes; beyond, quantise the similarities or ask for the first layers only.
+#: Distinct vectors that one ranking task takes; more are an error: quantise the similarities or ask for the first layers only.
 MOST_VECTORS = 2_000_000
 
 
@@ -113,12 +113,42 @@ def layer_numbers(x: np.ndarray) -> np.ndarray:
     return out
 
 
+def fronts(x: np.ndarray, step: int = 512) -> Iterator[np.ndarray]:
+    """The rows of one layer after the other, each found when it is asked for (rows differ; larger is better)."""
+    rest = np.lexsort([-x[:, k] for k in reversed(range(x.shape[1]))]) if len(x) else np.zeros(0, np.int64)
+    while len(rest):
+        front, beaten = np.empty((0, x.shape[1])), np.zeros(len(rest), bool)
+        for i in range(0, len(rest), step):  # dominators come first in this order
+            some = x[rest[i : i + step]]
+            lost = np.zeros(len(some), bool)
+            for j in range(0, len(front), step):
+                lost |= (front[None, j : j + step] >= some[:, None]).all(axis=2).any(axis=1)
+            left = np.flatnonzero(~lost)
+            better = (some[left][None] >= some[left][:, None]).all(axis=2)
+            np.fill_diagonal(better, False)
+            lost[left[better.any(axis=1)]] = True
+            front = np.concatenate([front, some[~lost]])
+            beaten[i : i + step] = lost
+        yield rest[~beaten]
+        rest = rest[beaten]
+
+
+def _whole(batches: Iterator[pa.RecordBatch]) -> pa.Table | None:
+    """What one ranking task gets; more than MOST_VECTORS are refused before they fill its memory."""
+    found, n = [], 0
+    for b in batches:
+        found.append(b)
+        n += b.num_rows
+        if n > MOST_VECTORS:
+            raise ValueError(f"more than {MOST_VECTORS} distinct vectors in one ranking task; round the similarities or ask for the first layers")
+    return pa.Table.from_batches(found).combine_chunks() if found else None
+
+
 def _ranked(names: list[str], signs: list[int], most: int | None):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        batches = list(batches)
-        if not batches:
+        t = _whole(batches)
+        if t is None:
             return
-        t = pa.Table.from_batches(batches).combine_chunks()
         x = np.stack([s * t.column(n).to_numpy() for n, s in zip(names, signs, strict=True)], axis=1)
         layer = layer_numbers(x)
         keep = np.ones(len(layer), bool) if most is None else layer <= most
@@ -128,10 +158,40 @@ def _ranked(names: list[str], signs: list[int], most: int | None):
     return run
 
 
+def first_levels(vectors: DataFrame, attrs, patience: int = 1) -> DataFrame:
+    """layer, pairs, positives of the first layers, up to the `patience`-th fall of F1 in a row, and all_positives.
+
+    vectors: attributes, pairs, positives. One task takes layer after layer away and stops; deeper ones are never formed.
+    """
+    a = _attributes(attrs)
+    names, signs = [x.name for x in a], [1 if x.direction == "high" else -1 for x in a]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        t = _whole(batches)
+        if t is None:
+            return
+        x = np.stack([s * t.column(n).to_numpy() for n, s in zip(names, signs, strict=True)], axis=1)
+        pairs, positives = t.column("pairs").to_numpy(), t.column("positives").to_numpy()
+        total, seen, hits, best, falls, out = int(positives.sum()), 0, 0, -1.0, 0, []
+        for k, rows in enumerate(fronts(x), 1):
+            out.append((k, int(pairs[rows].sum()), int(positives[rows].sum()), total))
+            seen, hits = seen + out[-1][1], hits + out[-1][2]
+            f1 = 2 * hits / (seen + total)
+            falls = falls + 1 if f1 < best else 0
+            best = f1
+            if falls >= patience:
+                break
+        yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in out], pa.int32()), *[pa.array([r[i] for r in out], pa.int64()) for i in (1, 2, 3)]], names=["layer", "pairs", "positives", "all_positives"])
+
+    known = " and ".join(f"{n} is not null" for n in names)
+    rows = vectors.where(known).select(*[F.col(n).cast("double").alias(n) for n in names], F.col("pairs").cast("bigint"), F.col("positives").cast("bigint"))
+    return rows.coalesce(1).mapInArrow(run, "layer int, pairs bigint, positives bigint, all_positives bigint")
+
+
 def layers(df: DataFrame, attrs, max_layer: int | None = None, join: bool = True) -> DataFrame:
     """df (pairs or vectors) with `layer`; with max_layer, rows of deeper layers are left out.
 
-    One task ranks the distinct vectors in a sorted pass. With max_layer, every partition first drops what is deeper
+    One task ranks the distinct vectors (MOST_VECTORS at most) in a sorted pass. With max_layer, every partition first drops what is deeper
     already among its own vectors (a layer within a part is never deeper than in the whole).
     """
     a = _attributes(attrs)

@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 
 from placelink.operators.layers import _names
 from placelink.operators.metrics import confusion, prf
+from placelink.operators.storage import stored
 
 MODELS = ("logreg", "svm", "tree", "bayes")
 PROTOCOLS = ("full", "sample", "transfer")
@@ -47,13 +48,15 @@ def supervised(pairs: DataFrame, model: str, attrs, protocol: str = "full", fold
     The sample has SAMPLE pairs, a third of all at most. "full" and "sample": each quarter is tested by a model of the other three; "transfer": learned on the sample, tested
     on everything else.
     """
-    ready = VectorAssembler(inputCols=_names(attrs), outputCol="features").transform(pairs.withColumn("label", F.col("label").cast("double")))
+    assembled, pairs = VectorAssembler(inputCols=_names(attrs), outputCol="features"), pairs.withColumn("label", F.col("label").cast("double"))
+    ready = assembled.transform(pairs)
     few = min(SAMPLE, max(1, ready.count() // 3)) if protocol != "full" else 0
     if protocol == "transfer":
         sample = checked_sample(ready, few)
         tested = _model(model).fit(sample).transform(ready.join(sample.select("eid_a", "eid_b"), ["eid_a", "eid_b"], "left_anti"))
     else:
-        data = fold(checked_sample(ready, few) if protocol == "sample" else ready, folds).cache()
+        data = stored(fold(checked_sample(pairs, few) if protocol == "sample" else pairs, folds), "folds")
+        data = assembled.transform(data)
         tested = None
         for i in range(folds):
             part = _model(model).fit(data.where(F.col("fold") != i)).transform(data.where(F.col("fold") == i)).select("prediction", "label")

@@ -10,26 +10,48 @@ from pyspark.sql import functions as F
 from placelink.functions.geo import euclid_m
 
 SCOPES = ("all", "within", "cross")
+#: Places of a cell that meet in one task; fuller cells are dealt into parts, and every two parts meet in a task of their own.
+MOST_IN_CELL = 2_000
+#: Fuller cells that are known by broadcast (20 MB); beyond, their numbers of parts are joined by cell.
+MOST_HOT_CELLS = 500_000
 
 
 def _sides(df: DataFrame, columns: list[str]) -> tuple[DataFrame, DataFrame]:
     return tuple(df.select(*[F.col(c).alias(f"{c}_{s}") for c in columns]) for s in "ab")
 
 
+def _with_parts(rows: DataFrame, cell: list[str], hot: DataFrame, n_hot: int) -> DataFrame:
+    """rows with __parts, the number of parts of their cell (1 unless it is hot)."""
+    parts = hot.select(*cell, F.ceil(F.col("n") / MOST_IN_CELL).cast("int").alias("__parts"))
+    found = rows.join(F.broadcast(parts) if n_hot <= MOST_HOT_CELLS else parts, cell, "left")
+    return found.withColumn("__parts", F.coalesce("__parts", F.lit(1)))
+
+
 def candidate_pairs(blocks: DataFrame, scope: str = "all", max_dist_m: float | None = None, carry: tuple[str, ...] = ()) -> DataFrame:
     """Every pair of places that shares a block, once: eid_a < eid_b, dist_m, and the carried columns of both.
 
     A pair with several common blocks belongs to the least of them, so no distinct is needed. On one level that block
     follows from the two places' least cells; with leaves of several levels a place's leaves ride along as an array.
+    Cells of more than MOST_IN_CELL places are dealt into parts, so that no task compares more than two parts.
     """
     leaf = ["level", "ix", "iy"]
-    one_level = blocks.where("low_ix is null").isEmpty()
+    cells = blocks.groupBy(*leaf).agg(F.count("*").alias("n"), F.max(F.col("low_ix").isNull()).alias("deep"))
+    deep, n_hot = cells.agg(F.coalesce(F.max("deep"), F.lit(False)), F.count_if(F.col("n") > MOST_IN_CELL)).first()
+    one_level, cut = not deep, []
     if not one_level:
         own = blocks.groupBy("eid").agg(F.collect_set(F.struct(*leaf)).alias("leaves"))  # a place has few leaves
         blocks = blocks.join(own, "eid")
-    columns = list(dict.fromkeys(["eid", *leaf, "x_m", "y_m", *(["low_ix", "low_iy"] if one_level else ["leaves"]), *(["source"] if scope != "all" else []), *carry]))
+    if n_hot:
+        blocks = _with_parts(blocks, leaf, cells.where(F.col("n") > MOST_IN_CELL), n_hot)
+        blocks = blocks.withColumn("part", F.pmod(F.xxhash64("eid", "x_m", "y_m"), F.col("__parts")).cast("int"))
+        blocks = blocks.withColumn("__other", F.explode(F.sequence(F.lit(0), F.col("__parts") - 1)))
+        blocks = blocks.withColumns({"low": F.least("part", "__other"), "high": F.greatest("part", "__other")})
+        cut = ["low", "high"]
+    columns = list(dict.fromkeys(["eid", *leaf, *cut, *(["part"] if cut else []), "x_m", "y_m", *(["low_ix", "low_iy"] if one_level else ["leaves"]), *(["source"] if scope != "all" else []), *carry]))
     a, b = _sides(blocks, columns)
-    pairs = a.join(b, [a[f"{c}_a"] == b[f"{c}_b"] for c in leaf]).where("eid_a < eid_b")
+    pairs = a.join(b, [a[f"{c}_a"] == b[f"{c}_b"] for c in [*leaf, *cut]]).where("eid_a < eid_b")
+    if cut:  # two places of one part meet in that part's own task only
+        pairs = pairs.where("low_a = high_a or part_a != part_b")
     if one_level:
         pairs = pairs.where((F.col("ix_a") == F.greatest("low_ix_a", "low_ix_b")) & (F.col("iy_a") == F.greatest("low_iy_a", "low_iy_b")))
     else:
@@ -58,8 +80,16 @@ def radius_pairs(places: DataFrame, r: float, strategy: str = "grid") -> DataFra
         cell = places.select("eid", "x_m", "y_m", F.floor(F.col("x_m") / r).alias("cx"), F.floor(F.col("y_m") / r).alias("cy"))
         near = F.explode(F.sequence(F.lit(-1), F.lit(1)))
         a, b = _sides(cell, cell.columns)
-        b = b.withColumn("dx", near).withColumn("dy", near).withColumns({"cx_b": F.col("cx_b") + F.col("dx"), "cy_b": F.col("cy_b") + F.col("dy")})
-        pairs = a.join(b, (a["cx_a"] == b["cx_b"]) & (a["cy_a"] == b["cy_b"]) & (a["eid_a"] < b["eid_b"]))
+        b = b.withColumn("dx", near).withColumn("dy", near).select("eid_b", "x_m_b", "y_m_b", (F.col("cx_b") + F.col("dx")).alias("cx"), (F.col("cy_b") + F.col("dy")).alias("cy"))
+        a = a.withColumnsRenamed({"cx_a": "cx", "cy_a": "cy"})
+        on = ["cx", "cy"]
+        hot = cell.groupBy(*on).agg(F.count("*").alias("n")).where(F.col("n") > MOST_IN_CELL)
+        n_hot = hot.count()
+        if n_hot:  # a full cell's places are dealt into parts, and each part meets all that is near
+            a = _with_parts(a, on, hot, n_hot).withColumn("part", F.pmod(F.xxhash64("eid_a", "x_m_a", "y_m_a"), F.col("__parts")).cast("int")).drop("__parts")
+            b = _with_parts(b, on, hot, n_hot).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("__parts") - 1))).drop("__parts")
+            on = [*on, "part"]
+        pairs = a.join(b, on).where("eid_a < eid_b")
         pairs = pairs.withColumn("dist_m", euclid_m(F.col("x_m_a"), F.col("y_m_a"), F.col("x_m_b"), F.col("y_m_b")))
         return pairs.where(F.col("dist_m") <= r).select("eid_a", "eid_b", "dist_m")
     if strategy != "sorted":
@@ -79,19 +109,20 @@ def radius_pairs(places: DataFrame, r: float, strategy: str = "grid") -> DataFra
         own, own_y = task.column("own").to_numpy(), task.column("own_y").to_numpy()
         here, high = task.column("strip")[0].as_py(), task.column("tall")[0].as_py()
         end = np.searchsorted(y, y + r, side="right")
-        out: dict[str, list] = {"eid_a": [], "eid_b": [], "dist_m": []}
+        first, second, apart = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0)]
         for i in range(len(x)):
             j = np.arange(i + 1, end[i])
             # the pair belongs to the lesser strip of its two places, on both axes
             j = j[(np.minimum(own[i], own[j]) == here) & (np.minimum(own_y[i], own_y[j]) == high)]
             d = np.sqrt((x[j] - x[i]) * (x[j] - x[i]) + (y[j] - y[i]) * (y[j] - y[i]))
-            for k, dist in zip(j[d <= r].tolist(), d[d <= r].tolist(), strict=True):
-                p, q = sorted((eid[i], eid[k]))
-                if p != q:
-                    out["eid_a"].append(p)
-                    out["eid_b"].append(q)
-                    out["dist_m"].append(dist)
-        return pa.table(out, schema=pa.schema([("eid_a", pa.string()), ("eid_b", pa.string()), ("dist_m", pa.float64())]))
+            j, d = j[d <= r], d[d <= r]
+            first.append(np.full(len(j), i))
+            second.append(j)
+            apart.append(d)
+        p, q, d = eid[np.concatenate(first)], eid[np.concatenate(second)], np.concatenate(apart)
+        differ, swap = p != q, p > q
+        p, q = np.where(swap, q, p)[differ], np.where(swap, p, q)[differ]
+        return pa.table([pa.array(p, pa.string()), pa.array(q, pa.string()), pa.array(d[differ])], schema=pa.schema([("eid_a", pa.string()), ("eid_b", pa.string()), ("dist_m", pa.float64())]))
 
     return rows.groupBy("strip", "tall").applyInArrow(sweep, "eid_a string, eid_b string, dist_m double")
 

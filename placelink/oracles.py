@@ -95,7 +95,9 @@ compared AS (
     round({_TEXT.format(a="a.address_c", b="b.address_c")}, 6)::DOUBLE AS address_text,
     round(coalesce(w.sim, 0.0), 6)::DOUBLE AS semantic_sim,
     CAST(coalesce(a.phone_clean = b.phone_clean, false) OR coalesce(a.website_clean = b.website_clean, false) AS INTEGER) AS label_auto,
-    CAST(a.truth_id = b.truth_id AS INTEGER) AS label
+    CAST(a.truth_id = b.truth_id AS INTEGER) AS label,
+    CAST(CASE WHEN CAST('0x' || substr(md5(a.eid || b.eid), 1, 7) AS BIGINT) % 78 = 0 THEN a.truth_id = b.truth_id
+      ELSE coalesce(a.phone_clean = b.phone_clean, false) OR coalesce(a.website_clean = b.website_clean, false) END AS INTEGER) AS label_mixed
   FROM pairs p JOIN side a ON p.rid_a = a.rid JOIN side b ON p.rid_b = b.rid LEFT JOIN wup w ON w.ta = a.keywords[1] AND w.tb = b.keywords[1])"""
 SAMPLE = "compared_sample AS (SELECT * FROM compared ORDER BY md5(eid_a || eid_b), eid_a, eid_b LIMIT 1500)"
 
@@ -208,9 +210,17 @@ def _additive_sweep(which: str) -> str:
       SELECT threshold, {_confusion("score >= threshold")} FROM (SELECT {_ADDITIVE[which]} AS score, label FROM compared), (SELECT unnest([{", ".join(f"{t}::DOUBLE" for t in THRESHOLDS)}]) AS threshold) GROUP BY threshold)"""
 
 
-_TOPK = f"""
+_RESNIK = """
+freq AS (SELECT term, count(*) AS n FROM (SELECT lower(split_part(p_name, ' ', 2)) AS term FROM part UNION ALL SELECT lower(p_type) FROM part UNION ALL SELECT lower(c_mktsegment) FROM customer) GROUP BY term),
+above AS (SELECT DISTINCT term, unnest(path) AS ancestor FROM paths),
+info AS (SELECT ancestor, -ln(sum(n) / (SELECT sum(n) FROM freq)) AS ic FROM above JOIN freq USING (term) GROUP BY ancestor),
+told AS (SELECT a.term AS ta, b.term AS tb, max(ic) AS ic FROM above a JOIN above b USING (ancestor) JOIN info USING (ancestor) JOIN freq f ON f.term = a.term JOIN freq g ON g.term = b.term WHERE a.term <= b.term GROUP BY ALL),
+resnik AS (SELECT ta AS term_a, tb AS term_b, round(coalesce(ic / nullif((SELECT max(ic) FROM told), 0), 0) + 0.0::DOUBLE, 6) AS resnik FROM told)"""
+# name, category (information content) and place: two thirds; address (edits): one third
+_TOPK = f"""{_RESNIK},
 scored AS (
-  SELECT *, floor(((name_sim + semantic_sim + {_GEO}) * {2 / 9!r}::DOUBLE + address_sim * {1 / 3!r}::DOUBLE) * 1000000.0::DOUBLE + 0.5::DOUBLE) / 1000000.0::DOUBLE AS score FROM compared
+  SELECT *, floor(((name_sim + coalesce(resnik, 0.0) + {_GEO}) * {2 / 9!r}::DOUBLE + address_text * {1 / 3!r}::DOUBLE) * 1000000.0::DOUBLE + 0.5::DOUBLE) / 1000000.0::DOUBLE AS score FROM compared
+  LEFT JOIN resnik ON term_a = least(keywords_a[1], keywords_b[1]) AND term_b = greatest(keywords_a[1], keywords_b[1])
   WHERE list_has_any(string_split(lower(name_a), ' '), string_split(lower(name_b), ' ')) OR list_has_any(keywords_a, keywords_b)),
 ends AS (SELECT eid_a, eid_b, score, eid_a AS side, eid_b AS other FROM scored UNION ALL SELECT eid_a, eid_b, score, eid_b, eid_a FROM scored),
 placed AS (SELECT *, row_number() OVER (PARTITION BY side ORDER BY score DESC, other) AS rank FROM ends),
@@ -256,7 +266,7 @@ _RAW = """SELECT '{1}' AS tree, CAST(coalesce(sum(c * (c - 1) // 2), 0) AS BIGIN
 _COVER = """SELECT '{1}' AS tree, CAST(radius AS DOUBLE) AS radius, count(*) AS reference_pairs, count(p.eid_a) AS found_pairs, round(count(p.eid_a) / count(*), 6) AS coverage
   FROM (SELECT unnest([{2}]) AS radius), near n LEFT JOIN {0} p ON n.eid_a = p.eid_a AND n.eid_b = p.eid_b WHERE n.dist_m <= radius GROUP BY radius"""
 _LINKED = "linked AS (SELECT eid_a AS eid FROM compared WHERE label = 1 UNION SELECT eid_b FROM compared WHERE label = 1)"
-_POINTS = "places AS (SELECT o_orderkey AS eid, '' AS source, 7919 * o_orderkey % 11790 AS x_m, (104729 * o_custkey + 31 * o_orderkey) % 11790 AS y_m FROM orders)"
+_POINTS = "places AS (SELECT o_orderkey * 7 + r AS eid, '' AS source, (7919 + 2 * r) * o_orderkey % 11790 AS x_m, (104729 * o_custkey + (31 + 6 * r) * o_orderkey) % 11790 AS y_m FROM orders, range(7) t(r))"
 
 
 def _classified(cut: str) -> str:
@@ -323,11 +333,7 @@ ORACLES = {
     "document_phones": rf"SELECT DISTINCT doc_id, {_phone('raw', '1')} AS phone FROM (SELECT doc_id, unnest(regexp_extract_all(text, '\+1 \([0-9]{{3}}\) 555-[0-9]{{4}}')) AS raw FROM documents)",
     "term_depths": _with(_CATS) + "SELECT term, CAST(min(len(path)) AS INTEGER) AS depth, count(*) AS paths FROM paths GROUP BY term",
     "wup_pairs": _with(_CATS) + "SELECT ta AS term_a, tb AS term_b, round(sim, 6) AS wup FROM wup WHERE ta <= tb",
-    "resnik_pairs": _with(_CATS) + """, freq AS (SELECT term, count(*) AS n FROM (SELECT lower(split_part(p_name, ' ', 2)) AS term FROM part UNION ALL SELECT lower(p_type) FROM part UNION ALL SELECT lower(c_mktsegment) FROM customer) GROUP BY term),
-      above AS (SELECT DISTINCT term, unnest(path) AS ancestor FROM paths),
-      info AS (SELECT ancestor, -ln(sum(n) / (SELECT sum(n) FROM freq)) AS ic FROM above JOIN freq USING (term) GROUP BY ancestor),
-      best AS (SELECT a.term AS term_a, b.term AS term_b, max(ic) AS ic FROM above a JOIN above b USING (ancestor) JOIN info USING (ancestor) JOIN freq f ON f.term = a.term JOIN freq g ON g.term = b.term WHERE a.term <= b.term GROUP BY ALL)
-      SELECT term_a, term_b, round(coalesce(ic / nullif((SELECT max(ic) FROM best), 0), 0) + 0.0::DOUBLE, 6) AS resnik FROM best""",
+    "resnik_pairs": _with(_CATS, _RESNIK) + "SELECT term_a, term_b, resnik FROM resnik",
     "nation_similarity": _with(_CATS) + "SELECT ta AS term_a, tb AS term_b, round(sim, 6) AS wup FROM wup WHERE ta <= tb AND ta IN (SELECT lower(n_name) FROM nation) AND tb IN (SELECT lower(n_name) FROM nation)",
     "user_sessions": _with(_SESSIONS) + "SELECT user_id, session, open, close, events FROM sessions",
     "session_overlap": _with(_SESSIONS) + "SELECT a.user_id AS user_id_a, a.session AS session_a, b.user_id AS user_id_b, b.session AS session_b FROM sessions a JOIN sessions b ON a.user_id < b.user_id AND ((a.open < b.close AND b.open < a.close) OR (a.open = b.open AND a.close = b.close))",
@@ -391,3 +397,177 @@ ORACLES |= {
       SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS session FROM (
         SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, session""",
 }
+
+
+# --- trees whose leaves lie on several levels: one set of common table expressions per level --------------------------
+
+_MAX_LEVEL, _DENSITY_SCALE = 16, 0.5
+_START = "start AS (SELECT CAST(coalesce(min(l) FILTER (WHERE sqrt((x1 - x0) ** 2 + (y1 - y0) ** 2) / (2 ** l) <= 100), 24) AS INTEGER) AS level, any_value(x0) x0, any_value(y0) y0, any_value(x1) x1, any_value(y1) y1 FROM box, range(25) r(l))"
+
+
+def tree(full: str, count: str = "count(*)", margin: float = 0.25, start: str = "(SELECT level FROM start)", top: int = _MAX_LEVEL, name: str = "leaves") -> str:
+    """leaves(level, ix, iy, eid, is_home, x_m, y_m, source, rid): a cell splits while its count exceeds `full` (of w and h)."""
+    parts = []
+    for x in range(top + 1):
+        n = 2**x
+        at = lambda v, low, high: f"({v} - {low}) / nullif(({high} - {low}) / {n}, 0)"
+        ax, ay = at("x_m", "x0", "x1"), at("y_m", "y0", "y1")
+        first, last = (f"greatest(ceil(%s - {1 + 2 * margin}), 0)", f"least(floor(%s + {2 * margin}), {n - 1})") if margin else (f"least(floor(%s), {n - 1})",) * 2
+        span = lambda a: f"unnest(range(CAST(coalesce({first % a}, 0) AS BIGINT), CAST(coalesce({last % a}, 0) AS BIGINT) + 1))"
+        home = lambda a: f"CAST(coalesce(least(floor({a}), {n - 1}), 0) AS BIGINT)"
+        if x == 0:
+            cells = f"SELECT eid, x_m, y_m, source, rid, CAST(0 AS BIGINT) ix, CAST(0 AS BIGINT) iy, true AS is_home FROM places WHERE {start} = 0"
+        else:
+            every = f"SELECT *, {span(ay)} AS iy FROM (SELECT p.*, x0, y0, x1, y1, {home(ax)} hx, {home(ay)} hy, {span(ax)} AS ix FROM places p, start)"
+            cells = f"SELECT eid, x_m, y_m, source, rid, ix, iy, ix = hx AND iy = hy AS is_home FROM ({every}) c WHERE {start} = {x} OR {start} < {x} AND EXISTS (SELECT 1 FROM {name}_split{x - 1} s WHERE s.ix = c.ix // 2 AND s.iy = c.iy // 2)"
+        parts.append(f"{name}_cells{x} AS MATERIALIZED ({cells})")
+        if x < top:
+            w, h = f"((SELECT x1 - x0 FROM start) / {n})", f"((SELECT y1 - y0 FROM start) / {n})"
+            parts.append(f"{name}_split{x} AS MATERIALIZED (SELECT ix, iy FROM {name}_cells{x} GROUP BY ix, iy HAVING {count} > {full.format(w=w, h=h)})")
+    left = lambda x: f"SELECT CAST({x} AS INTEGER) AS level, * FROM {name}_cells{x}" + (f" WHERE (ix, iy) NOT IN (SELECT (ix, iy) FROM {name}_split{x})" if x < top else "")
+    parts.append(f"{name} AS MATERIALIZED (" + " UNION ALL ".join(map(left, range(top + 1))) + ")")
+    return ",\n".join(parts)
+
+
+def _dense(d: float = 20, **more) -> str:
+    return tree(f"{d * _DENSITY_SCALE!r}::DOUBLE * {{w}} * {{h}} / 1000", **more)
+
+
+_LEAF_PAIRS = """
+common AS (SELECT a.eid AS ea, b.eid AS eb, min((a.level, a.ix, a.iy)) AS least FROM leaves a JOIN leaves b ON a.level = b.level AND a.ix = b.ix AND a.iy = b.iy AND a.eid < b.eid GROUP BY ALL),
+pairs AS (
+  SELECT a.eid eid_a, b.eid eid_b, sqrt(CAST((a.x_m - b.x_m) * (a.x_m - b.x_m) + (a.y_m - b.y_m) * (a.y_m - b.y_m) AS DOUBLE)) dist_m, a.source source_a, b.source source_b, a.rid rid_a, b.rid rid_b
+  FROM leaves a JOIN leaves b ON a.level = b.level AND a.ix = b.ix AND a.iy = b.iy AND a.eid < b.eid JOIN common c ON c.ea = a.eid AND c.eb = b.eid AND c.least = (a.level, a.ix, a.iy))"""
+
+
+def _half_plane() -> str:
+    parts = ["half0 AS (SELECT eid, x_m, y_m, CAST(0 AS BIGINT) ix, CAST(0 AS BIGINT) iy FROM places)"]
+    sides = lambda v, p, s, i: f"unnest(list_filter([CASE WHEN {v} <= {p} + 1.5 * {s} THEN 2 * {i} END, CASE WHEN {v} >= {p} + 0.5 * {s} THEN 2 * {i} + 1 END], lambda z: z IS NOT NULL))"
+    for x in range(1, _MAX_LEVEL + 1):
+        w, h = f"((x1 - x0) / {2**x})", f"((y1 - y0) / {2**x})"
+        parts.append(f"""half{x} AS MATERIALIZED (SELECT eid, x_m, y_m, nx AS ix, {sides("y_m", f"(y0 + iy * 2 * {h})", h, "iy")} AS iy FROM (
+          SELECT *, {sides("x_m", f"(x0 + ix * 2 * {w})", w, "ix")} AS nx FROM half{x - 1}, start WHERE level >= {x}))""")
+    return ",\n".join(parts)
+
+
+def _half_plane_out() -> str:
+    return " UNION ALL ".join(f"SELECT CAST({x} AS INTEGER) AS level, ix, iy, count(*) AS size FROM half{x} WHERE (SELECT level FROM start) = {x} GROUP BY ix, iy" for x in range(_MAX_LEVEL + 1))
+
+
+_GRID_AT = (PLACES, BOX, _START)
+_LEAVES_OUT = "SELECT level, ix, iy, eid, is_home FROM leaves"
+_COINCIDENT = PLACES.replace("\nplaces AS (SELECT *,", "\nplaces AS (SELECT * REPLACE (x_m - x_m % 300 AS x_m, y_m - y_m % 300 AS y_m),")
+
+
+def _density_row(d: float) -> str:
+    return f"""SELECT * FROM ({_with(*_GRID_AT, _dense(d), _LEAF_PAIRS, _CATS, COMPARED, vectors(), layered(), LEVELS, BEST)}
+      SELECT CAST({d} AS INTEGER) AS density, b.*, (SELECT max(tp) FROM levels) AS positives, (SELECT max(cum_pairs) FROM levels) AS pairs FROM best b)"""
+
+
+ORACLES |= {
+    "blocks_density": _with(*_GRID_AT, _dense()) + _LEAVES_OUT,
+    "blocks_density_alone": _with(*_GRID_AT, _dense(count="count(*) FILTER (WHERE is_home)", start="0")) + _LEAVES_OUT,
+    "capacity_leaves": _with(*_GRID_AT, tree("50", margin=0.0, start="0")) + "SELECT level, ix, iy, count(*) AS size FROM leaves GROUP BY level, ix, iy",
+    "blocks_half_plane": _with(*_GRID_AT, _half_plane()) + _half_plane_out(),
+    "blocks_coincident": _with(_COINCIDENT, BOX, _START, _dense(top=10)) + "SELECT level, count(*) AS rows FROM leaves GROUP BY level",
+    "pairs_density": _with(*_GRID_AT, _dense(), _LEAF_PAIRS) + "SELECT eid_a, eid_b, round(dist_m, 6) AS dist_m FROM pairs",
+    "sweep_by_density": " UNION ALL ".join(_density_row(d) for d in (10, 20, 30, 40, 50, 60)),
+}
+
+# --- both data sets, all kinds of labels ------------------------------------------------------------------------------
+
+
+def _data_set(label: str = "label", sample: bool = False, m: float = 100) -> tuple[str, ...]:
+    """compared, with the chosen label as `label`, of all pairs or of the checked sample."""
+    some = " ORDER BY md5(eid_a || eid_b), eid_a, eid_b LIMIT 1500" if sample else ""
+    return (PLACES, BOX, blocks(m), pairs(), _CATS, COMPARED.replace("\ncompared AS", "\ncompared_all AS"), f"compared AS (SELECT * REPLACE ({label} AS label) FROM compared_all{some})")
+
+
+def _summary(label: str = "label", sample: bool = False) -> str:
+    base = _with(*_data_set(label, sample), _TOPK, vectors(), layered(), LEVELS, BEST, mu(), _smooth(), _BELIEF)
+    out = f"tp, fp, fn, tn, {_prf('tp', 'fp', 'fn')}"
+    rows = [f"SELECT 'additive {w.upper()} .75' AS method, {out} FROM (SELECT {_confusion(f'{_ADDITIVE[w]} >= 0.75')} FROM compared)" for w in "ab"]
+    rows += [f"SELECT * FROM (SELECT 'additive {w.upper()} best' AS method, tp, fp, fn, tn, precision, recall, f1 FROM ({_additive_sweep(w)}) ORDER BY f1 DESC, threshold LIMIT 1)" for w in "ab"]
+    rows.append(f"SELECT * FROM (SELECT 'weighted top-k best' AS method, tp, fp, fn, tn, precision, recall, f1 FROM ({_TOPK_SWEEP}) ORDER BY f1 DESC, k LIMIT 1)")
+    near = f"floor((f{_LAST}) * 1000000.0::DOUBLE + 0.5::DOUBLE) > floor((g{_LAST}) * 1000000.0::DOUBLE + 0.5::DOUBLE)"
+    rows.append(f"""SELECT 'belief' AS method, {out} FROM (SELECT (SELECT count(*) FROM near{_LAST} WHERE {near} AND label = 1) AS tp, (SELECT count(*) FROM near{_LAST} WHERE {near} AND label = 0) AS fp,
+      (SELECT count(*) FROM compared WHERE label = 1) - (SELECT count(*) FROM near{_LAST} WHERE {near} AND label = 1) AS fn, (SELECT count(*) FROM compared WHERE label = 0) - (SELECT count(*) FROM near{_LAST} WHERE {near} AND label = 0) AS tn)""")
+    rows += [f"SELECT '{n} cut' AS method, {out} FROM levels WHERE layer = (SELECT layer FROM {t})" for n, t in (("sweep", "best"), ("separation", "unsup"))]
+    return base + " UNION ALL ".join(rows)
+
+
+def _protocol_row(protocol: str) -> str:
+    own = "WHERE checked" if protocol == "sample" else ""
+    curve = "WHERE checked" if protocol == "transfer" else ""
+    tested = "WHERE NOT checked" if protocol == "transfer" else ""
+    base = _with(
+        PLACES, BOX, blocks(30), pairs(), _CATS, COMPARED.replace("\ncompared AS", "\ncompared_all AS"),
+        "numbered_pairs AS (SELECT *, row_number() OVER (ORDER BY md5(eid_a || eid_b), eid_a, eid_b) <= greatest(1, least(1500, (SELECT count(*) FROM compared_all) // 3)) AS checked FROM compared_all)",
+        f"compared AS (SELECT * FROM numbered_pairs {own})", vectors(), layered(), LEVELS, BEST, mu(), _smooth(),
+        f"placed_pairs AS (SELECT c.*, r.layer FROM {_JOIN_RANKED})",
+        f"tuned_per AS (SELECT layer, count(*) n, sum(label) t FROM placed_pairs {curve} GROUP BY layer)",
+        "tuned AS (SELECT layer FROM (SELECT layer, 2 * sum(t) OVER (ORDER BY layer) / (sum(n) OVER (ORDER BY layer) + sum(t) OVER ()) AS f1 FROM tuned_per) ORDER BY f1 DESC, layer LIMIT 1)",
+    )
+    cuts = [f"SELECT '{protocol}' AS protocol, '{n}' AS method, tp, fp, fn, tn, {_prf('tp', 'fp', 'fn')} FROM (SELECT {_confusion(f'layer <= (SELECT layer FROM {t})')} FROM placed_pairs {tested})" for n, t in (("sweep", "tuned"), ("separation", "unsup"))]
+    return f"SELECT * FROM ({base} {' UNION ALL '.join(cuts)})"
+
+
+def _grid_rows(m: float) -> str:
+    parts, rows = list(_levels(m)), []
+    deltas = mu()
+    parts.append(deltas[: deltas.index(",\nmus AS")])
+    for n, over in (("ranked", "s.n"), ("explored", "s.cum_pairs"), ("cross", "s.cum_pairs * (s.n - s.cum_pairs)"), ("remaining", "s.n - s.cum_pairs")):
+        parts.append(f"mus_{n} AS (SELECT layer, coalesce(total / nullif({over}, 0), 0) AS mu FROM totals JOIN summed s USING (layer))")
+        parts.append(f"dmus_{n} AS (SELECT *, lead(mu) OVER (ORDER BY layer) - mu AS dmu FROM mus_{n})")
+        for sigma in (1.0, 3.0, 6.0):
+            smooth = _smooth(sigma, int(2 * sigma))
+            smooth = smooth[: smooth.index(",\nunsup AS")].replace("smooths AS", f"sm_{n}_{sigma:.0f} AS MATERIALIZED").replace("FROM dmus ", f"FROM dmus_{n} ")
+            parts.append(smooth)
+            d = "round(dmu_smooth, 9)"
+            for trigger, hit in (("first_negative", "v < 0"), ("first_decrease", "v < before"), ("negative_after_rise", "v < 0 AND highest > 0")):
+                rows.append(f"""SELECT '{n}' AS normalizer, '{trigger}' AS trigger, {sigma!r}::DOUBLE AS sigma, coalesce(min(layer) FILTER (WHERE {hit}), max(layer)) AS layer
+                  FROM (SELECT layer, {d} AS v, lag({d}) OVER (ORDER BY layer) AS before, max({d}) OVER (ORDER BY layer) AS highest FROM sm_{n}_{sigma:.0f})""")
+    return f"SELECT * FROM ({_with(*parts)} SELECT CAST({m} AS INTEGER) AS m, normalizer, trigger, sigma, layer, round(l.f1, 6) AS f1 FROM ({' UNION ALL '.join(rows)}) JOIN levels l USING (layer))"
+
+
+_NEAR_PAIRS = """
+pairs AS (
+  SELECT a.eid eid_a, b.eid eid_b, sqrt(CAST((a.x_m - b.x_m) * (a.x_m - b.x_m) + (a.y_m - b.y_m) * (a.y_m - b.y_m) AS DOUBLE)) dist_m, a.source source_a, b.source source_b, a.rid rid_a, b.rid rid_b
+  FROM places a JOIN places b ON a.eid < b.eid AND abs(a.x_m - b.x_m) <= 100 AND abs(a.y_m - b.y_m) <= 100
+  WHERE (a.x_m - b.x_m) * (a.x_m - b.x_m) + (a.y_m - b.y_m) * (a.y_m - b.y_m) <= 10000)"""
+_DOT = "list_sum(list_transform(range(1, 17), lambda i: {a}[{o} + i] * {b}[{o} + i]))"
+_EMBEDDING = (
+    "e AS (SELECT vec_id, label, CAST(embedding AS DOUBLE[]) AS v FROM embeddings WHERE embedding IS NOT NULL)",
+    "cosines AS (SELECT "
+    + ", ".join(f"floor(({_DOT.format(a='a.v', b='b.v', o=o)} / sqrt({_DOT.format(a='a.v', b='a.v', o=o)} * {_DOT.format(a='b.v', b='b.v', o=o)}) + 1) / 2 * 10000.0::DOUBLE + 0.5::DOUBLE) / 10000.0::DOUBLE AS s{o // 16 + 1}" for o in (0, 16, 32, 48))
+    + ", CAST(a.label = b.label AS INTEGER) AS label FROM e a JOIN e b ON b.vec_id BETWEEN a.vec_id + 1 AND a.vec_id + 3)",
+    "vectors AS (SELECT s1, s2, s3, s4, count(*) AS pairs, CAST(sum(label) AS BIGINT) AS positives FROM cosines GROUP BY ALL)",
+)
+_STREAM_RANKED = (
+    "near_pairs AS (SELECT * FROM compared WHERE dist_m <= 30)",
+    "vectors AS (SELECT name_sim, address_sim, count(*) AS pairs, CAST(sum(label) AS BIGINT) AS positives FROM near_pairs GROUP BY ALL)",
+    layered(("name_sim", "address_sim")), LEVELS, BEST,
+    "arrived AS (SELECT DISTINCT event_id % (SELECT count(*) FROM part) AS i FROM events)",
+    "linked_pairs AS (SELECT c.*, a.truth_id FROM compared c JOIN places a ON a.rid = c.rid_a WHERE source_a = 'catalog' AND source_b != 'catalog' AND a.truth_id IN (SELECT i FROM arrived))",
+    "known AS (SELECT v.name_sim, v.address_sim, coalesce(max(r.layer), 0) + CAST(count(*) FILTER (WHERE r.name_sim = v.name_sim AND r.address_sim = v.address_sim) = 0 AS INTEGER) AS layer FROM (SELECT DISTINCT name_sim, address_sim FROM linked_pairs) v LEFT JOIN ranked r ON r.name_sim >= v.name_sim AND r.address_sim >= v.address_sim GROUP BY ALL)",
+)
+
+ORACLES |= {
+    "baseline_summary": _summary(),
+    "baseline_summary_auto": _summary("label_auto"),
+    "baseline_summary_mixed": _summary("label_mixed"),
+    "baseline_summary_sample": _summary(sample=True),
+    "weighted_topk_sweep_sample": _with(*_data_set(sample=True), _TOPK) + _TOPK_SWEEP,
+    "weighted_topk_sweep_auto": _with(*_data_set("label_auto"), _TOPK) + _TOPK_SWEEP,
+    "additive_a_sweep_sample": _with(*_data_set(sample=True)) + _additive_sweep("a"),
+    "additive_b_sweep_sample": _with(*_data_set(sample=True)) + _additive_sweep("b"),
+    "level_curve_mixed": _with(*_levels(label="label_mixed")) + _LEVEL_OUT,
+    "sweep_cut_mixed": _with(*_levels(label="label_mixed"), BEST) + "SELECT * FROM best",
+    "cuts_by_protocol": " UNION ALL ".join(map(_protocol_row, ("full", "sample", "transfer"))),
+    "separation_grid": " UNION ALL ".join(map(_grid_rows, (30, 100))),
+    "whole_method": _with(PLACES, _NEAR_PAIRS, _CATS, COMPARED, vectors(), layered(), LEVELS, mu(), _smooth()) + f"SELECT 'separation' AS method, tp, fp, fn, tn, {_prf('tp', 'fp', 'fn')} FROM levels WHERE layer = (SELECT layer FROM unsup)",
+    "embedding_layers": _with(*_EMBEDDING, layered(("s1", "s2", "s3", "s4"))) + "SELECT layer, count(*) AS vectors, CAST(sum(pairs) AS BIGINT) AS pairs, CAST(sum(positives) AS BIGINT) AS positives FROM ranked GROUP BY layer",
+    "stream_links": _with(*_compared(), *_STREAM_RANKED) + "SELECT eid_a AS eid, eid_b, p.name_sim, p.address_sim, CAST(k.layer AS INTEGER) AS layer, k.layer <= (SELECT layer FROM best) AS match FROM linked_pairs p JOIN known k ON k.name_sim = p.name_sim AND k.address_sim = p.address_sim",
+    "late_arrivals": """SELECT date_trunc('hour', ts) AS start, (date_trunc('hour', ts) + INTERVAL 1 HOUR) AS "end", count(*) AS n FROM events, (SELECT max(ts) AS last FROM events)
+      WHERE NOT (event_id % 50 = 0 AND ts < last - INTERVAL 1 DAY) AND date_trunc('hour', ts) + INTERVAL 1 HOUR <= last - INTERVAL 1 HOUR GROUP BY ALL""",
+}

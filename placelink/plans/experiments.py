@@ -26,6 +26,8 @@ M_VALUES, CUT_M = (1, 20, 40, 60, 80, 100), (30, 50, 80, 100)
 DENSITIES, RADII, TRIGGERS = (10, 20, 30, 40, 50, 60), (20, 30, 40, 50, 70, 100), cutoff.TRIGGERS
 #: The fixture's towns are sparser than the published area, so densities are scaled by this.
 DENSITY_SCALE = 0.5
+#: The deepest level of the trees of the experiments.
+MAX_LEVEL = 16
 PLACE_COLUMNS = ["eid", "source", "truth_id", "x_m", "y_m", "name", "address", "keywords", "phone_clean", "website_clean"]
 
 
@@ -39,10 +41,19 @@ def _xy(s, d):
 
 def compared(s: SparkSession, d: str, m: float = 100, density: float | None = None) -> DataFrame:
     """Pairs of the overlap tree with similarities and labels."""
-    blocks = overlap_blocks(with_paths(places(s, d), fixtures.taxonomy(s, d)), m, density)
+    blocks = overlap_blocks(with_paths(places(s, d), fixtures.taxonomy(s, d)), m, density, max_level=MAX_LEVEL)
     return compare(candidate_pairs(blocks, carry=CARRIED))
 
 
+def data_set(s: SparkSession, d: str, m: float = 100, label: str = "label", sample: bool = False) -> DataFrame:
+    """The full set or the checked sample, stored, with the chosen kind of label as `label`, and category_sim for the baselines."""
+    pairs = compared(s, d, m)
+    pairs = pairs.withColumn("label", F.col(label)).drop("paths_a", "paths_b", *(x for x in ("label_auto", "label_mixed")))
+    if sample:
+        pairs = learning.checked_sample(pairs)
+    return stored(baselines.with_category(pairs, resnik_table(fixtures.taxonomy(s, d), fixtures.term_frequency(s, d))), "data-set")
+
+
 def vectors(s, d, m=100, label="label", sample=False):
     pairs = compared(s, d, m)
     if sample:
@@ -129,15 +140,15 @@ def home_leaf(s, d):
 
 
 def blocks_density(s, d):
-    return overlap_blocks(_xy(s, d), 100, density=20 * DENSITY_SCALE, max_level=16).select("level", "ix", "iy", "eid", "is_home")
+    return overlap_blocks(_xy(s, d), 100, density=20 * DENSITY_SCALE, max_level=MAX_LEVEL).select("level", "ix", "iy", "eid", "is_home")
 
 
 def blocks_density_alone(s, d):
-    return overlap_blocks(_xy(s, d), None, density=20 * DENSITY_SCALE, max_level=16, density_basis="physical").select("level", "ix", "iy", "eid", "is_home")
+    return overlap_blocks(_xy(s, d), None, density=20 * DENSITY_SCALE, max_level=MAX_LEVEL, density_basis="physical").select("level", "ix", "iy", "eid", "is_home")
 
 
 def capacity_leaves(s, d):
-    return capacity_quadtree(_xy(s, d), 50, max_level=16).groupBy("level", "ix", "iy").agg(F.count("*").alias("size"))
+    return capacity_quadtree(_xy(s, d), 50, max_level=MAX_LEVEL).groupBy("level", "ix", "iy").agg(F.count("*").alias("size"))
 
 
 def blocks_half_plane(s, d):
@@ -158,7 +169,7 @@ def pairs_cover_m100(s, d):
 
 
 def pairs_density(s, d):
-    return candidate_pairs(overlap_blocks(_xy(s, d), 100, density=20 * DENSITY_SCALE, max_level=16)).withColumn("dist_m", F.round("dist_m", 6))
+    return candidate_pairs(overlap_blocks(_xy(s, d), 100, density=20 * DENSITY_SCALE, max_level=MAX_LEVEL)).withColumn("dist_m", F.round("dist_m", 6))
 
 
 def raw_comparisons(s, d):
@@ -175,8 +186,8 @@ def no_index_pairs(s, d):
 
 
 def points_comparisons(s, d):
-    """F2 in the published dense area: comparisons of both trees."""
-    p = fixtures.points(s, d)
+    """F2 in the published dense area, the orders seven times over (about 1,000,000 points at sf0.1): comparisons of both trees."""
+    p = fixtures.points(s, d, copies=7)
     return comparison_count(overlap_blocks(p, 100)).withColumn("tree", F.lit("overlap")).unionByName(comparison_count(quadtree_blocks(p, 100)).withColumn("tree", F.lit("plain")))
 
 
@@ -330,10 +341,29 @@ def doc_layers(s, d):
     return layers(v, DOC_ATTRS).select(*DOC_ATTRS, "pairs", "positives", "layer")
 
 
+EMBEDDING_ATTRS = ("s1", "s2", "s3", "s4")
+
+
 def embedding_layers(s, d):
-    attrs = ("s1", "s2", "s3", "s4")
-    v = collapse(fixtures.embedding_pairs(s, d), attrs, "label", round_to=2)
-    return layers(v, attrs).groupBy("layer").agg(F.count("*").alias("vectors"), F.sum("pairs").alias("pairs"), F.sum("positives").alias("positives"))
+    v = collapse(fixtures.embedding_pairs(s, d), EMBEDDING_ATTRS, "label")
+    return layers(v, EMBEDDING_ATTRS).groupBy("layer").agg(F.count("*").alias("vectors"), F.sum("pairs").alias("pairs"), F.sum("positives").alias("positives"))
+
+
+def quantised_layers(s, d):
+    """Similarities rounded to 1, 2 and 3 digits: layers, and the share of pairs that change sides of the sweep cut."""
+    v = stored(vectors(s, d), "vectors")
+    own = stored(layers(v, ATTRS), "ranked")
+    own = own.withColumn("match", F.col("layer") <= cutoff.sweep_cut(cutoff.level_curve(own)).first()["layer"])
+    out = []
+    for digits in (1, 2, 3):
+        names = [f"{n}_q" for n in ATTRS]
+        few = own.select(*[F.floor(F.col(n) * 10**digits + 0.5).alias(q) for n, q in zip(ATTRS, names, strict=True)], "pairs", "positives", "match")
+        ranked_few = stored(layers(few.groupBy(*names).agg(F.sum("pairs").alias("pairs"), F.sum("positives").alias("positives")), names), "ranked")
+        k = cutoff.sweep_cut(cutoff.level_curve(ranked_few)).select(F.col("layer").alias("k"), "f1", "layers")
+        both = few.join(ranked_few.select(*names, "layer"), names).join(F.broadcast(k))
+        moved = F.sum(F.when(F.col("match") != (F.col("layer") <= F.col("k")), F.col("pairs")).otherwise(0)) / F.sum("pairs")
+        out.append(both.agg(F.lit(digits).alias("digits"), F.first("layers").alias("layers"), F.first("f1").alias("f1"), F.round(moved, 6).alias("displaced_share")))
+    return _union(out)
 
 
 # --- cut-offs -----------------------------------------------------------------------------------------------------
@@ -384,16 +414,43 @@ def early_stop_by_m(s, d):
 
 
 def early_stop_cut(s, d):
-    """The production form: first layers only, twice as many each time."""
-    v = stored(vectors(s, d), "vectors")
-    r = cutoff.early_stop_cut(v, ATTRS, chunk=16)
+    """The production form: layer after layer until F1 falls."""
+    r = cutoff.early_stop_cut(vectors(s, d), ATTRS)
     return s.createDataFrame([(int(r["layer"]), round(float(r["f1"]), 6))], "layer int, f1 double")
 
 
+def cuts_by_protocol(s, d):
+    """The two cuts under the supervised protocols at 30 m: full, checked sample, tuned on the sample and tested on the rest.
+
+    Ranking needs no labels, so the transfer ranks all pairs and takes only the sweep's layer number from the sample.
+    """
+    pairs = stored(compared(s, d, 30).select("eid_a", "eid_b", *ATTRS, "label"), "pairs")
+    few = learning.checked_sample(pairs, max(1, min(learning.SAMPLE, pairs.count() // 3))).withColumn("checked", F.lit(True))
+    pairs = stored(pairs.join(few.select("eid_a", "eid_b", "checked"), ["eid_a", "eid_b"], "left").withColumn("checked", F.coalesce("checked", F.lit(False))), "pairs")
+    out = []
+    for protocol in learning.PROTOCOLS:
+        own = pairs.where("checked") if protocol == "sample" else pairs
+        r = stored(layers(collapse(own, ATTRS, "label"), ATTRS), "ranked")
+        placed = stored(own.join(r.select(*ATTRS, "layer"), list(ATTRS)), "placed")
+        tuned = cutoff.sweep_cut(cutoff.level_curve(placed.where("checked") if protocol == "transfer" else placed, "label"))
+        for method, k in (("sweep", tuned), ("separation", cutoff.separation_cut(r, ATTRS))):
+            tested = placed.where("not checked") if protocol == "transfer" else placed
+            tested = tested.join(F.broadcast(k.select(F.col("layer").alias("k")))).withColumn("match", F.col("layer") <= F.col("k"))
+            out.append(metrics.prf(metrics.confusion(tested)).withColumns({"method": F.lit(method), "protocol": F.lit(protocol)}))
+    return _union(out)
+
+
 def mu_curve(s, d, metric="euclidean", normalizer="ranked"):
     return cutoff.separation_curve(ranked(s, d), ATTRS, metric, normalizer).withColumn("mu", F.round("mu", 6) + F.lit(0.0))
 
 
+def mu_curve_sampled(s, d, share=0.5):
+    """The curve from half of every layer's vectors, beside the exact one."""
+    r = ranked(s, d)
+    exact = cutoff.separation_curve(r, ATTRS).select("layer", F.round("mu", 6).alias("mu"))
+    return exact.join(cutoff.separation_curve(cutoff.sampled(r, ATTRS, share), ATTRS).select("layer", F.round("mu", 6).alias("mu_sampled")), "layer")
+
+
 def mu_variants(s, d):
     r = ranked(s, d)
     return _union([cutoff.separation_curve(r, ATTRS, "sqeuclidean", n).select("layer", (F.round("mu", 4) + F.lit(0.0)).alias("mu"), F.lit(n).alias("normalizer")) for n in cutoff.NORMALIZERS])
@@ -511,8 +568,9 @@ def additive(s, d, which):
     return baselines.additive(compared(s, d), which).where("match").select("eid_a", "eid_b", "score")
 
 
-def additive_sweep(s, d, which):
-    return baselines.additive_sweep(compared(s, d), which)
+def additive_sweep(s, d, which, sample=False):
+    pairs = compared(s, d)
+    return baselines.additive_sweep(learning.checked_sample(pairs) if sample else pairs, which)
 
 
 def additive_pivot(s, d):
@@ -522,11 +580,11 @@ def additive_pivot(s, d):
 
 
 def weighted_topk(s, d):
-    return baselines.weighted_topk(stored(compared(s, d).drop("paths_a", "paths_b"), "pairs"), 3).where("match").select("eid_a", "eid_b")
+    return baselines.weighted_topk(data_set(s, d), 3).where("match").select("eid_a", "eid_b")
 
 
-def weighted_topk_sweep(s, d):
-    return baselines.weighted_topk_sweep(stored(compared(s, d).drop("paths_a", "paths_b"), "pairs"))
+def weighted_topk_sweep(s, d, label="label", sample=False):
+    return baselines.weighted_topk_sweep(data_set(s, d, label=label, sample=sample))
 
 
 def belief_links(s, d):
@@ -534,15 +592,18 @@ def belief_links(s, d):
     return baselines.belief(near).where("match").select("eid_a", "eid_b", "belief", "disbelief")
 
 
-def baseline_summary(s, d):
-    """Precision, recall and F1 of all methods on the same pairs."""
-    pairs = _classified(s, d, "sweep").drop("k", "layer")
-    pairs = stored(pairs.withColumnRenamed("match", "sweep"), "summary")
+def baseline_summary(s, d, label="label", sample=False):
+    """Precision, recall and F1 of all methods on the same pairs: the full set or the checked sample, with either kind of label."""
+    pairs = data_set(s, d, label=label, sample=sample)
+    r = stored(layers(collapse(pairs, ATTRS, "label"), ATTRS), "ranked")
+    placed = pairs.join(r.select(*ATTRS, "layer"), list(ATTRS), "left").select("layer", "label")
     one = lambda df, name: metrics.prf(metrics.confusion(df)).withColumn("method", F.lit(name))
     best = lambda sweep, name: sweep.orderBy(F.col("f1").desc(), sweep.columns[0]).limit(1).select("tp", "fp", "fn", "tn", "precision", "recall", "f1").withColumn("method", F.lit(name))
     rows = [one(baselines.additive(pairs, w), f"additive {w} .75") for w in "AB"] + [best(baselines.additive_sweep(pairs, w), f"additive {w} best") for w in "AB"]
-    rows += [best(baselines.weighted_topk_sweep(pairs), "weighted top-k best"), one(baselines.belief(pairs), "belief"), one(pairs.withColumnRenamed("sweep", "match"), "sweep cut")]
-    rows.append(one(_classified(s, d, "separation"), "separation cut"))
+    rows += [best(baselines.weighted_topk_sweep(pairs), "weighted top-k best"), one(baselines.belief(pairs), "belief")]
+    for name, k in (("sweep cut", cutoff.sweep_cut(cutoff.level_curve(r))), ("separation cut", cutoff.separation_cut(r, ATTRS))):
+        cut_at = placed.join(F.broadcast(k.select(F.col("layer").alias("k")))).withColumn("match", F.coalesce(F.col("layer") <= F.col("k"), F.lit(False)))
+        rows.append(one(cut_at, name))
     return _union(rows)
 
 
@@ -551,13 +612,13 @@ def supervised(s, d, model, protocol):
     return learning.supervised(pairs, model, ATTRS, protocol)
 
 
-def clustered(s, d, method, **options):
-    v = stored(vectors(s, d, 30), "vectors")
+def clustered(s, d, method, label="label", sample=False, **options):
+    v = stored(vectors(s, d, 30, label, sample), "vectors")
     return learning.best_orientation(learning.cluster(v, method, ATTRS, **options))
 
 
-def dbscan_links(s, d):
-    return learning.dbscan_sweep(stored(vectors(s, d, 30), "vectors"), ATTRS).orderBy(F.col("f1").desc(), "eps", "min_pairs")
+def dbscan_links(s, d, label="label", sample=False):
+    return learning.dbscan_sweep(stored(vectors(s, d, 30, label, sample), "vectors"), ATTRS).orderBy(F.col("f1").desc(), "eps", "min_pairs")
 
 
 # --- after linkage ------------------------------------------------------------------------------------------------
@@ -599,7 +660,14 @@ QUERIES = {
     "confusion_by_method": confusion_by_method, "class_grid": class_grid, "links_by_source": links_by_source, "source_profile": source_profile, "matched_places": matched_places,
     "unmatched_places": unmatched_places, "prediction_vs_truth": prediction_vs_truth, "additive_a": partial(additive, which="A"), "additive_b": partial(additive, which="B"),
     "additive_a_sweep": partial(additive_sweep, which="A"), "additive_b_sweep": partial(additive_sweep, which="B"), "additive_pivot": additive_pivot, "weighted_topk": weighted_topk,
-    "weighted_topk_sweep": weighted_topk_sweep, "belief_links": belief_links, "baseline_summary": baseline_summary, "link_groups": link_groups, "whole_method": whole_method,
+    "weighted_topk_sweep": weighted_topk_sweep, "weighted_topk_sweep_sample": partial(weighted_topk_sweep, sample=True), "weighted_topk_sweep_auto": partial(weighted_topk_sweep, label="label_auto"),
+    "additive_a_sweep_sample": partial(additive_sweep, which="A", sample=True), "additive_b_sweep_sample": partial(additive_sweep, which="B", sample=True),
+    "belief_links": belief_links, "baseline_summary": baseline_summary, "baseline_summary_auto": partial(baseline_summary, label="label_auto"),
+    "baseline_summary_mixed": partial(baseline_summary, label="label_mixed"), "baseline_summary_sample": partial(baseline_summary, sample=True), "cuts_by_protocol": cuts_by_protocol,
+    "level_curve_mixed": partial(levels, label="label_mixed"), "sweep_cut_mixed": partial(sweep_cut, label="label_mixed"), "mu_curve_sampled": mu_curve_sampled, "quantised_layers": quantised_layers,
+    **{f"{m}_links_sample": partial(clustered, method=m, sample=True) for m in ("kmeans", "kmedoids", "agglomerative")}, "dbscan_links_sample": partial(dbscan_links, sample=True),
+    **{f"{m}_links_auto": partial(clustered, method=m, label="label_auto") for m in ("kmeans", "kmedoids", "agglomerative")}, "dbscan_links_auto": partial(dbscan_links, label="label_auto"),
+    "link_groups": link_groups, "whole_method": whole_method,
     **{f"{m}_{p}": partial(supervised, model=m, protocol=p) for m in learning.MODELS for p in learning.PROTOCOLS},
     "kmeans_links": partial(clustered, method="kmeans"), "kmedoids_links": partial(clustered, method="kmedoids"), "agglomerative_links": partial(clustered, method="agglomerative"), "dbscan_links": dbscan_links,
 }

@@ -16,6 +16,8 @@ from placelink.operators.storage import stored
 from placelink.operators.taxonomies import with_paths
 
 ATTRS = ("name_sim", "address_sim", "semantic_sim")
+#: Fixed value: one of so many pairs is checked by hand, the label of the others is automatic.
+CHECKED = 78
 CARRIED = ("source", "name", "address", "paths", "keywords", "phone_clean", "website_clean", "truth_id")
 
 
@@ -26,6 +28,7 @@ def compare(pairs: DataFrame, places: DataFrame | None = None, digits: int = 6,
         pairs = pairs.join(side("a"), "eid_a").join(side("b"), "eid_b")
     c = lambda name: (F.col(f"{name}_a"), F.col(f"{name}_b"))
     name = [clean_text(x) for x in c("name")]
+    checked = F.conv(F.substring(F.md5(F.concat("eid_a", "eid_b")), 1, 7), 16, 10).cast("bigint") % CHECKED == 0
     same = lambda n: F.coalesce(F.col(f"{n}_a") == F.col(f"{n}_b"), F.lit(False))
     return pairs.withColumns({
         "name_sim": F.round(text_sim(*name, missing=missing), digits),
@@ -34,6 +37,7 @@ def compare(pairs: DataFrame, places: DataFrame | None = None, digits: int = 6,
         "semantic_sim": F.round(semantic_sim(*c("paths"), missing=missing), digits),
         "label_auto": (same("phone_clean") | same("website_clean")).cast("int"),
         "label": same("truth_id").cast("int"),
+        "label_mixed": F.when(checked, same("truth_id")).otherwise(same("phone_clean") | same("website_clean")).cast("int"),
     })
 
 

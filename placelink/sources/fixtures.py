@@ -87,18 +87,17 @@ def doc_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-def embedding_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """cosines of four parts of the vectors, rescaled to [0, 1], for all pairs; a control without signal."""
+def embedding_pairs(spark: SparkSession, sf_dir: str, partners: int = 3) -> DataFrame:
+    """cosines of four parts of the vectors, rescaled to [0, 1], of every vector and the next few ids; a control without signal."""
     dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p * q), F.lit(0.0), lambda s, v: s + v)
-    e = table(spark, sf_dir, "embeddings").select("vec_id", "label", F.col("embedding").cast("array<double>").alias("v"))
-    a, b = e.alias("a"), e.alias("b")
+    e = table(spark, sf_dir, "embeddings").select("vec_id", "label", F.col("embedding").cast("array<double>").alias("v")).where("v is not null")
+    a = e.select(F.col("vec_id").alias("id_a"), F.col("label").alias("label_a"), F.col("v").alias("va"), F.explode(F.sequence(F.col("vec_id") + 1, F.col("vec_id") + partners)).alias("id_b"))
+    b = e.select(F.col("vec_id").alias("id_b"), F.col("label").alias("label_b"), F.col("v").alias("vb"))
     parts = {}
     for i in range(4):
-        x, y = F.slice("a.v", 16 * i + 1, 16), F.slice("b.v", 16 * i + 1, 16)
-        parts[f"s{i + 1}"] = F.round((dot(x, y) / F.sqrt(dot(x, x) * dot(y, y)) + 1) / 2, 4)
-    return a.join(b, F.col("a.vec_id") < F.col("b.vec_id")).select(
-        F.col("a.vec_id").alias("id_a"), F.col("b.vec_id").alias("id_b"), *[c.alias(n) for n, c in parts.items()], (F.col("a.label") == F.col("b.label")).cast("int").alias("label")
-    )
+        x, y = F.slice("va", 16 * i + 1, 16), F.slice("vb", 16 * i + 1, 16)
+        parts[f"s{i + 1}"] = F.floor((dot(x, y) / F.sqrt(dot(x, x) * dot(y, y)) + 1) / 2 * 10000.0 + 0.5) / 10000.0
+    return a.join(b, "id_b").select("id_a", "id_b", *[c.alias(n) for n, c in parts.items()], (F.col("label_a") == F.col("label_b")).cast("int").alias("label"))
 
 
 def taxonomy(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -4,13 +4,17 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from placelink.functions.similarity import address_sim, clean_text, text_sim
 from placelink.operators.blocking import Root, assign_cells
+from placelink.operators.cutoff import MOST_BROADCAST
 
 
 def read_stream(spark: SparkSession, path: str, schema: str, fmt: str = "parquet", files_per_batch: int = 1) -> DataFrame:
@@ -35,32 +39,41 @@ def arrivals(stream: DataFrame, kind: str = "tumbling", delay: str | None = "1 h
 def link_stream(stream: DataFrame, reference: DataFrame, root: Root, level: int, ranked: DataFrame, k: int, attrs: tuple[str, ...] = ("name_sim", "address_sim")) -> DataFrame:
     """Arriving places against a reference set, on blocks of a fixed root; vectors are looked up in a frozen ranking.
 
-    A vector that the ranking has not seen gets one more than the deepest layer of those that dominate it.
+    A vector that the ranking has not seen gets one more than the deepest layer of those that dominate it. The ranking's
+    distinct vectors are broadcast; more than MOST_BROADCAST are an error.
     """
     cells = assign_cells(reference.select("eid", "x_m", "y_m", "name", "address"), root, level, 0.25)
     ref = cells.select(F.col("eid").alias("eid_b"), F.col("name").alias("name_b"), F.col("address").alias("address_b"), "ix", "iy", F.col("low_ix").alias("lx"), F.col("low_iy").alias("ly"))
     new = assign_cells(stream, root, level, 0.25)
     pairs = new.join(ref, ["ix", "iy"]).where((F.col("eid") != F.col("eid_b")) & (F.col("ix") == F.greatest("low_ix", "lx")) & (F.col("iy") == F.greatest("low_iy", "ly")))
-    pairs = pairs.withColumns({
-        "name_sim": F.round(text_sim(clean_text(F.col("name")), clean_text(F.col("name_b"))), 6),
-        "address_sim": F.round(address_sim(F.col("address"), F.col("address_b")), 6),
-    })
-    frozen = ranked.select(F.sort_array(F.collect_list(F.struct("layer", *attrs))).alias("known")) if not isinstance(ranked, list) else None
-    known = frozen.first()["known"]  # distinct vectors of the ranking, bounded by its own limit
-    same = [[float(r[a]) for a in attrs] + [float(r["layer"])] for r in known]
-    table = F.array(*[F.array(*map(F.lit, r)) for r in same]) if same else F.array().cast("array<array<double>>")
-    equal = F.filter(table, lambda r: _all(r[i] == F.col(a) for i, a in enumerate(attrs)))
-    better = F.filter(table, lambda r: _all(r[i] >= F.col(a) for i, a in enumerate(attrs)))
-    layer_of = lambda rows: F.array_max(F.transform(rows, lambda r: r[len(attrs)]))
-    layer = F.when(F.size(equal) > 0, layer_of(equal)).otherwise(F.coalesce(layer_of(better), F.lit(0.0)) + 1)
-    return pairs.withColumn("layer", layer.cast("int")).withColumn("match", F.col("layer") <= k).select("eid", "eid_b", *attrs, "layer", "match")
-
-
-def _all(conditions) -> F.Column:
-    out = F.lit(True)
-    for c in conditions:
-        out = out & c
-    return out
+    pairs = pairs.select(
+        "eid", "eid_b",
+        F.round(text_sim(clean_text(F.col("name")), clean_text(F.col("name_b"))), 6).alias("name_sim"),
+        F.round(address_sim(F.col("address"), F.col("address_b")), 6).alias("address_sim"),
+    )
+    return placed(pairs, ranked, attrs).withColumn("match", F.col("layer") <= k)
+
+
+def placed(pairs: DataFrame, ranked: DataFrame, attrs: tuple[str, ...]) -> DataFrame:
+    """pairs with the layer that a frozen ranking gives their vectors; pairs may be a stream."""
+    rows = ranked.where("layer is not null").select(*attrs, "layer").distinct()
+    if rows.count() > MOST_BROADCAST:
+        raise ValueError(f"more than {MOST_BROADCAST} distinct vectors; round the similarities of the ranking")
+    known = rows.toPandas()
+    shared = rows.sparkSession.sparkContext.broadcast((known[list(attrs)].to_numpy(float), known["layer"].to_numpy(int)))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        vectors, layer = shared.value
+        for batch in batches:
+            x = np.stack([batch.column(a).to_numpy(zero_copy_only=False) for a in attrs], axis=1)
+            own, at = np.unique(x, axis=0, return_inverse=True)
+            found = np.zeros(len(own), np.int32)
+            for i, v in enumerate(own):
+                above = (vectors >= v).all(axis=1)
+                found[i] = layer[above].max(initial=0) + (not (vectors[above] == v).all(axis=1).any())
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(found[at.ravel()])], names=[*batch.schema.names, "layer"])
+
+    return pairs.mapInArrow(run, T.StructType([*pairs.schema.fields, T.StructField("layer", T.IntegerType())]))
 
 
 class LatestPlace(StatefulProcessor):
