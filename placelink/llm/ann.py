@@ -2,8 +2,8 @@
 
 Every tree hashes a vector to a string of 64 bits, one per random hyperplane, and keeps the strings in a sorted array. A
 query descends to the longest prefix it shares with any string of a tree; from there all trees ascend together, one bit
-at a time, and the ranges of strings that share the shorter prefix are its candidates. Of these, the ones whose strings
-of all trees differ least from the query's are ranked by their exact inner products in double precision.
+at a time, and the ranges of strings that share the shorter prefix are its candidates. Of these, the ones whose whole
+strings differ least from the query's (over SCREEN trees) are ranked by their exact inner products in double precision.
 
 The ascent ends when the k-th best so far would have been met with a probability of at least 1 - `miss`: a vector at an
 angle w shares one bit with probability 1 - w / pi, so all trees miss it at depth d with (1 - (1 - w / pi)^d)^trees. Near
@@ -33,8 +33,12 @@ from pyspark.sql import functions as F
 from placelink.llm.common import table
 
 TREES, BITS, NEAREST = 48, 64, 20
+#: Trees whose strings screen the candidates: 512 bits.
+SCREEN = 8
 #: Rows of a block with one forest, and queries of a block.
 BLOCK_ROWS, BLOCK_QUERIES = 16_384, 65_536
+#: Queries whose ranges in all trees a task holds at once (some 20 MB).
+STRETCH = 1_024
 #: The largest probability of missing the k-th neighbour; the share of a block's rows, and how often k at least, that are ranked exactly.
 MISS, RANKED, LEAST_RANKED = 0.08, 0.1, 10
 
@@ -50,6 +54,7 @@ class Forest:
         self.own = self._strings(np.concatenate([x, lacks[:, None]], axis=1))
         self.order = [np.argsort(self.own[:, t], kind="stable") for t in range(trees)]
         self.sorted = [self.own[order, t] for t, order in enumerate(self.order)]
+        self.screen = np.ascontiguousarray(self.own[:, :SCREEN])
 
     @staticmethod
     def _directions(rng: np.random.Generator, width: int) -> np.ndarray:
@@ -64,42 +69,41 @@ class Forest:
     def strings_of(self, q: np.ndarray) -> np.ndarray:
         return self._strings(np.concatenate([q, np.zeros((len(q), 1))], axis=1))
 
-    def candidates(self, string: np.ndarray, depth: int) -> np.ndarray:
-        """Rows that share so many first bits with a query in any tree."""
-        below = np.uint64(2**64 - 1) if depth == 0 else np.uint64(2 ** (BITS - depth) - 1)
+    def candidates(self, ranges: np.ndarray) -> np.ndarray:
+        """Rows in any of the trees' ranges (first entry, last one and one)."""
         mark = np.zeros(len(self.x), bool)
-        for t, strings in enumerate(self.sorted):
-            low, high = string[t] & ~below, string[t] | below
-            mark[self.order[t][np.searchsorted(strings, low, side="left") : np.searchsorted(strings, high, side="right")]] = True
+        for order, (low, high) in zip(self.order, ranges.tolist(), strict=True):
+            if low < high:
+                mark[order[low:high]] = True
         return np.flatnonzero(mark)
 
-    def depths(self, strings: np.ndarray, enough: int) -> np.ndarray:
-        """For every query the depth at which the ranges of all trees first hold `enough` entries: where its ascent begins."""
-        out, todo = np.zeros(len(strings), np.int64), np.arange(len(strings))
-        for depth in range(BITS, 0, -1):
-            below = np.uint64(2 ** (BITS - depth) - 1)
-            found = np.zeros(len(todo), np.int64)
-            for t, own in enumerate(self.sorted):
-                found += np.searchsorted(own, strings[todo, t] | below, side="right") - np.searchsorted(own, strings[todo, t] & ~below, side="left")
-            out[todo[found >= enough]] = depth
-            todo = todo[found < enough]
-            if not len(todo):
+    def ranges(self, strings: np.ndarray, enough: int) -> np.ndarray:
+        """The ranges by query, depth (from 0) and tree, down to where no query's hold `enough` entries in all."""
+        found = []
+        for depth in range(BITS + 1):
+            below = np.uint64(2**64 - 1) if depth == 0 else np.uint64(2 ** (BITS - depth) - 1)
+            low = [np.searchsorted(own, strings[:, t] & ~below, side="left") for t, own in enumerate(self.sorted)]
+            high = [np.searchsorted(own, strings[:, t] | below, side="right") for t, own in enumerate(self.sorted)]
+            found.append(np.stack([np.stack(low, axis=1), np.stack(high, axis=1)], axis=2).astype(np.int32))
+            if not ((found[-1][:, :, 1] - found[-1][:, :, 0]).sum(axis=1) >= enough).any():
                 break
-        return out
+        return np.stack(found, axis=1)
 
-    def search(self, q: np.ndarray, string: np.ndarray, depth: int, k: int, skip: np.ndarray | None = None, miss: float = MISS, ranked: float = RANKED) -> tuple[np.ndarray, np.ndarray, int]:
+    def search(self, q: np.ndarray, string: np.ndarray, ranges: np.ndarray, k: int, skip: np.ndarray | None = None, miss: float = MISS, ranked: float = RANKED) -> tuple[np.ndarray, np.ndarray, int]:
         """Rows and scores that hold the query's k best (more where they tie), and how many rows were candidates.
 
-        skip: rows that count for nothing (the query itself).
+        ranges: those of the query by depth and tree. skip: rows that count for nothing (the query itself).
         """
         length = float(np.sqrt(q @ q))
+        entries = (ranges[:, :, 1] - ranges[:, :, 0]).sum(axis=1)
+        depth = int(np.flatnonzero(entries >= min(4 * k + self.trees, entries[0])).max(initial=0))  # a query finds itself in every tree
         while True:
-            c = found = self.candidates(string, depth)
+            c = found = self.candidates(ranges[depth])
             if skip is not None:
                 c = c[~skip[c]]
             most = max(LEAST_RANKED * k, int(ranked * len(self.x)))
             if len(c) > most:  # ties with the last one come along
-                unlike = np.bitwise_count(self.own[c] ^ string).sum(axis=1, dtype=np.int64)
+                unlike = np.bitwise_count(self.screen[c] ^ string[:SCREEN]).sum(axis=1, dtype=np.uint16)
                 c = c[unlike <= np.partition(unlike, most - 1)[most - 1]]
             score = self.x[c] @ q
             if depth == 0:
@@ -140,14 +144,15 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = NEAREST, miss: float
         if not len(row_ids) or not len(query_ids):
             return _FOUND.empty_table()
         forest = Forest(x[~ask][order], longest, trees)
-        strings = forest.strings_of(queries)
-        depth = forest.depths(strings, 4 * k)
         out_q, out_id, out_score = [], [], []
         low, high = np.searchsorted(row_ids, query_ids, side="left"), np.searchsorted(row_ids, query_ids, side="right")
         skip = np.zeros(len(row_ids), bool)
         for i in range(len(query_ids)):
+            if i % STRETCH == 0:
+                strings = forest.strings_of(queries[i : i + STRETCH])
+                ranges = forest.ranges(strings, 4 * k)
             skip[low[i] : high[i]] = True
-            c, score, _ = forest.search(queries[i], strings[i], int(depth[i]), k, skip, miss, ranked)
+            c, score, _ = forest.search(queries[i], strings[i % STRETCH], ranges[i % STRETCH], k, skip, miss, ranked)
             skip[low[i] : high[i]] = False
             if len(c) > k:  # all that may tie with the last one stay
                 c = c[score >= np.partition(score, -k)[-k] - 1e-9 * longest * longest]

@@ -209,9 +209,9 @@ def test_nearest_lists_are_full_in_small_tables():
         forest = ann.Forest(x, float(np.sqrt((x * x).sum(axis=1).max())))
         strings = forest.strings_of(x)
         skip = np.zeros(n, bool)
-        for i, depth in enumerate(forest.depths(strings, 4 * ann.NEAREST)):
+        for i, ranges in enumerate(forest.ranges(strings, 4 * ann.NEAREST)):
             skip[i] = True
-            assert len(forest.search(x[i], strings[i], int(depth), ann.NEAREST, skip)[0]) >= min(ann.NEAREST, n - 1)
+            assert len(forest.search(x[i], strings[i], ranges, ann.NEAREST, skip)[0]) >= min(ann.NEAREST, n - 1)
             skip[i] = False
 
 
@@ -226,8 +226,8 @@ def test_forest_ends_early_on_clustered_vectors(lengths):
         x *= rng.uniform(0.8, 1.0, (8000, 1))
     forest = ann.Forest(x, float(np.sqrt((x * x).sum(axis=1).max())))
     strings, recall, share, ranked = forest.strings_of(x[:60]), [], [], []
-    for i, depth in enumerate(forest.depths(strings, 4 * ann.NEAREST)):
-        c, _, n = forest.search(x[i], strings[i], int(depth), ann.NEAREST)
+    for i, ranges in enumerate(forest.ranges(strings, 4 * ann.NEAREST)):
+        c, _, n = forest.search(x[i], strings[i], ranges, ann.NEAREST)
         recall.append(len(set(np.argsort(-(x @ x[i]), kind="stable")[:20]) & set(c)) / 20)
         share.append(n / len(x))
         ranked.append(len(c) / len(x))
