@@ -16,4 +16,4 @@ QUERIES = {
     "op9_repetition": repetition.op9_repetition,
     "op10_quality": boosting.op10_quality,
 }
-ORACLES = {"op3_mixing": mixing.OP3_SQL, "op6_url_reputation": reputation.OP6_SQL, "op7_chat": chat.OP7_SQL}
+ORACLES = {"op1_near_duplicates": neardup.OP1_SQL, "op3_mixing": mixing.OP3_SQL, "op6_url_reputation": reputation.OP6_SQL, "op7_chat": chat.OP7_SQL, "op9_repetition": repetition.OP9_SQL}

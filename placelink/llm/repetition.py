@@ -139,7 +139,7 @@ def judge(documents: DataFrame, limits: dict[str, float] = LIMITS) -> DataFrame:
                 failed = (m["n_words"] < 10) | (100 * m["n_repeat_words"] > 20 * m["n_words"])
                 arrays = [batch.column("doc_id").slice(i, j - i).cast(pa.int64())]
                 arrays += [pa.array(m[k].astype(np.int64)) for k in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")]
-                arrays += [pa.array(failed), pa.array(~failed & (ratio.max(axis=0) <= 1)), pa.array([names[k] for k in worst]), pa.array(np.round(ratio.max(axis=0), 4))]
+                arrays += [pa.array(failed), pa.array(~failed & (ratio.max(axis=0) <= 1)), pa.array([names[k] for k in worst]), pa.array(np.floor(ratio.max(axis=0) * 10_000 + 0.5) / 10_000)]
                 yield pa.RecordBatch.from_arrays(arrays, names=[x.split()[0] for x in SCHEMA.split(", ")])
 
     return documents.select("doc_id", "text").mapInArrow(run, SCHEMA)
@@ -147,3 +147,37 @@ def judge(documents: DataFrame, limits: dict[str, float] = LIMITS) -> DataFrame:
 
 def op9_repetition(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(table(spark, sf_dir, "documents"))
+
+
+def _sql() -> str:
+    grams = lambda n: f"grams_{n} AS MATERIALIZED (SELECT doc_id, i, array_to_string(w[i : i + {n - 1}], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - {n - 2})) AS i FROM split))"
+    parts = [grams(n) for n in (*MOST_FREQUENT, *REPEATED)]
+    parts += [f"most_frequent_{n} AS (SELECT doc_id, max(c * (len(g) - {n - 1})) AS x FROM (SELECT doc_id, g, count(*) AS c FROM grams_{n} GROUP BY ALL) WHERE c > 1 GROUP BY doc_id)" for n in MOST_FREQUENT]
+    for n in REPEATED:
+        again = f"SELECT doc_id, i, row_number() OVER (PARTITION BY doc_id, g ORDER BY i) AS turn FROM grams_{n}"
+        parts.append(f"repeated_{n} AS (SELECT doc_id, sum(size) AS x FROM (SELECT DISTINCT doc_id, unnest(range(i, i + {n})) AS i FROM ({again}) WHERE turn > 1) JOIN words USING (doc_id, i) GROUP BY doc_id)")
+    measures = [*(f"most_frequent_{n}" for n in MOST_FREQUENT), *(f"repeated_{n}" for n in REPEATED)]
+    ratios = ", ".join(["coalesce(l.chars, 0) / greatest(d.chars, 1) / " + f"{REPEATED_LINES}::DOUBLE", *(f"coalesce({m}.x, 0) / greatest(coalesce(t.word_chars, 0), 1) / {LIMITS[m]}::DOUBLE" for m in measures)])
+    joins = " ".join(f"LEFT JOIN {m} USING (doc_id)" for m in measures)
+    names = ", ".join(f"'{k}'" for k in LIMITS)
+    return rf"""
+WITH split AS (
+  SELECT doc_id, coalesce(text, '') AS text, len(coalesce(text, '')) AS chars, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+words AS MATERIALIZED (SELECT doc_id, unnest(range(1, len(w) + 1)) AS i, len(unnest(w)) AS size FROM split),
+totals AS (SELECT doc_id, sum(size) AS word_chars FROM words GROUP BY doc_id),
+lines AS (SELECT doc_id, len(line) AS size, row_number() OVER (PARTITION BY doc_id, line) > 1 AS again FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM split) WHERE regexp_matches(line, '[^\x20\x09-\x0D]')),
+dup AS (SELECT doc_id, count(*) AS n, sum(size) AS chars FROM lines WHERE again GROUP BY doc_id),
+{", ".join(parts)},
+windows AS (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, g) AS c FROM grams_5),
+covered AS (SELECT doc_id, count(DISTINCT k) AS n FROM (SELECT doc_id, unnest(range(i, i + 5)) AS k FROM windows WHERE c > 1) GROUP BY doc_id),
+judged AS (
+  SELECT doc_id, len(d.w) AS n_words, coalesce(t.word_chars, 0) AS word_chars, len(regexp_extract_all(d.text, '[#*$%&|<>]')) AS n_symbols, coalesce(l.n, 0) AS n_dup_lines, coalesce(c.n, 0) AS n_repeat_words, [{ratios}] AS ratios
+  FROM split d LEFT JOIN totals t USING (doc_id) LEFT JOIN dup l USING (doc_id) LEFT JOIN covered c USING (doc_id) {joins})
+SELECT doc_id, CAST(n_words AS BIGINT) AS n_words, CAST(word_chars AS BIGINT) AS word_chars, CAST(n_symbols AS BIGINT) AS n_symbols, CAST(n_dup_lines AS BIGINT) AS n_dup_lines, CAST(n_repeat_words AS BIGINT) AS n_repeat_words,
+  n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed, NOT (n_words < 10 OR 100 * n_repeat_words > 20 * n_words) AND list_max(ratios) <= 1 AS kept,
+  [{names}][list_position(ratios, list_max(ratios))] AS worst_measure, floor(list_max(ratios) * 10000.0::DOUBLE + 0.5::DOUBLE) / 10000.0::DOUBLE AS worst_ratio
+FROM judged
+"""
+
+
+OP9_SQL = _sql()
