@@ -12,6 +12,7 @@ from pyspark.ml.feature import VectorAssembler
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from placelink.operators.components import components
 from placelink.operators.layers import _names
 from placelink.operators.metrics import confusion, prf
 from placelink.operators.storage import stored
@@ -19,7 +20,7 @@ from placelink.operators.storage import stored
 MODELS = ("logreg", "svm", "tree", "bayes")
 PROTOCOLS = ("full", "sample", "transfer")
 SAMPLE = 1_500
-#: Vectors whose matrix of all distances agglomeration holds at once; more are an error. No other method has a limit.
+#: Vectors whose matrix of all distances agglomeration holds at once (more are an error), and that DBSCAN takes to the driver.
 MOST_CLUSTERED = 3_000
 #: Numbers that k-medoids and DBSCAN hold at once for a stretch of distances.
 STRETCH = 4_000_000
@@ -81,14 +82,17 @@ def best_orientation(vectors: DataFrame, cluster: str = "cluster") -> DataFrame:
 def cluster(vectors: DataFrame, method: str, attrs, **options) -> DataFrame:
     """vectors (attributes, pairs, positives) with `cluster` 0 or 1, by k-means, k-medoids, agglomeration or DBSCAN.
 
-    Every vector gets a cluster. All but k-means read the distinct vectors to the driver and take time that grows with their
-    square; agglomeration, which needs all distances at once, raises an error beyond MOST_CLUSTERED vectors.
+    Every vector gets a cluster. K-medoids reads the distinct vectors to the driver and takes time that grows with their
+    square. Beyond MOST_CLUSTERED vectors DBSCAN finds the same clusters by joins, and agglomeration, which needs all
+    distances at once, raises an error.
     """
     names = _names(attrs)
     if method == "kmeans":
         ready = VectorAssembler(inputCols=names, outputCol="features").transform(vectors)
         model = KMeans(k=2, seed=1, weightCol="pairs", featuresCol="features", predictionCol="cluster").fit(ready)
         return model.transform(ready).drop("features")
+    if method == "dbscan" and vectors.count() > MOST_CLUSTERED:
+        return dbscan_join(vectors, attrs, **options)
     found = vectors.orderBy(*names).toPandas()
     x, w = found[names].to_numpy(float), found["pairs"].to_numpy(float)
     found["cluster"] = {"kmedoids": k_medoids, "agglomerative": agglomerative, "dbscan": dbscan}[method](x, w, **options)
@@ -161,7 +165,7 @@ def agglomerative(x: np.ndarray, w: np.ndarray, linkage: str = "average") -> np.
 
 
 def dbscan(x: np.ndarray, w: np.ndarray, eps: float = 0.1, least: float = 5) -> np.ndarray:
-    """Density clusters: the largest is 0; noise and all other clusters are 1."""
+    """Density clusters: the heaviest (by its core vectors) and what lies within eps of its cores is 0, all else 1."""
     if not len(x):
         return np.zeros(0, int)
     core = np.concatenate([((d <= eps) * w).sum(axis=1) for d in _stretches(x)]) >= least
@@ -173,17 +177,37 @@ def dbscan(x: np.ndarray, w: np.ndarray, eps: float = 0.1, least: float = 5) ->
         queue = deque([i])
         label[i] = current
         while queue:
-            k = queue.popleft()
-            if core[k]:
-                free = np.flatnonzero(label < 0)
-                near = free[_distances(x[k : k + 1], x[free])[0] <= eps]
-                label[near] = current
-                queue.extend(near.tolist())
+            free = np.flatnonzero(core & (label < 0))
+            near = free[_distances(x[queue.popleft()][None], x[free])[0] <= eps] if len(free) else free
+            label[near] = current
+            queue.extend(near.tolist())
         current += 1
     if current == 0:
         return np.ones(len(x), int)
-    weight = [w[label == c].sum() for c in range(current)]
-    return (label != int(np.argmax(weight))).astype(int)
+    own = x[label == int(np.argmax([w[label == c].sum() for c in range(current)]))]
+    step = max(1, STRETCH // max(1, own.size))
+    return np.concatenate([(_distances(x[i : i + step], own).min(axis=1) > eps).astype(int) for i in range(0, len(x), step)])
+
+
+def dbscan_join(vectors: DataFrame, attrs, eps: float = 0.1, least: float = 5) -> DataFrame:
+    """dbscan without a driver: neighbours by an equi-join of grid cells of side eps, clusters by connected components."""
+    names = _names(attrs)
+    v = stored(vectors.withColumn("__id", F.monotonically_increasing_id()), "dbscan-vectors")
+    cells = [f"__c{i}" for i in range(len(names))]
+    at = v.select("__id", "pairs", *names, *[F.floor(F.col(n) / eps).alias(c) for n, c in zip(names, cells, strict=True)])
+    near = at.select(F.col("__id").alias("b"), F.col("pairs").alias("w"), *[F.col(n).alias(f"{n}_b") for n in names], *cells)
+    for c in cells:
+        near = near.withColumn("__d", F.explode(F.array(*map(F.lit, (-1, 0, 1))))).withColumn(c, F.col(c) + F.col("__d")).drop("__d")
+    apart = sum(((F.col(n) - F.col(f"{n}_b")) * (F.col(n) - F.col(f"{n}_b")) for n in names), F.lit(0.0))
+    links = stored(at.join(near, cells).where(F.sqrt(apart) <= eps).select(F.col("__id").alias("a"), "b", "w"), "dbscan-links")
+    core = stored(links.groupBy("a").agg(F.sum("w").alias("n")).where(F.col("n") >= least).select("a"), "dbscan-cores")
+    between = links.join(core, "a", "left_semi").join(core.withColumnRenamed("a", "b"), "b", "left_semi")
+    joined = components(between.where("a != b"))
+    own = core.join(joined, core["a"] == joined["id"], "left").select("a", F.coalesce("component", "a").alias("component"))
+    own = stored(own.join(v.select(F.col("__id").alias("a"), "pairs"), "a"), "dbscan-clusters")
+    top = own.groupBy("component").agg(F.sum("pairs").alias("w")).orderBy(F.col("w").desc(), "component").limit(1)
+    inside = links.join(own.join(F.broadcast(top.select("component")), "component", "left_semi").select("a"), "a", "left_semi").select(F.col("b").alias("__id")).distinct()
+    return v.join(inside.withColumn("__in", F.lit(0)), "__id", "left").withColumn("cluster", F.coalesce("__in", F.lit(1))).drop("__id", "__in")
 
 
 def dbscan_sweep(vectors: DataFrame, attrs, eps: tuple[float, ...] = (0.05, 0.1, 0.15, 0.2), least: tuple[int, ...] = (5, 20, 50)) -> DataFrame:
