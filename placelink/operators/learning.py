@@ -177,8 +177,8 @@ def dbscan(x: np.ndarray, w: np.ndarray, eps: float = 0.1, least: float = 5) ->
         queue = deque([i])
         label[i] = current
         while queue:
-            free = np.flatnonzero(core & (label < 0))
-            near = free[_distances(x[queue.popleft()][None], x[free])[0] <= eps] if len(free) else free
+            k, free = queue.popleft(), np.flatnonzero(core & (label < 0))
+            near = free[_distances(x[k : k + 1], x[free])[0] <= eps]
             label[near] = current
             queue.extend(near.tolist())
         current += 1
@@ -193,20 +193,22 @@ def dbscan_join(vectors: DataFrame, attrs, eps: float = 0.1, least: float = 5) -
     """dbscan without a driver: neighbours by an equi-join of grid cells of side eps, clusters by connected components."""
     names = _names(attrs)
     v = stored(vectors.withColumn("__id", F.monotonically_increasing_id()), "dbscan-vectors")
-    cells = [f"__c{i}" for i in range(len(names))]
-    at = v.select("__id", "pairs", *names, *[F.floor(F.col(n) / eps).alias(c) for n, c in zip(names, cells, strict=True)])
-    near = at.select(F.col("__id").alias("b"), F.col("pairs").alias("w"), *[F.col(n).alias(f"{n}_b") for n in names], *cells)
+    cells, x = [f"__c{i}" for i in range(len(names))], [f"__x{i}" for i in range(len(names))]
+    cell = [F.floor(F.col(n) / eps).alias(c) for n, c in zip(names, cells, strict=True)]
+    at = v.select(F.col("__id").alias("a"), *[F.col(n).alias(f"{k}a") for n, k in zip(names, x, strict=True)], *cell)
+    near = v.select(F.col("__id").alias("b"), F.col("pairs").alias("w"), *[F.col(n).alias(f"{k}b") for n, k in zip(names, x, strict=True)], *cell)
     for c in cells:
         near = near.withColumn("__d", F.explode(F.array(*map(F.lit, (-1, 0, 1))))).withColumn(c, F.col(c) + F.col("__d")).drop("__d")
-    apart = sum(((F.col(n) - F.col(f"{n}_b")) * (F.col(n) - F.col(f"{n}_b")) for n in names), F.lit(0.0))
-    links = stored(at.join(near, cells).where(F.sqrt(apart) <= eps).select(F.col("__id").alias("a"), "b", "w"), "dbscan-links")
+    apart = sum(((F.col(f"{k}a") - F.col(f"{k}b")) * (F.col(f"{k}a") - F.col(f"{k}b")) for k in x), F.lit(0.0))
+    links = stored(at.join(near, cells).where(F.sqrt(apart) <= eps).select("a", "b", "w"), "dbscan-links")
     core = stored(links.groupBy("a").agg(F.sum("w").alias("n")).where(F.col("n") >= least).select("a"), "dbscan-cores")
     between = links.join(core, "a", "left_semi").join(core.withColumnRenamed("a", "b"), "b", "left_semi")
     joined = components(between.where("a != b"))
     own = core.join(joined, core["a"] == joined["id"], "left").select("a", F.coalesce("component", "a").alias("component"))
-    own = stored(own.join(v.select(F.col("__id").alias("a"), "pairs"), "a"), "dbscan-clusters")
-    top = own.groupBy("component").agg(F.sum("pairs").alias("w")).orderBy(F.col("w").desc(), "component").limit(1)
-    inside = links.join(own.join(F.broadcast(top.select("component")), "component", "left_semi").select("a"), "a", "left_semi").select(F.col("b").alias("__id")).distinct()
+    own = stored(own.join(v.select(F.col("__id").alias("a"), F.col("pairs").alias("w")), "a"), "dbscan-clusters")
+    top = own.groupBy("component").agg(F.sum("w").alias("w")).orderBy(F.col("w").desc(), "component").limit(1)
+    heart = own.join(F.broadcast(top.select("component")), "component", "left_semi").select("a")  # one cluster's number
+    inside = links.join(heart, "a", "left_semi").select(F.col("b").alias("__id")).distinct()
     return v.join(inside.withColumn("__in", F.lit(0)), "__id", "left").withColumn("cluster", F.coalesce("__in", F.lit(1))).drop("__id", "__in")
 
 
