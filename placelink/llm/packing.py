@@ -46,6 +46,8 @@ TOKENIZER = "word_bpe_49k.json"
 #: Rows (queue, task, base) up to which the starts of the tasks are broadcast: some 20 MB.
 BROADCAST_ROWS = 500_000
 _CACHE_ENTRIES = 250_000
+#: Numbers that remembered rounds of the plan may hold (some 24 MB).
+_ROUND_NUMBERS = 1_000_000
 
 
 class _Remembered(dict):
@@ -189,6 +191,7 @@ class Phase:
         small = self.take < QUANTUM * max(1, self.rounds)
         self.quantum = np.where(small, QUANTUM, 1)
         self.first = np.where(small, (n * 0.6180339887498949 % 1 * QUANTUM).astype(np.int64), 0)  # spreads the turns
+        self.rows: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]] = {}
 
     def given(self, j: int) -> np.ndarray:
         """Tokens that each queue has given after j rounds."""
@@ -197,6 +200,16 @@ class Phase:
         owed = share(np.full(len(self.take), j, np.int64), self.take, self.rounds) + self.first
         return np.minimum(self.take, owed // self.quantum * self.quantum)
 
+    def round(self, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """What each queue has given before round k and after it, and where its turn starts on the line; remembered for a while."""
+        if k not in self.rows:
+            if len(self.rows) * len(self.take) > _ROUND_NUMBERS:
+                self.rows.clear()
+            given, after = self.given(k), self.given(k + 1)
+            turns = after - given
+            self.rows[k] = given, after, self.start + given.sum() + turns.cumsum() - turns
+        return self.rows[k]
+
     def rounds_of(self, q: int, lo: int, hi: int) -> list[int]:
         """The rounds in which queue q gives its tokens lo to hi - 1, in order. Python's integers: any size."""
         take, quantum, first, rounds = int(self.take[q]), int(self.quantum[q]), int(self.first[q]), self.rounds
@@ -232,9 +245,9 @@ def pieces_of(plan: list[Phase], q: int, first: int, tokens: int, size: int = SI
             continue
         done = int(p.done[q])
         for k in p.rounds_of(q, a - done, b - done):
-            given, after = p.given(k), p.given(k + 1)
-            x, y = max(a - done, int(given[q])), min(b - done, int(after[q]))
-            at = p.start + int(given.sum()) + int((after[:q] - given[:q]).sum()) + x - int(given[q])
+            given, after, line = (int(v[q]) for v in p.round(k))
+            x, y = max(a - done, given), min(b - done, after)
+            at = line + x - given
             while x < y:  # a turn may lie across the end of a sequence
                 n = min(y - x, size - at % size)
                 yield x + done - first, n, at
