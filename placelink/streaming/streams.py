@@ -5,12 +5,10 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
-from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from placelink.functions.similarity import address_sim, clean_text, text_sim
 from placelink.operators.blocking import Root, assign_cells
@@ -76,32 +74,6 @@ def placed(pairs: DataFrame, ranked: DataFrame, attrs: tuple[str, ...]) -> DataF
     return pairs.mapInArrow(run, T.StructType([*pairs.schema.fields, T.StructField("layer", T.IntegerType())]))
 
 
-class LatestPlace(StatefulProcessor):
-    """Keeps the latest version of every place of a block and emits its neighbours that are still remembered."""
-
-    def init(self, handle: StatefulProcessorHandle) -> None:
-        self.seen = handle.getMapState("seen", "eid string", "x double, y double", ttlDurationMs=24 * 3600 * 1000)
-
-    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
-        out = []
-        for pdf in rows:
-            for r in pdf.itertuples(index=False):
-                for (other,), (x, y) in self.seen.iterator():
-                    d = ((x - r.x_m) ** 2 + (y - r.y_m) ** 2) ** 0.5
-                    if other != r.eid and d <= 100:
-                        out.append((min(other, r.eid), max(other, r.eid), d))
-                self.seen.updateValue((r.eid,), (float(r.x_m), float(r.y_m)))
-        yield pd.DataFrame(out, columns=["eid_a", "eid_b", "dist_m"])
-
-    def close(self) -> None:
-        pass
-
-
-def recent_neighbours(stream: DataFrame) -> DataFrame:
-    """Pairs of recently seen places of the same home block (columns ix, iy, eid, x_m, y_m); needs the RocksDB state store."""
-    return stream.groupBy("ix", "iy").transformWithStateInPandas(LatestPlace(), "eid_a string, eid_b string, dist_m double", "update", "processingTime")
-
-
 def sink(df: DataFrame, write, checkpoint: str, mode: str = "append"):
     """foreachBatch with a checkpoint: `write(batch, number)` runs once per batch number."""
     return df.writeStream.outputMode(mode).option("checkpointLocation", checkpoint).foreachBatch(write).start()

@@ -13,10 +13,11 @@ from placelink import catalog
 from placelink.functions import sql as sql_functions
 from placelink.functions.geo import haversine_m
 from placelink.functions.similarity import address_sim, clean_phone, clean_website, intervals_sim, semantic_sim, text_sim
-from placelink.operators import baselines, cutoff, learning
+from placelink.operators import baselines, cutoff, learning, pairs as pair_operators, skew, storage
 from placelink.operators.blocking import Root, capacity_quadtree, expected_depth, overlap_blocks, quadtree_blocks
 from placelink.operators.components import components
-from placelink.operators.layers import Attribute, collapse, layer_numbers, layers, layers_peel, layers_sql, lattice_prefilter
+from placelink.operators import layers as layer_operators
+from placelink.operators.layers import Attribute, collapse, fronts, layer_numbers, layers, layers_peel, layers_sql, lattice_prefilter
 from placelink.operators.metrics import confusion, prf
 from placelink.operators.pairs import all_pairs, candidate_pairs, comparison_count, radius_pairs
 from placelink.operators.running import running_before
@@ -330,7 +331,14 @@ def test_fixture_source(spark):
     assert spark.read.format("place_fixture").option("n", 50).load().count() == 50
 
 
-def test_streams_drop_late_rows_and_agree(spark, tmp_path):
+def test_late_rows_are_dropped(spark):
+    """Without the watermark's limit the late events would have been counted."""
+    late = {r.start: r.n for r in catalog.QUERIES["late_arrivals"](spark, SF).collect()}
+    every = {r.start: r.n for r in catalog.QUERIES["window_arrivals_tumbling"](spark, SF).collect()}
+    assert set(late) < set(every) and all(n <= every[k] for k, n in late.items()) and sum(late.values()) < sum(every[k] for k in late)
+
+
+def test_streams_agree_with_the_batch(spark, tmp_path):
     ev = spark.read.parquet(f"{SF}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp"))
     ev.repartitionByRange(4, "ts").write.parquet(str(tmp_path / "in"))
     stream = spark.readStream.schema(ev.schema).parquet(str(tmp_path / "in"))
@@ -341,7 +349,199 @@ def test_streams_drop_late_rows_and_agree(spark, tmp_path):
     assert sorted(map(tuple, spark.table("tumbled").collect())) == want
 
 
-ORACLE_SAMPLE = ["places", "blocks_m100", "pairs_m100", "coverage_by_radius", "pair_vectors", "vector_layers", "level_curve_sample", "mu_curve", "separation_cut", "weighted_topk", "belief_links", "resnik_pairs", "session_overlap", "link_groups", "stream_places_dedup"]
+def test_full_cells_are_dealt_out(spark, monkeypatch):
+    """Coincident places: the same pairs once each, and no task compares more than two parts of a cell."""
+    places = spark.range(400).selectExpr("concat('m', id) eid", "cast(id % 5 * 700 + if(id % 7 = 0, id, 0) as double) x_m", "cast(id % 3 * 10 as double) y_m", "concat('s', id % 2) source")
+    rows = lambda df: sorted((r.eid_a, r.eid_b, round(r.dist_m, 6)) for r in df.collect())
+    blocks = overlap_blocks(places, 100)
+    deep = overlap_blocks(places, 100, density=3.0, max_level=9)
+    want = rows(candidate_pairs(blocks)), rows(candidate_pairs(blocks, "cross")), rows(candidate_pairs(deep)), rows(radius_pairs(places, 40))
+    agree = want[3] == rows(all_pairs(places, 40))  # no diff of long lists
+    assert agree and len(want[0]) > 4_000
+    monkeypatch.setattr(pair_operators, "MOST_IN_CELL", 7)
+    got = rows(candidate_pairs(blocks)), rows(candidate_pairs(blocks, "cross")), rows(candidate_pairs(deep)), rows(radius_pairs(places, 40))
+    agree = got == want
+    assert agree
+    plan = candidate_pairs(blocks)._jdf.queryExecution().optimizedPlan().toString()
+    assert "low_a" in plan and "high_a" in plan
+    monkeypatch.setattr(pair_operators, "MOST_HOT_CELLS", 0)  # too many to broadcast
+    agree = rows(candidate_pairs(blocks)) == want[0]
+    assert agree
+
+
+def test_twenty_thousand_places_on_one_point(spark):
+    """A mall of that size makes two hundred million comparisons; the largest of its tasks has two parts of 2,000."""
+    n = 20_000
+    places = spark.range(n).selectExpr("concat('m', id) eid", "1.0d x_m", "1.0d y_m")
+    far = spark.createDataFrame([("f", 5000.0, 5000.0)], "eid string, x_m double, y_m double")
+    blocks = overlap_blocks(places.unionByName(far), 100)
+    cells = blocks.groupBy("level", "ix", "iy").agg(F.count("*").alias("n"))
+    parts = pair_operators._with_parts(blocks, ["level", "ix", "iy"], cells.where(F.col("n") > pair_operators.MOST_IN_CELL), 1)
+    part = F.pmod(F.xxhash64("eid", "x_m", "y_m"), F.col("__parts"))
+    sizes = parts.groupBy("ix", "iy", part.alias("part")).count()
+    assert sizes.agg(F.max("count")).first()[0] < 1.2 * pair_operators.MOST_IN_CELL and sizes.where("ix = 0 and iy = 0").count() == 10
+
+
+@pytest.mark.parametrize("width", [1, 2, 3, 4])
+def test_fronts_are_the_layers(width):
+    rng = np.random.default_rng(width)
+    for n, step in ((0, 4), (1, 4), (200, 16), (200, 512)):
+        x = np.unique(rng.integers(0, 9, (n, width)) / 8, axis=0)
+        found = np.zeros(len(x), int)
+        for k, rows in enumerate(fronts(x, step), 1):
+            found[rows] = k
+        assert (found == layer_numbers(x)).all()
+
+
+def test_early_stop_equals_the_curve(spark):
+    rng = random.Random(4)
+    for patience in (1, 2):
+        rows = [(rng.randrange(12) / 11, rng.randrange(12) / 11, int(rng.random() < 0.5)) for _ in range(300)]
+        v = collapse(spark.createDataFrame(rows, "a double, b double, label int"), ("a", "b"), "label")
+        lv = cutoff.level_curve(layers(v, ("a", "b")))
+        want, got = cutoff.stop_layer(lv, patience).first(), cutoff.early_stop_cut(v, ("a", "b"), patience, verify=True)
+        assert got["layer"] == want.layer and got["explored"] == (want.drop_at or want.layers)
+        assert got["f1_loss"] == pytest.approx(cutoff.sweep_cut(lv).first().f1 - got["f1"], abs=1e-6)
+    assert cutoff.early_stop_cut(v.limit(0), ("a", "b"))["layer"] is None
+
+
+def test_ranking_refuses_more_than_one_task_takes(spark, monkeypatch):
+    monkeypatch.setattr(layer_operators, "MOST_VECTORS", 5)
+    run = layer_operators._ranked(["a"], [1], None)
+    import pyarrow as pa
+
+    with pytest.raises(ValueError, match="more than 5 distinct vectors"):
+        list(run(iter([pa.RecordBatch.from_pydict({"a": [0.1 * i for i in range(4)]})] * 2)))
+
+
+def test_sampled_separation(spark):
+    rng = random.Random(1)
+    rows = [(rng.random(), rng.random(), 1 + i % 5, rng.randrange(1, 4), 0) for i in range(200)]
+    df = spark.createDataFrame(rows, "a double, b double, layer int, pairs long, positives long")
+    total = lambda d: {r.layer: r.total for r in cutoff.separation_sums(d, ("a", "b")).collect()}
+    exact, whole, half = total(df), total(cutoff.sampled(df, ("a", "b"), 1.0)), total(cutoff.sampled(df, ("a", "b"), 0.5))
+    assert whole == pytest.approx(exact, abs=1e-6)
+    assert all(abs(half[k] - exact[k]) < 0.15 * max(exact.values()) for k in exact)
+    sums = cutoff.sampled(df, ("a", "b"), 0.3).groupBy("layer").agg(F.sum("pairs").alias("n")).collect()
+    assert {r.layer: round(r.n) for r in sums} == {r.layer: r.n for r in df.groupBy("layer").agg(F.sum("pairs").alias("n")).collect()}
+
+
+def test_weighted_scores_take_edits_and_information_content(spark):
+    row = ("a", "b", "blue cafe", "blue bar", ["cafe"], ["bar"], 0.5, 0.4, 0.9, 0.3, 20.0, 1)
+    p = spark.createDataFrame([row], "eid_a string, eid_b string, name_a string, name_b string, keywords_a array<string>, keywords_b array<string>, name_sim double, address_text double, address_sim double, semantic_sim double, dist_m double, label int")
+    table = spark.createDataFrame([("bar", "cafe", 0.7)], "term_a string, term_b string, resnik double")
+    got = baselines.weighted_scores(baselines.with_category(p, table)).first()
+    assert got.score == pytest.approx(2 / 3 * (0.5 + 0.7 + 0.8) / 3 + 0.4 / 3, abs=1e-6)
+    assert baselines.with_category(p, table.limit(0)).first().category_sim == 0.0
+
+
+def test_dbscan_forms_agree(spark):
+    rng = np.random.default_rng(8)
+    x = np.concatenate([rng.normal((0.2, 0.2), 0.04, (80, 2)), rng.normal((0.7, 0.6), 0.05, (60, 2)), rng.random((30, 2))])
+    w = rng.integers(1, 4, len(x))
+    v = spark.createDataFrame([(*map(float, p), int(n), 0) for p, n in zip(x, w, strict=True)], "a double, b double, pairs long, positives long")
+    for eps, least in ((0.05, 5), (0.1, 20), (0.02, 50), (0.3, 5)):
+        want = {tuple(p): int(c) for p, c in zip(x.tolist(), learning.dbscan(x, w.astype(float), eps, least), strict=True)}
+        agree = {(r.a, r.b): r.cluster for r in learning.dbscan_join(v, ("a", "b"), eps, least).collect()} == want
+        assert agree, (eps, least)
+
+
+def brute_dbscan(x, w, eps, least):
+    d = np.sqrt(((x[:, None] - x[None]) ** 2).sum(axis=2)) <= eps
+    core = (d * w).sum(axis=1) >= least
+    of = np.where(core, np.arange(len(x)), -1)
+    for _ in range(len(x)):
+        of = np.array([max([of[j] for j in np.flatnonzero(d[i] & core)]) if core[i] else -1 for i in range(len(x))])
+    if not core.any():
+        return np.ones(len(x), int)
+    top = max(set(of[core]), key=lambda c: (w[of == c].sum(), -np.flatnonzero(of == c)[0]))
+    return np.array([int(not (d[i] & (of == top)).any()) for i in range(len(x))])
+
+
+def brute_medoids(x, w):
+    d = np.sqrt(((x[:, None] - x[None]) ** 2).sum(axis=2))
+    best = min(((np.minimum(d[i], d[j]) * w).sum(), i, j) for i in range(len(x)) for j in range(i))
+    return best[0]
+
+
+def test_clusterings_against_brute_force():
+    rng = np.random.default_rng(3)
+    x, w = np.concatenate([rng.normal(0.3, 0.1, (25, 2)), rng.normal(0.7, 0.1, (20, 2))]), rng.integers(1, 5, 45).astype(float)
+    for eps, least in ((0.1, 8), (0.15, 20), (0.01, 50)):
+        assert (learning.dbscan(x, w, eps, least) == brute_dbscan(x, w, eps, least)).all()
+    c = learning.k_medoids(x, w)
+    d = np.sqrt(((x[:, None] - x[None]) ** 2).sum(axis=2))
+    cost = sum(min((d[np.ix_(np.flatnonzero(c == k), [m])][:, 0] * w[c == k]).sum() for m in np.flatnonzero(c == k)) for k in (0, 1))
+    assert cost <= 1.1 * brute_medoids(x, w)
+    for linkage, join in (("single", min), ("complete", max)):
+        groups = [[i] for i in range(len(x))]
+        while len(groups) > 2:
+            _, i, j = min((join(d[p, q] for p in groups[i] for q in groups[j]), i, j) for i in range(len(groups)) for j in range(i))
+            groups[j] += groups.pop(i)
+        got = learning.agglomerative(x, w, linkage)
+        assert sorted(map(sorted, groups)) == sorted([sorted(np.flatnonzero(got == k).tolist()) for k in (0, 1)])
+
+
+def test_supervised_models_learn_the_pairs(spark):
+    """Each model beats the additive score on pairs that it has not seen, and tests every pair of its protocol once."""
+    rng = random.Random(6)
+    rows = [(f"a{i}", f"b{i}", rng.random() * 0.5 + 0.5 * y, rng.random() * 0.6 + 0.4 * y, y) for i in range(600) for y in [int(rng.random() < 0.4)]]
+    p = spark.createDataFrame(rows, "eid_a string, eid_b string, u double, v double, label int")
+    for model in learning.MODELS:
+        for protocol, tested in (("full", 600), ("sample", 200), ("transfer", 400)):
+            r = learning.supervised(p, model, ("u", "v"), protocol).first()
+            assert r.tp + r.fp + r.fn + r.tn == tested and r.f1 > 0.8
+
+
+def test_hot_keys_are_dealt_out(spark, monkeypatch):
+    monkeypatch.setattr(skew, "LEAST", 10)
+    rows = spark.range(1000).select(F.when(F.col("id") % 2 == 0, 0).when(F.col("id") % 11 == 0, None).otherwise(F.col("id")).alias("k"), F.col("id").alias("v"))
+    per = rows.groupBy("k").agg(F.count("*").alias("n"), F.max("v").alias("top"))
+    plain = sorted(map(repr, rows.join(per.drop("n"), "k").select("k", "v", "top").collect()))
+    got = skew.join_counted(rows, per, ["k"], 1000)
+    assert got.columns == ["k", "v", "top"] and sorted(map(repr, got.collect())) == plain
+    assert skew.join_counted(rows, per.where("k = 0").select("k", "n"), ["k"], 1000, "left_semi").count() == 500
+    assert skew.hot_limit(10**12) * skew.MOST_HOT > 10**12
+
+
+def test_stored_frames_can_be_forgotten(spark):
+    import pathlib
+
+    df = storage.stored(spark.range(10), "test")
+    at = pathlib.Path(df._stored_at.removeprefix("file://"))
+    assert at.exists() and df.count() == 10
+    storage.forget(df, None, spark.range(1))
+    assert not at.exists()
+
+
+def test_a_cluster_needs_a_shared_folder():
+    class Conf:
+        def get(self, key, default):
+            return default
+
+    class Context:
+        master, applicationId = "spark://host:7077", "app"
+
+        def getCheckpointDir(self):
+            return None
+
+    class Session:
+        conf, sparkContext = Conf(), Context()
+
+    with pytest.raises(RuntimeError, match="spark.checkpoint.dir"):
+        storage.shared_dir(Session())
+
+
+def test_streamed_vectors_are_placed_in_a_frozen_ranking(spark):
+    from placelink.streaming.streams import placed
+
+    ranked = spark.createDataFrame([(1.0, 1.0, 1), (0.5, 1.0, 2), (0.5, 0.5, 3), (1.0, 0.2, 2)], "u double, v double, layer int")
+    rows = [(1.0, 1.0), (0.9, 0.9), (0.5, 0.5), (0.4, 0.4), (1.0, 0.1), (0.0, 0.0)]
+    got = {(r.u, r.v): r.layer for r in placed(spark.createDataFrame(rows, "u double, v double"), ranked, ("u", "v")).collect()}
+    assert got == {(1.0, 1.0): 1, (0.9, 0.9): 2, (0.5, 0.5): 3, (0.4, 0.4): 4, (1.0, 0.1): 3, (0.0, 0.0): 4}
+
+
+ORACLE_SAMPLE = ["places", "blocks_m100", "pairs_m100", "coverage_by_radius", "pair_vectors", "vector_layers", "level_curve_sample", "mu_curve", "separation_cut", "weighted_topk", "belief_links", "resnik_pairs", "session_overlap", "link_groups", "stream_places_dedup", "stream_links", "late_arrivals", "window_arrivals_session", "blocks_density", "capacity_leaves", "pairs_density", "baseline_summary_mixed", "cuts_by_protocol", "whole_method", "embedding_layers"]
 
 
 @pytest.mark.parametrize("name", ORACLE_SAMPLE)
