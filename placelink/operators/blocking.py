@@ -141,7 +141,7 @@ def _refine(places: DataFrame, box: Root, level: int, margin: float, max_level:
     leaves = []
     key = ["ix", "iy"]
     while True:
-        split = full(cell, level).select(*key) if level < max_level else None
+        split = stored(full(cell, level).select(*key), "full-cells") if level < max_level else None
         if split is None or split.isEmpty():
             leaves.append(cell)
             break

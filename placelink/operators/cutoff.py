@@ -7,24 +7,24 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Row
+from pyspark.sql import Column, DataFrame, Row
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from placelink.operators.layers import _names, first_levels, layers
 
 
-def _by_layer():
-    """Windows over layers hold as many rows as there are layers, so one partition is enough."""
-    return W.orderBy("layer")
+def _by_layer(*by: str):
+    """Windows over the layers of a curve hold as many rows as there are layers, so one partition is enough for each."""
+    return W.partitionBy(*by).orderBy("layer")
 
 
-def _up_to():
-    return _by_layer().rowsBetween(W.unboundedPreceding, W.currentRow)
+def _up_to(*by: str):
+    return _by_layer(*by).rowsBetween(W.unboundedPreceding, W.currentRow)
 
 
-def _every():
-    return W.partitionBy().rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
+def _every(*by: str):
+    return W.partitionBy(*by).rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
 
 
 #: Vectors that the distances between classes may broadcast (24 bytes each and up).
@@ -163,24 +163,28 @@ def separation_sums(ranked: DataFrame, attrs, metric: str = "euclidean") -> Data
 
 def separation_curve(ranked: DataFrame, attrs, metric: str = "euclidean", normalizer: str = "ranked") -> DataFrame:
     """layer, mu: the distance between the classes, over the number of pairs that the normalizer names."""
-    s = separation_sums(ranked, attrs, metric)
-    n1 = F.sum("pairs").over(_up_to())
-    every = F.sum("pairs").over(_every())
+    return separation_sums(ranked, attrs, metric).select("layer", mean_distance(normalizer).alias("mu"))
+
+
+def mean_distance(normalizer: str, by: tuple[str, ...] = ()) -> Column:
+    """mu from the columns of separation_sums; `by` keeps several curves of one frame apart."""
+    n1 = F.sum("pairs").over(_up_to(*by))
+    every = F.sum("pairs").over(_every(*by))
     over = {"ranked": every, "explored": n1, "cross": n1 * (every - n1), "remaining": every - n1}[normalizer]
-    return s.select("layer", F.coalesce(F.col("total") / F.nullif(over, F.lit(0)), F.lit(0.0)).alias("mu"))
+    return F.coalesce(F.col("total") / F.nullif(over, F.lit(0)), F.lit(0.0))
 
 
-def derivative(curve: DataFrame) -> DataFrame:
+def derivative(curve: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     """layer, mu, dmu: the forward difference (null on the last layer)."""
-    return curve.withColumn("dmu", F.lead("mu").over(_by_layer()) - F.col("mu"))
+    return curve.withColumn("dmu", F.lead("mu").over(_by_layer(*by)) - F.col("mu"))
 
 
-def gauss_smooth(curve: DataFrame, sigma: float = 1.0, window: int = 5, value: str = "dmu", out: str = "dmu_smooth") -> DataFrame:
+def gauss_smooth(curve: DataFrame, sigma: float = 1.0, window: int = 5, value: str = "dmu", out: str = "dmu_smooth", by: tuple[str, ...] = ()) -> DataFrame:
     """A Gaussian over `window` layers around each, renormalised where layers or values are missing."""
     half = window // 2
     top, bottom = F.lit(0.0), F.lit(0.0)
     for d in range(-half, half + 1):
-        v = F.lag(value, -d).over(_by_layer()) if d else F.col(value)
+        v = F.lag(value, -d).over(_by_layer(*by)) if d else F.col(value)
         weight = F.when(v.isNotNull(), math.exp(-d * d / (2 * sigma * sigma))).otherwise(0.0)
         top, bottom = top + weight * F.coalesce(v, F.lit(0.0)), bottom + weight
     return curve.withColumn(out, F.when(F.col(value).isNotNull(), top / F.nullif(bottom, F.lit(0.0))))
@@ -188,16 +192,21 @@ def gauss_smooth(curve: DataFrame, sigma: float = 1.0, window: int = 5, value: s
 
 def separation_layer(smooth: DataFrame, trigger: str = "first_negative") -> DataFrame:
     """One row: the first layer where the trigger sees the classes grow together again; without any, the last layer."""
+    return separation_layers(smooth, (trigger,)).select(F.col(trigger).alias("layer"))
+
+
+def separation_layers(smooth: DataFrame, triggers: tuple[str, ...] = TRIGGERS, by: tuple[str, ...] = ()) -> DataFrame:
+    """One row per curve: `by`, and the layer of every trigger, in a column of its name."""
     d = F.round("dmu_smooth", 9)
-    if trigger == "first_negative":
-        hit = d < 0
-    elif trigger == "first_decrease":
-        hit = d < F.lag(d).over(_by_layer())
-    elif trigger == "negative_after_rise":
-        hit = (d < 0) & (F.max(d).over(_up_to()) > 0)
-    else:
-        raise ValueError(trigger)
-    return smooth.withColumn("hit", hit).agg(F.coalesce(F.min(F.when(F.col("hit"), F.col("layer"))), F.max("layer")).alias("layer"))
+    hits = {
+        "first_negative": d < 0,
+        "first_decrease": d < F.lag(d).over(_by_layer(*by)),
+        "negative_after_rise": (d < 0) & (F.max(d).over(_up_to(*by)) > 0),
+    }
+    if unknown := set(triggers) - set(hits):
+        raise ValueError(", ".join(sorted(unknown)))
+    hit = smooth.withColumns({f"__{t}": hits[t] for t in triggers})
+    return hit.groupBy(*by).agg(*[F.coalesce(F.min(F.when(F.col(f"__{t}"), F.col("layer"))), F.max("layer")).alias(t) for t in triggers])
 
 
 def separation_cut(ranked: DataFrame, attrs, metric: str = "euclidean", normalizer: str = "ranked", trigger: str = "first_negative", sigma: float = 1.0, window: int = 5) -> DataFrame:

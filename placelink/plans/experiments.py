@@ -487,18 +487,20 @@ def cut_gap(s, d):
 
 
 def separation_grid(s, d):
-    """Every normalizer, trigger and width beside the label-tuned best, in one table."""
-    out = []
-    for m in (30, 100):
-        r = ranked(s, d, m)
-        lv = stored(cutoff.level_curve(r).select("layer", "f1"), "levels")
-        for n in cutoff.NORMALIZERS:
-            curve = stored(cutoff.derivative(cutoff.separation_curve(r, ATTRS, normalizer=n)), "curve")
-            for t in TRIGGERS:
-                for sigma in (1.0, 3.0, 6.0):
-                    k = cutoff.separation_layer(cutoff.gauss_smooth(curve, sigma, 2 * int(2 * sigma) + 1), t)
-                    out.append(k.join(F.broadcast(lv), "layer").select(F.lit(m).alias("m"), F.lit(n).alias("normalizer"), F.lit(t).alias("trigger"), F.lit(sigma).alias("sigma"), "layer", F.round("f1", 6).alias("f1")))
-    return _union(out)
+    """Every normalizer, trigger and width beside the label-tuned best, in one table.
+
+    The distances are summed once for each m; all curves are smoothed and cut in one frame, apart by m and normalizer.
+    """
+    found = {m: ranked(s, d, m) for m in (30, 100)}
+    of = lambda frames: _union([x.withColumn("m", F.lit(m)) for m, x in frames.items()])
+    lv = stored(of({m: cutoff.level_curve(r).select("layer", "f1") for m, r in found.items()}), "levels")
+    sums = of({m: cutoff.separation_sums(r, ATTRS) for m, r in found.items()})
+    mus = sums.select("m", "layer", *[cutoff.mean_distance(n, ("m",)).alias(n) for n in cutoff.NORMALIZERS])
+    by = ("m", "normalizer")
+    curve = stored(cutoff.derivative(mus.unpivot(["m", "layer"], list(cutoff.NORMALIZERS), "normalizer", "mu"), by), "curve")
+    cuts = [cutoff.separation_layers(cutoff.gauss_smooth(curve, x, 2 * int(2 * x) + 1, by=by), TRIGGERS, by).withColumn("sigma", F.lit(x)) for x in (1.0, 3.0, 6.0)]
+    rows = _union(cuts).unpivot([*by, "sigma"], list(TRIGGERS), "trigger", "layer")
+    return rows.join(F.broadcast(lv), ["m", "layer"]).select("m", "normalizer", "trigger", "sigma", "layer", F.round("f1", 6).alias("f1"))  # a row per layer
 
 
 # --- classes ------------------------------------------------------------------------------------------------------
