@@ -12,6 +12,8 @@ from __future__ import annotations
 import math
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -107,7 +109,7 @@ def overlap_blocks(
 
     m: longest diagonal (None: density alone). density: most places per 1000 square metres of a cell's own box, counted
     over all assigned places or over those physically inside. low_ix and low_iy are null where leaves differ in level.
-    mode "half_plane" is the unbounded reading of the overlap, for small data.
+    mode "half_plane" is the unbounded reading of the overlap: with a tree of ten levels, some forty rows per place.
     """
     box = root_box(places, root)
     if mode == "half_plane":
@@ -156,19 +158,34 @@ def _refine(places: DataFrame, box: Root, level: int, margin: float, max_level:
     return out.withColumns({"low_ix": F.lit(None).cast("bigint"), "low_iy": F.lit(None).cast("bigint")}) if len(leaves) > 1 else out
 
 
-def _half_plane(places: DataFrame, box: Root, m: float, max_level: int, most_rows: int = 20_000_000) -> DataFrame:
-    """A place goes to every child on whose side of the lines at a quarter and three quarters of the node it lies."""
-    out = places.withColumns({"ix": F.lit(0).cast("bigint"), "iy": F.lit(0).cast("bigint")})
-    for level in range(1, box.level(m, "diagonal", max_level) + 1):
-        w, h = box.sides(level)  # of the children
-        px, py = box.x0 + F.col("ix") * 2 * w, box.y0 + F.col("iy") * 2 * h
-        sides = lambda v, p, s, i: F.filter(F.array(F.when(v <= p + 1.5 * s, 2 * i), F.when(v >= p + 0.5 * s, 2 * i + 1)), lambda x: x.isNotNull())
-        out = out.withColumns({"nx": F.explode(sides(F.col("x_m"), px, w, F.col("ix"))), "py": py})
-        out = out.withColumn("iy", F.explode(sides(F.col("y_m"), F.col("py"), h, F.col("iy")))).withColumn("ix", F.col("nx")).drop("nx", "py")
-        out = stored(out, "half-plane")
-        if out.count() > most_rows:
-            raise ValueError("the unbounded overlap makes too many rows; use mode='bounded'")
+def _half_plane(places: DataFrame, box: Root, m: float, max_level: int) -> DataFrame:
+    """A place goes to every child on whose side of the lines at a quarter and three quarters of the node it lies.
+
+    Both axes decide alone, so a place's cells are all combinations of its columns and rows, which follow from its own
+    coordinates in one pass; there are about half as many of each as the tree has levels.
+    """
     level = box.level(m, "diagonal", max_level)
+
+    @F.arrow_udf("array<bigint>")
+    def held(v: pa.Array, low: pa.Array, size: pa.Array) -> pa.Array:
+        """The indices of the last level that hold each value, ascending."""
+        x, side = v.to_numpy(zero_copy_only=False), size[0].as_py() if len(size) else 0.0
+        row = np.flatnonzero(v.is_valid().to_numpy(zero_copy_only=False))
+        i, x0 = np.zeros(len(row), np.int64), low[0].as_py() if len(low) else 0.0
+        for _ in range(level):
+            side = side / 2  # of the children
+            p = x0 + i * 2 * side
+            left, right = x[row] <= p + 1.5 * side, ~(x[row] < p + 0.5 * side)
+            row, i = np.repeat(row, 2), np.stack([2 * i, 2 * i + 1], axis=1).ravel()
+            kept = np.stack([left, right], axis=1).ravel()
+            row, i = row[kept], i[kept]
+        ends = np.r_[0, np.cumsum(np.bincount(row, minlength=len(x)))].astype(np.int32)
+        return pa.ListArray.from_arrays(pa.array(ends), pa.array(i))
+
+    w, h = box.sides(0)
+    axis = lambda c, low, size: held(F.col(c).cast("double"), F.lit(low), F.lit(size)) if level else F.array(F.lit(0).cast("bigint"))
     hx, hy = home_cell(box, level)
     none = F.lit(None).cast("bigint")
+    out = places.withColumns({"__xs": axis("x_m", box.x0, w), "__ys": axis("y_m", box.y0, h)})
+    out = out.withColumn("ix", F.explode("__xs")).withColumn("iy", F.explode("__ys")).drop("__xs", "__ys")
     return out.withColumns({"level": F.lit(level), "is_home": (F.col("ix") == hx) & (F.col("iy") == hy), "low_ix": none, "low_iy": none})

@@ -14,7 +14,7 @@ from placelink.functions import sql as sql_functions
 from placelink.functions.geo import haversine_m
 from placelink.functions.similarity import address_sim, clean_phone, clean_website, intervals_sim, semantic_sim, text_sim
 from placelink.operators import baselines, cutoff, learning, pairs as pair_operators, skew, storage
-from placelink.operators.blocking import Root, capacity_quadtree, expected_depth, overlap_blocks, quadtree_blocks
+from placelink.operators.blocking import Root, capacity_quadtree, expected_depth, overlap_blocks, quadtree_blocks, root_box
 from placelink.operators.components import components
 from placelink.operators import layers as layer_operators
 from placelink.operators.layers import Attribute, collapse, fronts, layer_numbers, layers, layers_peel, layers_sql, lattice_prefilter
@@ -560,3 +560,24 @@ def test_oracle(spark, name):
 def test_entry_and_catalogue(spark):
     assert len(__spark_entry__.entry(spark).columns) > 0
     assert set(catalog.ORACLES) <= set(catalog.QUERIES)
+
+
+def test_half_plane_has_no_limit_on_rows(spark):
+    def held(v, low, side, levels):
+        found = [0]
+        for _ in range(levels):
+            side /= 2
+            found = [c for i in found for c, ok in ((2 * i, v <= low + 2 * i * side + 1.5 * side), (2 * i + 1, v >= low + 2 * i * side + 0.5 * side)) if ok]
+        return found
+
+    x = lambda k: k * 7919 % 4093
+    y = lambda k: k * 104729 % 3001
+    few = spark.createDataFrame([(k, x(k), y(k)) for k in range(40)] + [(40, None, 3), (41, 4092, 3000)], "eid long, x_m long, y_m long")
+    box = root_box(few)
+    levels = box.level(30)
+    got = sorted((r.eid, r.ix, r.iy) for r in overlap_blocks(few, 30, mode="half_plane").collect())
+    points = [(k, x(k), y(k)) for k in range(40)] + [(41, 4092, 3000)]
+    assert got == sorted((k, i, j) for k, a, b in points for i in held(a, box.x0, box.x1 - box.x0, levels) for j in held(b, box.y0, box.y1 - box.y0, levels))
+    many = spark.range(200_000).select(F.col("id").alias("eid"), (F.col("id") * 7919 % 4093).alias("x_m"), (F.col("id") * 104729 % 3001).alias("y_m"))
+    sizes = overlap_blocks(many, 0.0001, mode="half_plane").agg(F.count("*").alias("n"), F.countDistinct("eid").alias("places")).first()
+    assert sizes.n > 20_000_000 and sizes.places == 200_000
