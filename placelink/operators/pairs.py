@@ -2,18 +2,24 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from placelink.functions.geo import euclid_m
+from placelink.operators.storage import stored
 
 SCOPES = ("all", "within", "cross")
 #: Places of a cell that meet in one task; fuller cells are dealt into parts, and every two parts meet in a task of their own.
 MOST_IN_CELL = 2_000
 #: Fuller cells that are known by broadcast (20 MB); beyond, their numbers of parts are joined by cell.
 MOST_HOT_CELLS = 500_000
+#: Places of a chunk of the baseline without an index, and how many of them are compared with another chunk at once.
+CHUNK, STRIP = 2_048, 32
 
 
 def _sides(df: DataFrame, columns: list[str]) -> tuple[DataFrame, DataFrame]:
@@ -127,13 +133,76 @@ def radius_pairs(places: DataFrame, r: float, strategy: str = "grid") -> DataFra
     return rows.groupBy("strip", "tall").applyInArrow(sweep, "eid_a string, eid_b string, dist_m double")
 
 
+def _chunks(places: DataFrame) -> DataFrame:
+    """Rows of CHUNK places each: a number, ids and coordinates. Places without an id or a coordinate are in no pair."""
+    rows = places.select("eid", F.col("x_m").cast("double").alias("x"), F.col("y_m").cast("double").alias("y")).where("eid is not null and x is not null and y is not null")
+    eid = rows.schema["eid"].dataType.simpleString()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyspark import TaskContext
+
+        held, n, number = [], 0, TaskContext.get().partitionId() << 32
+
+        def rows_of(t: pa.Table, number: int) -> pa.RecordBatch:
+            lists = [pa.ListArray.from_arrays(pa.array([0, t.num_rows], pa.int32()), t.column(c).combine_chunks()) for c in ("eid", "x", "y")]
+            return pa.RecordBatch.from_arrays([pa.array([number], pa.int64()), *lists], names=["chunk", "eid", "x", "y"])
+
+        for batch in batches:
+            held, n = [*held, batch], n + batch.num_rows
+            while n >= CHUNK:
+                t = pa.Table.from_batches(held)
+                yield rows_of(t.slice(0, CHUNK), number)
+                held, n, number = t.slice(CHUNK).to_batches(), n - CHUNK, number + 1
+        if n:
+            yield rows_of(pa.Table.from_batches(held), number)
+
+    return rows.mapInArrow(run, f"chunk bigint, eid array<{eid}>, x array<double>, y array<double>")
+
+
 def all_pairs(places: DataFrame, r: float, most: int = 200_000, force: bool = False) -> DataFrame:
-    """The baseline without an index: compares all places; refuses more than `most` unless forced."""
+    """The baseline without an index: compares all places; refuses more than `most` unless forced.
+
+    Every chunk of CHUNK places meets every other one and itself, and all their places are compared in arrays; nothing is
+    skipped by where it lies. The chunks are stored, so that both sides of the join see the same ones.
+    """
     if not force and places.count() > most:
         raise ValueError(f"more than {most} places; pass force=True to compare them all")
-    a, b = _sides(places.select("eid", "x_m", "y_m"), ["eid", "x_m", "y_m"])
-    d = euclid_m(F.col("x_m_a"), F.col("y_m_a"), F.col("x_m_b"), F.col("y_m_b"))
-    return a.join(b, (a["eid_a"] < b["eid_b"]) & (d <= r)).select("eid_a", "eid_b", d.alias("dist_m"))
+    chunks = stored(_chunks(places), "chunks")
+    a, b = _sides(chunks, chunks.columns)
+    eid = places.schema["eid"].dataType.simpleString()
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        space = np.empty((2, STRIP, CHUNK))
+        for batch in batches:
+            columns = {c: batch.column(c) for c in batch.schema.names}
+            for k in range(batch.num_rows):
+                one = {c: v[k].as_py() if c.startswith("chunk") else v[k].values for c, v in columns.items()}
+                xa, ya, xb, yb = (one[c].to_numpy() for c in ("x_a", "y_a", "x_b", "y_b"))
+                same = one["chunk_a"] == one["chunk_b"]
+                first, second, apart = [], [], []
+                for at in range(0, len(xa), STRIP):
+                    d, e = space[:, : len(xa[at : at + STRIP]), : len(xb)]
+                    np.subtract(xa[at : at + STRIP, None], xb, out=d)
+                    np.subtract(ya[at : at + STRIP, None], yb, out=e)
+                    np.multiply(d, d, out=d)
+                    np.multiply(e, e, out=e)
+                    np.add(d, e, out=d)
+                    flat = np.flatnonzero(d <= reach)
+                    i, j = np.divmod(flat, len(xb))
+                    apart.append(np.sqrt(d[i, j]))
+                    first.append(i + at)
+                    second.append(j)
+                i, j, d = (np.concatenate(x) for x in (first, second, apart))
+                near = (d <= r) & ((i < j) if same else True)
+                p, q, d = one["eid_a"].take(pa.array(i[near])), one["eid_b"].take(pa.array(j[near])), pa.array(d[near])
+                less, more = pc.less(p, q), pc.greater(p, q)
+                for x, y, kept in ((p, q, less), (q, p, more)):
+                    if pc.any(kept).as_py():
+                        yield pa.RecordBatch.from_arrays([x.filter(kept), y.filter(kept), d.filter(kept)], names=["eid_a", "eid_b", "dist_m"])
+
+    reach = r * r * (1 + 1e-9)
+    tiles = a.repartition(max(1, chunks.count()), "chunk_a").join(b, F.col("chunk_a") <= F.col("chunk_b"))
+    return tiles.mapInArrow(compare, f"eid_a {eid}, eid_b {eid}, dist_m double")
 
 
 def coverage(found: DataFrame, reference: DataFrame, radii: tuple[float, ...]) -> DataFrame:

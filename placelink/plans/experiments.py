@@ -182,7 +182,7 @@ def radius_pairs_100(s, d, strategy="grid"):
 
 
 def no_index_pairs(s, d):
-    return all_pairs(_xy(s, d), 100).withColumn("dist_m", F.round("dist_m", 6))
+    return all_pairs(_xy(s, d), 100, force=True).withColumn("dist_m", F.round("dist_m", 6))
 
 
 def points_comparisons(s, d):

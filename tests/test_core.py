@@ -22,6 +22,7 @@ from placelink.operators.metrics import confusion, prf
 from placelink.operators.pairs import all_pairs, candidate_pairs, comparison_count, radius_pairs
 from placelink.operators.running import running_before
 from placelink.operators.taxonomies import wup_table
+from placelink.plans import experiments
 from placelink.plans.link import Blocking, link
 from placelink.sources import fixtures
 from placelink.streaming.streams import arrivals
@@ -581,3 +582,19 @@ def test_half_plane_has_no_limit_on_rows(spark):
     many = spark.range(200_000).select(F.col("id").alias("eid"), (F.col("id") * 7919 % 4093).alias("x_m"), (F.col("id") * 104729 % 3001).alias("y_m"))
     sizes = overlap_blocks(many, 0.0001, mode="half_plane").agg(F.count("*").alias("n"), F.countDistinct("eid").alias("places")).first()
     assert sizes.n > 20_000_000 and sizes.places == 200_000
+
+
+def test_no_index_compares_any_number_of_places(spark, monkeypatch):
+    rows = lambda df: df.agg(F.count("*"), F.sum(F.xxhash64("eid_a", "eid_b", F.round("dist_m", 6)).cast("decimal(38,0)"))).first()
+    k = F.col("id")
+    many = spark.range(200_500).select(k.cast("string").alias("eid"), F.pmod(F.xxhash64(k), F.lit(180_000)).alias("x_m"), F.pmod(F.xxhash64(k, k), F.lit(180_000)).alias("y_m"))
+    monkeypatch.setattr(experiments, "_xy", lambda s, d: many)
+    got = rows(experiments.no_index_pairs(spark, SF))
+    assert tuple(got) == tuple(rows(radius_pairs(many, 100, "grid"))) and got[0] > 1_000
+    # ids of another type, repeated and missing ones, several chunks in a task
+    monkeypatch.setattr(pair_operators, "CHUNK", 7)
+    odd = spark.createDataFrame([(i % 60, float(i * 37 % 101), float(i * 53 % 97)) for i in range(90)] + [(None, 1.0, 1.0), (90, None, 1.0), (91, float("nan"), 1.0)], "eid long, x_m double, y_m double").coalesce(2)
+    a, b = odd.toDF("eid_a", "xa", "ya"), odd.toDF("eid_b", "xb", "yb")
+    d = F.sqrt((F.col("xa") - F.col("xb")) * (F.col("xa") - F.col("xb")) + (F.col("ya") - F.col("yb")) * (F.col("ya") - F.col("yb")))
+    want = sorted(map(tuple, a.join(b, F.col("eid_a") < F.col("eid_b")).where(d <= 20).select("eid_a", "eid_b", d).collect()))
+    assert sorted(map(tuple, all_pairs(odd, 20).collect())) == want
