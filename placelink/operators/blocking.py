@@ -158,6 +158,46 @@ def _refine(places: DataFrame, box: Root, level: int, margin: float, max_level:
     return out.withColumns({"low_ix": F.lit(None).cast("bigint"), "low_iy": F.lit(None).cast("bigint")}) if len(leaves) > 1 else out
 
 
+def density_blocks(places: DataFrame, m: float, densities: tuple[float, ...], margin: float = 0.25, max_level: int = 24, root: str | Root = "bbox") -> DataFrame:
+    """The trees of several density limits (ascending) in one: blocks of the last and loosest one, and `codes`.
+
+    Boxes nest, so what a cell holds does not depend on the limit, and every stricter tree splits the leaves of a looser
+    one. A cell is a leaf for the limits from the first it respects to the last that none of its ancestors respects.
+    codes: all cells in which a place is in a leaf of some tree; two places share a leaf from the limit first_shared on.
+    """
+    box = root_box(places, root)
+    level, key, leaves = box.level(m, "diagonal", max_level), ["ix", "iy"], []
+    cell = assign_cells(places.select("eid", "x_m", "y_m"), box, level, margin).select("eid", "x_m", "y_m", *key, F.lit(len(densities) - 1).alias("last"))
+    while True:
+        w, h = box.sides(level)
+        full = [(F.col("n") > d * w * h / 1000).cast("int") for d in densities] if level < max_level else []
+        counts = cell.groupBy(*key).agg(F.count("*").alias("n")).select(*key, sum(full, F.lit(0)).alias("first"))
+        cell = stored(cell.join(counts, key), "blocks")
+        leaves.append(cell.where("first <= last").withColumn("level", F.lit(level)))
+        inside = cell.where("first > 0")
+        if level >= max_level or inside.isEmpty():
+            break
+        level += 1
+        inside = inside.select("eid", "x_m", "y_m", F.col("ix").alias("px"), F.col("iy").alias("py"), F.least("last", F.col("first") - 1).alias("last"))
+        finer = assign_cells(inside, box, level, margin).where((F.floor(F.col("ix") / 2) == F.col("px")) & (F.floor(F.col("iy") / 2) == F.col("py")))
+        cell = finer.select("eid", "x_m", "y_m", *key, "last")
+    out = leaves[0]
+    for more in leaves[1:]:
+        out = out.unionByName(more)
+    # the first limit above, then level and indices: 24 levels have 2**24 cells a side
+    code = F.shiftleft(F.col("first").cast("bigint"), 55) + F.shiftleft(F.col("level").cast("bigint"), 50) + F.shiftleft("ix", 25) + F.col("iy")
+    loosest = F.when(F.col("last") == len(densities) - 1, F.struct("level", "ix", "iy"))
+    own = out.groupBy("eid", "x_m", "y_m").agg(F.collect_set(code).alias("codes"), F.collect_set(loosest).alias("__leaves"))
+    blocks = places.join(own, ["eid", "x_m", "y_m"]).withColumn("__leaf", F.explode("__leaves")).select("*", "__leaf.*").drop("__leaf", "__leaves")
+    none = F.lit(None).cast("bigint")
+    return blocks.withColumns({"low_ix": none, "low_iy": none})
+
+
+def first_shared(a: Column, b: Column) -> Column:
+    """The number of the first limit of density_blocks under which two places share a leaf, from their codes."""
+    return F.shiftright(F.array_min(F.array_intersect(a, b)), 55).cast("int")
+
+
 def _half_plane(places: DataFrame, box: Root, m: float, max_level: int) -> DataFrame:
     """A place goes to every child on whose side of the lines at a quarter and three quarters of the node it lies.
 

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from placelink.functions.geo import project, within_box, within_radius
 from placelink.functions.similarity import clean_phone, clean_website, interval_sim
 from placelink.operators import baselines, cutoff, learning, metrics
-from placelink.operators.blocking import capacity_quadtree, home_cell, overlap_blocks, quadtree_blocks, root_box
+from placelink.operators.blocking import capacity_quadtree, density_blocks, first_shared, home_cell, overlap_blocks, quadtree_blocks, root_box
 from placelink.operators.components import components
 from placelink.operators.layers import collapse, layers, rank_by_sum
 from placelink.operators.pairs import all_pairs, candidate_pairs, comparison_count, coverage, radius_pairs
@@ -393,9 +393,13 @@ def sweep_by_m(s, d):
 
 
 def sweep_by_density(s, d):
+    """Trees of stricter limits split those of looser ones, so pairs are made and compared once, for the loosest limit."""
+    blocks = density_blocks(with_paths(places(s, d), fixtures.taxonomy(s, d)), 100, tuple(x * DENSITY_SCALE for x in DENSITIES), max_level=MAX_LEVEL)
+    pairs = candidate_pairs(stored(blocks, "blocks"), carry=(*CARRIED, "codes")).withColumn("first", first_shared(F.col("codes_a"), F.col("codes_b")))
+    every = stored(collapse(compare(pairs), (*ATTRS, "first"), "label"), "vectors")
     out = []
-    for x in DENSITIES:
-        v = stored(collapse(compared(s, d, 100, x * DENSITY_SCALE), ATTRS, "label"), "vectors")
+    for i, x in enumerate(DENSITIES):
+        v = every.where(F.col("first") <= i).groupBy(*ATTRS).agg(F.sum("pairs").alias("pairs"), F.sum("positives").alias("positives"))
         n = v.agg(F.sum("pairs").alias("pairs"), F.sum("positives").alias("positives"))
         out.append(cutoff.sweep_cut(cutoff.level_curve(layers(v, ATTRS))).join(F.broadcast(n)).withColumn("density", F.lit(x)))
     return _union(out)

@@ -14,7 +14,7 @@ from placelink.functions import sql as sql_functions
 from placelink.functions.geo import haversine_m
 from placelink.functions.similarity import address_sim, clean_phone, clean_website, intervals_sim, semantic_sim, text_sim
 from placelink.operators import baselines, cutoff, learning, pairs as pair_operators, skew, storage
-from placelink.operators.blocking import Root, capacity_quadtree, expected_depth, overlap_blocks, quadtree_blocks, root_box
+from placelink.operators.blocking import Root, capacity_quadtree, density_blocks, expected_depth, first_shared, overlap_blocks, quadtree_blocks, root_box
 from placelink.operators.components import components
 from placelink.operators import layers as layer_operators
 from placelink.operators.layers import Attribute, collapse, fronts, layer_numbers, layers, layers_peel, layers_sql, lattice_prefilter
@@ -598,3 +598,19 @@ def test_no_index_compares_any_number_of_places(spark, monkeypatch):
     d = F.sqrt((F.col("xa") - F.col("xb")) * (F.col("xa") - F.col("xb")) + (F.col("ya") - F.col("yb")) * (F.col("ya") - F.col("yb")))
     want = sorted(map(tuple, a.join(b, F.col("eid_a") < F.col("eid_b")).where(d <= 20).select("eid_a", "eid_b", d).collect()))
     assert sorted(map(tuple, all_pairs(odd, 20).collect())) == want
+
+
+def test_trees_of_all_density_limits_in_one(spark, monkeypatch):
+    p = fixtures.places(spark, SF).select("eid", "x_m", "y_m")
+    limits = (0.5, 3.0, 10.0)
+    blocks = density_blocks(p, 100, limits, max_level=12)
+    got = candidate_pairs(blocks, carry=("codes",)).select("eid_a", "eid_b", first_shared(F.col("codes_a"), F.col("codes_b")).alias("first")).collect()
+    for i, limit in enumerate(limits):
+        want = sorted((r.eid_a, r.eid_b) for r in candidate_pairs(overlap_blocks(p, 100, density=limit, max_level=12)).select("eid_a", "eid_b").collect())
+        agree = sorted((r.eid_a, r.eid_b) for r in got if r.first <= i) == want
+        assert agree and want
+    assert {r.first for r in got} == {0, 1, 2}
+    calls = []
+    monkeypatch.setattr(experiments, "candidate_pairs", lambda *a, **k: calls.append(1) or candidate_pairs(*a, **k))
+    experiments.sweep_by_density(spark, SF)
+    assert len(calls) == 1  # pairs are made and compared once, not once per limit
