@@ -202,7 +202,7 @@ def _half_plane(places: DataFrame, box: Root, m: float, max_level: int) -> DataF
     """A place goes to every child on whose side of the lines at a quarter and three quarters of the node it lies.
 
     Both axes decide alone, so a place's cells are all combinations of its columns and rows, which follow from its own
-    coordinates in one pass; there are about half as many of each as the tree has levels.
+    coordinates in one pass; of each there are little more than half as many as the tree has levels.
     """
     level = box.level(m, "diagonal", max_level)
 
