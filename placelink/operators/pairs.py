@@ -19,7 +19,9 @@ MOST_IN_CELL = 2_000
 #: Fuller cells that are known by broadcast (20 MB); beyond, their numbers of parts are joined by cell.
 MOST_HOT_CELLS = 500_000
 #: Places of a chunk of the baseline without an index, and how many of them are compared with another chunk at once.
-CHUNK, STRIP = 2_048, 32
+CHUNK, STRIP = 16_384, 32
+#: Chunks of a side that a task of that baseline holds, and pairs whose distances are formed at once.
+CHUNKS_OF_TASK, AT_ONCE = 8, 65_536
 
 
 def _sides(df: DataFrame, columns: list[str]) -> tuple[DataFrame, DataFrame]:
@@ -159,49 +161,79 @@ def _chunks(places: DataFrame) -> DataFrame:
     return rows.mapInArrow(run, f"chunk bigint, eid array<{eid}>, x array<double>, y array<double>")
 
 
+def _rounded(v: np.ndarray, side: float) -> np.ndarray:
+    """Multiples of side below v, modulo 256."""
+    with np.errstate(all="ignore"):
+        n = np.floor(v / side)
+    return (np.where(np.isfinite(n), n, 0).astype(np.int64) & 255).astype(np.uint8)
+
+
+def near_pairs(xa: np.ndarray, ya: np.ndarray, xb: np.ndarray, yb: np.ndarray, r: float) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Every place of a against every place of b: positions and distances of those at most r apart, some at a time.
+
+    Both coordinates of every pair are first subtracted in bytes, as multiples of a little more than r modulo 256: places
+    at most r apart differ by one multiple at most. The distances of all pairs that this leaves are formed in doubles.
+    """
+    most = max(float(np.abs(v[np.isfinite(v)]).max(initial=0)) for v in (xa, ya, xb, yb))
+    side = max(1.01 * r, most * 2.0**-40) or 1.0  # quotients up to 2 ** 40 are rounded by far less than the hundredth
+    ca, da, cb, db = (_rounded(v, side) for v in (xa, ya, xb, yb))
+    ca, da = (ca - np.uint8(1))[:, None], (da - np.uint8(1))[:, None]  # so that -1, 0, 1 become 0, 1, 2
+    space, least = np.empty((2, STRIP, len(xb)), np.uint8), np.empty(len(xb), np.uint8)
+    first, second, n = [], [], 0
+    for at in range(0, len(xa), STRIP):
+        c, d = ca[at : at + STRIP], da[at : at + STRIP]
+        p, q = space[:, : len(c)]
+        np.subtract(cb, c, out=p)
+        np.subtract(db, d, out=q)
+        np.bitwise_or(p, q, out=p)
+        columns = np.flatnonzero(np.minimum.reduce(p, axis=0, out=least) < 4)
+        if len(columns):
+            i, j = np.divmod(np.flatnonzero(np.take(p, columns, axis=1) < 4), len(columns))
+            first.append(i + at)
+            second.append(columns[j])
+            n += len(i)
+        if n >= AT_ONCE or (n and at + STRIP >= len(xa)):
+            i, j = np.concatenate(first), np.concatenate(second)
+            with np.errstate(all="ignore"):
+                dx, dy = xa[i] - xb[j], ya[i] - yb[j]
+                apart = np.sqrt(dx * dx + dy * dy)
+            near = apart <= r
+            yield i[near], j[near], apart[near]
+            first, second, n = [], [], 0
+
+
 def all_pairs(places: DataFrame, r: float, most: int = 200_000, force: bool = False) -> DataFrame:
     """The baseline without an index: compares all places; refuses more than `most` unless forced.
 
     Every chunk of CHUNK places meets every other one and itself, and all their places are compared in arrays; nothing is
-    skipped by where it lies. The chunks are stored, so that both sides of the join see the same ones.
+    skipped by where it lies. The chunks are stored, so that both sides of the join see the same ones; both sides are dealt
+    into parts of a few chunks, and every two parts meet in a task of their own.
     """
     if not force and places.count() > most:
         raise ValueError(f"more than {most} places; pass force=True to compare them all")
     chunks = stored(_chunks(places), "chunks")
-    a, b = _sides(chunks, chunks.columns)
+    n = chunks.count()
+    parts = max(1, min(n, CHUNKS_OF_TASK), -(-n // CHUNKS_OF_TASK))
+    a, b = (side.repartition(parts) for side in _sides(chunks, chunks.columns))
     eid = places.schema["eid"].dataType.simpleString()
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        space = np.empty((2, STRIP, CHUNK))
         for batch in batches:
             columns = {c: batch.column(c) for c in batch.schema.names}
             for k in range(batch.num_rows):
                 one = {c: v[k].as_py() if c.startswith("chunk") else v[k].values for c, v in columns.items()}
-                xa, ya, xb, yb = (one[c].to_numpy() for c in ("x_a", "y_a", "x_b", "y_b"))
                 same = one["chunk_a"] == one["chunk_b"]
-                first, second, apart = [], [], []
-                for at in range(0, len(xa), STRIP):
-                    d, e = space[:, : len(xa[at : at + STRIP]), : len(xb)]
-                    np.subtract(xa[at : at + STRIP, None], xb, out=d)
-                    np.subtract(ya[at : at + STRIP, None], yb, out=e)
-                    np.multiply(d, d, out=d)
-                    np.multiply(e, e, out=e)
-                    np.add(d, e, out=d)
-                    flat = np.flatnonzero(d <= reach)
-                    i, j = np.divmod(flat, len(xb))
-                    apart.append(np.sqrt(d[i, j]))
-                    first.append(i + at)
-                    second.append(j)
-                i, j, d = (np.concatenate(x) for x in (first, second, apart))
-                near = (d <= r) & ((i < j) if same else True)
-                p, q, d = one["eid_a"].take(pa.array(i[near])), one["eid_b"].take(pa.array(j[near])), pa.array(d[near])
-                less, more = pc.less(p, q), pc.greater(p, q)
-                for x, y, kept in ((p, q, less), (q, p, more)):
-                    if pc.any(kept).as_py():
-                        yield pa.RecordBatch.from_arrays([x.filter(kept), y.filter(kept), d.filter(kept)], names=["eid_a", "eid_b", "dist_m"])
-
-    reach = r * r * (1 + 1e-9)
-    tiles = a.repartition(max(1, chunks.count()), "chunk_a").join(b, F.col("chunk_a") <= F.col("chunk_b"))
+                for i, j, d in near_pairs(*(one[c].to_numpy() for c in ("x_a", "y_a", "x_b", "y_b")), r):
+                    if same:
+                        once = i < j
+                        i, j, d = i[once], j[once], d[once]
+                    p, q, d = one["eid_a"].take(pa.array(i)), one["eid_b"].take(pa.array(j)), pa.array(d)
+                    less, more = pc.less(p, q), pc.greater(p, q)
+                    for x, y, kept in ((p, q, less), (q, p, more)):
+                        if pc.any(kept).as_py():
+                            yield pa.RecordBatch.from_arrays([x.filter(kept), y.filter(kept), d.filter(kept)], names=["eid_a", "eid_b", "dist_m"])
+
+    tiles = a.join(b.hint("shuffle_replicate_nl"), F.col("chunk_a") <= F.col("chunk_b"))
     return tiles.mapInArrow(compare, f"eid_a {eid}, eid_b {eid}, dist_m double")
 
 

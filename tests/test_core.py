@@ -2,6 +2,7 @@
 
 import math
 import random
+import time
 
 import duckdb
 import numpy as np
@@ -614,3 +615,44 @@ def test_trees_of_all_density_limits_in_one(spark, monkeypatch):
     monkeypatch.setattr(experiments, "candidate_pairs", lambda *a, **k: calls.append(1) or candidate_pairs(*a, **k))
     experiments.sweep_by_density(spark, SF)
     assert len(calls) == 1  # pairs are made and compared once, not once per limit
+
+
+def test_no_index_compares_in_bytes_and_forms_the_distances_that_may_count():
+    rng = np.random.default_rng(3)
+    plain = lambda x, y, u, v: np.sqrt((x[:, None] - u) * (x[:, None] - u) + (y[:, None] - v) * (y[:, None] - v))
+    odd = [0.0, -0.0, math.nan, math.inf, -math.inf, 1e300, -1e300, 2.0**53, 2.0**53 + 2, 99.99999999999999, 100.0, -100.0]
+    for r in (0.0, 0.1, 1.0, 100.0, 1e9, -1.0, math.inf):
+        step = r if 0 < r < math.inf else 1.0
+        for spread in (1, 3, 256, 257, 1e5, 1e12, 1e16):
+            x, y, u, v = (np.round(rng.random(n) * spread * 4 - spread * 2) / 4 * step for n in (70, 70, 90, 90))
+            x[:30], y[:30] = u[:30] + step * rng.choice([-1, -0.8, 0, 0.6, 1, 1.0000001], 30), v[:30] + step * rng.choice([-1, -0.6, 0, 0.8], 30)
+            for more in ((), odd):
+                a, b, c, d = (np.concatenate([w, rng.permutation(more)]) for w in (x, y, u, v))
+                with np.errstate(all="ignore"):
+                    apart = plain(a, b, c, d)
+                got = {(i, j): s for p in pair_operators.near_pairs(a, b, c, d, r) for i, j, s in zip(*(w.tolist() for w in p))}
+                assert got == {(i, j): apart[i, j] for i, j in np.argwhere(apart <= r).tolist()}
+    # a chunk against another: many times faster than doubles for every pair, and as complete
+    x, y, u, v = (np.floor(rng.random(16_384) * 57_600) for _ in range(4))
+    ways = {
+        "bytes": lambda: sum(len(i) for i, _, _ in pair_operators.near_pairs(x, y, u, v, 100)),
+        "doubles": lambda: sum(np.count_nonzero(plain(x[k : k + 32], y[k : k + 32], u, v) <= 100) for k in range(0, len(x), 32)),
+    }
+    times, found = {name: [] for name in ways}, {}
+    for name, way in 2 * list(ways.items()):
+        began = time.perf_counter()
+        found[name] = way()
+        times[name].append(time.perf_counter() - began)
+    assert found["bytes"] == found["doubles"] > 1_000
+    assert 4 * min(times["bytes"]) < min(times["doubles"])
+
+
+def test_no_index_deals_out_both_sides(spark, monkeypatch):
+    monkeypatch.setattr(pair_operators, "CHUNK", 50)
+    monkeypatch.setattr(pair_operators, "CHUNKS_OF_TASK", 4)
+    k = F.col("id")
+    some = spark.range(1_000).select(k.alias("eid"), (k * 37 % 101).alias("x_m"), (k * 53 % 997).alias("y_m")).coalesce(1)
+    pairs = all_pairs(some, 5)
+    assert pairs.rdd.getNumPartitions() == 25  # 20 chunks, 4 in a part, every part with every part
+    got = sorted(map(tuple, pairs.collect()))
+    assert got == sorted(map(tuple, radius_pairs(some, 5).collect())) and len(got) > 100
