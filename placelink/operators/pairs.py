@@ -18,10 +18,10 @@ SCOPES = ("all", "within", "cross")
 MOST_IN_CELL = 2_000
 #: Fuller cells that are known by broadcast (20 MB); beyond, their numbers of parts are joined by cell.
 MOST_HOT_CELLS = 500_000
-#: Places of a chunk of the baseline without an index, and how many of them are compared with another chunk at once.
-CHUNK, STRIP = 16_384, 32
-#: Chunks of a side that a task of that baseline holds, and pairs whose distances are formed at once.
-CHUNKS_OF_TASK, AT_ONCE = 8, 65_536
+#: Places of a chunk of the baseline without an index, and how many of them are compared with how many others at once.
+CHUNK, STRIP, WIDTH = 32_768, 64, 8_192
+#: Chunks of a side that a task of that baseline holds, parts of a side at least, and pairs whose distances are formed at once.
+CHUNKS_OF_TASK, LEAST_PARTS, AT_ONCE = 4, 8, 65_536
 
 
 def _sides(df: DataFrame, columns: list[str]) -> tuple[DataFrame, DataFrame]:
@@ -161,45 +161,54 @@ def _chunks(places: DataFrame) -> DataFrame:
     return rows.mapInArrow(run, f"chunk bigint, eid array<{eid}>, x array<double>, y array<double>")
 
 
-def _rounded(v: np.ndarray, side: float) -> np.ndarray:
-    """Multiples of side below v, modulo 256."""
+def _rounded(v: np.ndarray, side: float, shift: float = 0.0) -> np.ndarray:
+    """Multiples of side below v - shift * side, modulo 256."""
     with np.errstate(all="ignore"):
-        n = np.floor(v / side)
+        n = np.floor(v / side - shift)
     return (np.where(np.isfinite(n), n, 0).astype(np.int64) & 255).astype(np.uint8)
 
 
 def near_pairs(xa: np.ndarray, ya: np.ndarray, xb: np.ndarray, yb: np.ndarray, r: float) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
     """Every place of a against every place of b: positions and distances of those at most r apart, some at a time.
 
-    Both coordinates of every pair are first subtracted in bytes, as multiples of a little more than r modulo 256: places
-    at most r apart differ by one multiple at most. The distances of all pairs that this leaves are formed in doubles.
+    Both coordinates of every pair are first subtracted in bytes, as multiples of a little more than 2 r modulo 256. Those
+    of a are taken half a multiple lower, so that what is at most r away on either side is 0 or 1 multiples above. The
+    distances of all pairs that this leaves are formed in doubles.
     """
     most = max(float(np.abs(v[np.isfinite(v)]).max(initial=0)) for v in (xa, ya, xb, yb))
-    side = max(1.01 * r, most * 2.0**-40) or 1.0  # quotients up to 2 ** 40 are rounded by far less than the hundredth
-    ca, da, cb, db = (_rounded(v, side) for v in (xa, ya, xb, yb))
-    ca, da = (ca - np.uint8(1))[:, None], (da - np.uint8(1))[:, None]  # so that -1, 0, 1 become 0, 1, 2
-    space, least = np.empty((2, STRIP, len(xb)), np.uint8), np.empty(len(xb), np.uint8)
+    side = max(2.02 * r, most * 2.0**-40) or 1.0  # quotients up to 2 ** 40 are rounded by far less than the hundredth
+    ca, da = (_rounded(v, side, 0.5)[:, None] for v in (xa, ya))
+    cb, db = (_rounded(v, side) for v in (xb, yb))
+    space, least = np.empty((2, STRIP * min(WIDTH, len(xb))), np.uint8), np.empty(min(WIDTH, len(xb)), np.uint8)
     first, second, n = [], [], 0
-    for at in range(0, len(xa), STRIP):
-        c, d = ca[at : at + STRIP], da[at : at + STRIP]
-        p, q = space[:, : len(c)]
-        np.subtract(cb, c, out=p)
-        np.subtract(db, d, out=q)
-        np.bitwise_or(p, q, out=p)
-        columns = np.flatnonzero(np.minimum.reduce(p, axis=0, out=least) < 4)
-        if len(columns):
-            i, j = np.divmod(np.flatnonzero(np.take(p, columns, axis=1) < 4), len(columns))
-            first.append(i + at)
-            second.append(columns[j])
-            n += len(i)
-        if n >= AT_ONCE or (n and at + STRIP >= len(xa)):
-            i, j = np.concatenate(first), np.concatenate(second)
-            with np.errstate(all="ignore"):
-                dx, dy = xa[i] - xb[j], ya[i] - yb[j]
-                apart = np.sqrt(dx * dx + dy * dy)
-            near = apart <= r
-            yield i[near], j[near], apart[near]
-            first, second, n = [], [], 0
+
+    def measured() -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        i, j = np.concatenate(first), np.concatenate(second)
+        with np.errstate(all="ignore"):
+            dx, dy = xa[i] - xb[j], ya[i] - yb[j]
+            apart = np.sqrt(dx * dx + dy * dy)
+        near = apart <= r
+        return i[near], j[near], apart[near]
+
+    for left in range(0, len(xb), WIDTH):
+        c, d = cb[left : left + WIDTH], db[left : left + WIDTH]
+        for at in range(0, len(xa), STRIP):
+            shape = len(ca[at : at + STRIP]), len(c)
+            p, q = (v[: shape[0] * shape[1]].reshape(shape) for v in space)
+            np.subtract(c, ca[at : at + STRIP], out=p)
+            np.subtract(d, da[at : at + STRIP], out=q)
+            np.bitwise_or(p, q, out=p)
+            columns = np.flatnonzero(np.minimum.reduce(p, axis=0, out=least[: len(c)]) < 2)
+            if len(columns):
+                i, j = np.divmod(np.flatnonzero(np.take(p, columns, axis=1) < 2), len(columns))
+                first.append(i + at)
+                second.append(columns[j] + left)
+                n += len(i)
+            if n >= AT_ONCE:
+                yield measured()
+                first, second, n = [], [], 0
+    if n:
+        yield measured()
 
 
 def all_pairs(places: DataFrame, r: float, most: int = 200_000, force: bool = False) -> DataFrame:
@@ -213,7 +222,7 @@ def all_pairs(places: DataFrame, r: float, most: int = 200_000, force: bool = Fa
         raise ValueError(f"more than {most} places; pass force=True to compare them all")
     chunks = stored(_chunks(places), "chunks")
     n = chunks.count()
-    parts = max(1, min(n, CHUNKS_OF_TASK), -(-n // CHUNKS_OF_TASK))
+    parts = max(1, min(n, LEAST_PARTS), -(-n // CHUNKS_OF_TASK))
     a, b = (side.repartition(parts) for side in _sides(chunks, chunks.columns))
     eid = places.schema["eid"].dataType.simpleString()
 

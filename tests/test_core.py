@@ -617,9 +617,11 @@ def test_trees_of_all_density_limits_in_one(spark, monkeypatch):
     assert len(calls) == 1  # pairs are made and compared once, not once per limit
 
 
-def test_no_index_compares_in_bytes_and_forms_the_distances_that_may_count():
+def test_no_index_compares_in_bytes_and_forms_the_distances_that_may_count(monkeypatch):
     rng = np.random.default_rng(3)
     plain = lambda x, y, u, v: np.sqrt((x[:, None] - u) * (x[:, None] - u) + (y[:, None] - v) * (y[:, None] - v))
+    for name, small in (("WIDTH", 40), ("STRIP", 16), ("AT_ONCE", 50)):
+        monkeypatch.setattr(pair_operators, name, small)
     odd = [0.0, -0.0, math.nan, math.inf, -math.inf, 1e300, -1e300, 2.0**53, 2.0**53 + 2, 99.99999999999999, 100.0, -100.0]
     for r in (0.0, 0.1, 1.0, 100.0, 1e9, -1.0, math.inf):
         step = r if 0 < r < math.inf else 1.0
@@ -632,6 +634,7 @@ def test_no_index_compares_in_bytes_and_forms_the_distances_that_may_count():
                     apart = plain(a, b, c, d)
                 got = {(i, j): s for p in pair_operators.near_pairs(a, b, c, d, r) for i, j, s in zip(*(w.tolist() for w in p))}
                 assert got == {(i, j): apart[i, j] for i, j in np.argwhere(apart <= r).tolist()}
+    monkeypatch.undo()
     # a chunk against another: many times faster than doubles for every pair, and as complete
     x, y, u, v = (np.floor(rng.random(16_384) * 57_600) for _ in range(4))
     ways = {
@@ -649,10 +652,10 @@ def test_no_index_compares_in_bytes_and_forms_the_distances_that_may_count():
 
 def test_no_index_deals_out_both_sides(spark, monkeypatch):
     monkeypatch.setattr(pair_operators, "CHUNK", 50)
-    monkeypatch.setattr(pair_operators, "CHUNKS_OF_TASK", 4)
+    monkeypatch.setattr(pair_operators, "CHUNKS_OF_TASK", 2)
     k = F.col("id")
     some = spark.range(1_000).select(k.alias("eid"), (k * 37 % 101).alias("x_m"), (k * 53 % 997).alias("y_m")).coalesce(1)
     pairs = all_pairs(some, 5)
-    assert pairs.rdd.getNumPartitions() == 25  # 20 chunks, 4 in a part, every part with every part
+    assert pairs.rdd.getNumPartitions() == 100  # 20 chunks, 2 in a part, every part with every part
     got = sorted(map(tuple, pairs.collect()))
     assert got == sorted(map(tuple, radius_pairs(some, 5).collect())) and len(got) > 100
