@@ -20,8 +20,8 @@ MOST_IN_CELL = 2_000
 MOST_HOT_CELLS = 500_000
 #: Places of a chunk of the baseline without an index, and how many of them are compared with how many others at once.
 CHUNK, STRIP, WIDTH = 32_768, 64, 8_192
-#: Chunks of a side that a task of that baseline holds, parts of a side at least, and pairs whose distances are formed at once.
-CHUNKS_OF_TASK, LEAST_PARTS, AT_ONCE = 4, 8, 65_536
+#: Chunks of a side that a task of that baseline holds, parts of a side at least, and strips that are looked through at once.
+CHUNKS_OF_TASK, LEAST_PARTS, AT_ONCE = 4, 8, 4_096
 
 
 def _sides(df: DataFrame, columns: list[str]) -> tuple[DataFrame, DataFrame]:
@@ -177,38 +177,29 @@ def near_pairs(xa: np.ndarray, ya: np.ndarray, xb: np.ndarray, yb: np.ndarray, r
     """
     most = max(float(np.abs(v[np.isfinite(v)]).max(initial=0)) for v in (xa, ya, xb, yb))
     side = max(2.02 * r, most * 2.0**-40) or 1.0  # quotients up to 2 ** 40 are rounded by far less than the hundredth
-    ca, da = (_rounded(v, side, 0.5)[:, None] for v in (xa, ya))
+    strips = -(-len(xa) // STRIP)
+    ca, da = (np.resize(_rounded(v, side, 0.5), (strips, STRIP)) for v in (xa, ya))  # the last strip is filled up
     cb, db = (_rounded(v, side) for v in (xb, yb))
-    space, least = np.empty((2, STRIP * min(WIDTH, len(xb))), np.uint8), np.empty(min(WIDTH, len(xb)), np.uint8)
-    first, second, n = [], [], 0
-
-    def measured() -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        i, j = np.concatenate(first), np.concatenate(second)
-        with np.errstate(all="ignore"):
-            dx, dy = xa[i] - xb[j], ya[i] - yb[j]
-            apart = np.sqrt(dx * dx + dy * dy)
-        near = apart <= r
-        return i[near], j[near], apart[near]
-
     for left in range(0, len(xb), WIDTH):
         c, d = cb[left : left + WIDTH], db[left : left + WIDTH]
-        for at in range(0, len(xa), STRIP):
-            shape = len(ca[at : at + STRIP]), len(c)
-            p, q = (v[: shape[0] * shape[1]].reshape(shape) for v in space)
-            np.subtract(c, ca[at : at + STRIP], out=p)
-            np.subtract(d, da[at : at + STRIP], out=q)
+        (p, q), least = np.empty((2, STRIP, len(c)), np.uint8), np.empty((strips, len(c)), np.uint8)
+        for k in range(strips):
+            np.subtract(c, ca[k, :, None], out=p)
+            np.subtract(d, da[k, :, None], out=q)
             np.bitwise_or(p, q, out=p)
-            columns = np.flatnonzero(np.minimum.reduce(p, axis=0, out=least[: len(c)]) < 2)
-            if len(columns):
-                i, j = np.divmod(np.flatnonzero(np.take(p, columns, axis=1) < 2), len(columns))
-                first.append(i + at)
-                second.append(columns[j] + left)
-                n += len(i)
-            if n >= AT_ONCE:
-                yield measured()
-                first, second, n = [], [], 0
-    if n:
-        yield measured()
+            np.minimum.reduce(p, axis=0, out=least[k])
+        found = np.flatnonzero(least < 2)
+        for at in range(0, len(found), AT_ONCE):
+            k, j = np.divmod(found[at : at + AT_ONCE], len(c))
+            close = ((c[j, None] - ca[k]) | (d[j, None] - da[k])) < 2
+            hit, i = np.divmod(np.flatnonzero(close), STRIP)
+            i, j = k[hit] * STRIP + i, j[hit] + left
+            i, j = i[i < len(xa)], j[i < len(xa)]
+            with np.errstate(all="ignore"):
+                dx, dy = xa[i] - xb[j], ya[i] - yb[j]
+                apart = np.sqrt(dx * dx + dy * dy)
+            near = apart <= r
+            yield i[near], j[near], apart[near]
 
 
 def all_pairs(places: DataFrame, r: float, most: int = 200_000, force: bool = False) -> DataFrame:
